@@ -60,9 +60,10 @@ def general_rule(pattern: str, tokens: list[str]) -> dict:
 def rule_table(spark: SparkSession, site=SITE_RULES, general=GENERAL_RULES) -> DataFrame:
     rules = [site_rule(*r) for r in site] + [general_rule(*r) for r in general]
     rules = [r | {"rule_id": i} for i, r in enumerate(rules)]
-    if any(not r["tokens"] for r in rules):
-        raise ValueError("each rule needs a literal token")
-    return spark.createDataFrame(rules, "rule_id int, rule string, verdict string, pattern string, tokens array<string>, site boolean, weight int")
+    if not rules or any(not r["tokens"] for r in rules):
+        raise ValueError("there must be rules, and each needs a literal token")
+    fields = [F.struct(*(F.array(*map(F.lit, r[k])).alias(k) if k == "tokens" else F.lit(r[k]).alias(k) for k in rules[0])) for r in rules]
+    return spark.range(1, numPartitions=1).select(F.inline(F.array(*fields)))
 
 
 def indexed(rules: DataFrame, tokens: DataFrame) -> DataFrame:
