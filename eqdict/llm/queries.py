@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from eqdict.llm import exact_dedup, mixing, packing, token_counts, url_filter
+from eqdict.llm import exact_dedup, language, media, mixing, packing, pii, token_counts, url_filter
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -27,12 +27,22 @@ def query(f: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession
     return f
 
 
+@query
+def op1_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.personal_data(documents(spark, sf_dir))
+
+
 @query
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """With a cache of its own, which starts empty."""
     return token_counts.token_counts(documents(spark, sf_dir), byte_bpe())
 
 
+@query
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.languages(documents(spark, sf_dir))
+
+
 @query
 def op4_poisson_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole mixture, copies and their global order: doc_id, text, lang, source, n_chars, copy_no, order_key."""
@@ -54,6 +64,11 @@ FROM n, LATERAL (SELECT unnest(generate_series(0, n.n - 1)) AS copy_no)
 """
 
 
+@query
+def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.media_columns(documents(spark, sf_dir))
+
+
 @query
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(spark.read.parquet(f"{sf_dir}/pages.parquet"), url_filter.rule_table(spark))
