@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from eqdict.llm import exact_dedup, language, media, mixing, packing, pii, token_counts, url_filter
+from eqdict.llm import exact_dedup, language, media, mixing, near_dedup, packing, pii, token_counts, url_filter
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -97,6 +97,11 @@ FROM parts LEFT JOIN best ON parts.host = best.host AND parts.path = best.path
 ORACLES["op7_url_filter"] = _url_sql()
 
 
+@query
+def op8_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_groups(documents(spark, sf_dir), words=3, percent=85)
+
+
 @query
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(documents(spark, sf_dir))
