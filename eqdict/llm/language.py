@@ -126,19 +126,17 @@ def fit(labelled: DataFrame, sample: int = SAMPLE, top: int = TOP) -> Profiles:
     return Profiles(names, lists, top)
 
 
-def judged(docs: DataFrame, profiles: Profiles, id_col: str, text_col: str, *keep: str) -> DataFrame:
-    """_id, keep..., _pred, _score for every row."""
-    rows = docs.select(F.col(id_col).alias("_id"), *keep, F.col(text_col).alias("_text"))
-    schema = rows.drop("_text").schema.add("_pred", "string").add("_score", "double")
+def judged(docs: DataFrame, profiles: Profiles, id_col: str, text_col: str) -> DataFrame:
+    """_id, _pred, _score for every row."""
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at = profiles.places()
         for b in batches:
             out = [profiles.judge(at, t.as_py()) for t in b.column("_text")]
-            cols = [b.column(n) for n in b.schema.names if n != "_text"]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array([x[0] for x in out], pa.string()), pa.array([x[1] for x in out], pa.float64())], [n for n in b.schema.names if n != "_text"] + ["_pred", "_score"])
+            yield pa.RecordBatch.from_arrays([b.column("_id"), pa.array([x[0] for x in out], pa.string()), pa.array([x[1] for x in out], pa.float64())], ["_id", "_pred", "_score"])
 
-    return rows.mapInArrow(judge, schema)
+    rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
+    return rows.mapInArrow(judge, rows.drop("_text").schema.add("_pred", "string").add("_score", "double"))
 
 
 def held_out(c) -> Column:
@@ -164,7 +162,12 @@ def languages(docs: DataFrame, sample: int = SAMPLE, top: int = TOP, id_col: str
 def of_known_language(docs: DataFrame, least: float = 0.0, sample: int = SAMPLE, top: int = TOP, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """docs without the rows that have no language (`und`) or a score under `least`; columns and names as they are."""
     profiles = fit(training_rows(docs, id_col, text_col, lang_col), sample, top)
-    names = docs.columns
-    whole = docs.select(F.struct(*(F.col(f"`{c}`") for c in names)).alias("_row"), F.col(id_col).alias("_key"), F.col(text_col).alias("_body"))
-    found = judged(whole, profiles, "_key", "_body", "_row")
-    return found.where((F.col("_pred") != UNKNOWN) & (F.col("_score") >= least)).select("_row.*")
+    place = docs.columns.index(text_col)
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = profiles.places()
+        for b in batches:
+            out = (profiles.judge(at, t.as_py()) for t in b.column(place))
+            yield b.filter(pa.array([lang != UNKNOWN and score >= least for lang, score in out], pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)
