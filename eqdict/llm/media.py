@@ -29,9 +29,9 @@ WIDTH = 64
 SHARD_BYTES = 256 << 20
 HEADER_BYTES = 33  # PNG's signature and its IHDR chunk
 _SIGNATURE = b"\x89PNG\r\n\x1a\n"
-PLACES = "doc_id long, n_bytes long, digest string, shard string, at long, media_bytes long"
-FACTS = "digest string, width long, height long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-HEADERS = "digest string, width long, height long, bits long, media_bytes long"
+PLACES = "doc_id long, n_bytes long, digest binary, shard string, at long, media_bytes long"
+FACTS = "digest binary, shard string, at long, width long, height long, payload_bytes long, tail_crc32 long, media_bytes long, media_digest binary, feature string"
+HEADERS = "digest binary, shard string, at long, width long, height long, bits long, media_bytes long"
 
 
 def padded(data: bytes) -> bytes:
@@ -118,17 +118,17 @@ def stored(docs: DataFrame, folder: str, shard_bytes: int = SHARD_BYTES, id_col:
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 data = (t.as_py() or "").encode()
                 payload = padded(data)
-                digest = hashlib.sha256(payload).hexdigest()
+                digest = hashlib.sha256(payload).digest()
                 if digest not in seen:
                     if shard is None or shard.size >= shard_bytes:
                         if shard:
                             shard.close()
                         shard, seen = _Shard(shards), {}
                     image = to_png(payload)
-                    seen[digest] = (shard.name, shard.add(f"{digest}.png", image), len(image))
+                    seen[digest] = (shard.name, shard.add(f"{digest.hex()}.png", image), len(image))
                 out.append((d, len(data), digest, *seen[digest]))
             cols = list(zip(*out, strict=True)) or [()] * 6
-            kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64())
+            kinds = (pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["doc_id", "n_bytes", "digest", "shard", "at", "media_bytes"])
         if shard:
             shard.close()
@@ -143,27 +143,28 @@ def places(rows: DataFrame) -> DataFrame:
     return one.repartition("shard").sortWithinPartitions("shard", "at")
 
 
-def _ranges(folder: str, batches: Iterator[pa.RecordBatch], whole: bool) -> Iterator[list[tuple[str, int, bytes]]]:
+def _ranges(folder: str, batches: Iterator[pa.RecordBatch], whole: bool) -> Iterator[list[tuple[bytes, str, int, int, bytes]]]:
     fs, path = pafs.FileSystem.from_uri(f"{uri(folder)}/shards")
     name = file = None
     for b in batches:
-        out = []
+        out, held = [], 0
         for digest, shard, at, size in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
             if shard != name:
                 if file:
                     file.close()
                 name, file = shard, fs.open_input_file(f"{path}/{shard}")
-            out.append((digest, size, file.read_at(size if whole else HEADER_BYTES, at)))
-            if sum(len(x[2]) for x in out) > 32 << 20:
+            out.append((digest, shard, at, size, file.read_at(size if whole else HEADER_BYTES, at)))
+            held += len(out[-1][-1])
+            if held > 32 << 20:
                 yield out
-                out = []
+                out, held = [], 0
         yield out
     if file:
         file.close()
 
 
 def _batch(rows: list[tuple], schema: str) -> pa.RecordBatch:
-    kinds = [(n, pa.string() if k == "string" else pa.int64()) for n, k in (c.split() for c in schema.split(", "))]
+    kinds = [(n, {"string": pa.string(), "binary": pa.binary()}.get(k, pa.int64())) for n, k in (c.split() for c in schema.split(", "))]
     cols = list(zip(*rows, strict=True)) or [()] * len(kinds)
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, (_, k) in zip(cols, kinds, strict=True)], [n for n, _ in kinds])
 
@@ -173,7 +174,7 @@ def headers(at: DataFrame, folder: str) -> DataFrame:
 
     def read(batches):
         for part in _ranges(folder, batches, whole=False):
-            yield _batch([(d, *png_header(data), size) for d, size, data in part], HEADERS)
+            yield _batch([(d, shard, at, *png_header(data), size) for d, shard, at, size, data in part], HEADERS)
 
     return at.select("digest", "shard", "at", "media_bytes").mapInArrow(read, HEADERS)
 
@@ -184,12 +185,12 @@ def facts(at: DataFrame, folder: str) -> DataFrame:
     def read(batches):
         for part in _ranges(folder, batches, whole=True):
             out = []
-            for digest, size, data in part:
+            for digest, shard, place, size, data in part:
                 width, height, _ = png_header(data)
                 payload = from_png(data)
-                if len(data) != size or hashlib.sha256(payload).hexdigest() != digest:
-                    raise ValueError(f"payload {digest} is damaged")
-                out.append((digest, width, height, len(payload), digest, zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), feature(payload)))
+                if len(data) != size or hashlib.sha256(payload).digest() != digest:
+                    raise ValueError(f"payload {digest.hex()} is damaged")
+                out.append((digest, shard, place, width, height, len(payload), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).digest(), feature(payload)))
             yield _batch(out, FACTS)
 
     return at.select("digest", "shard", "at", "media_bytes").mapInArrow(read, FACTS)
@@ -203,7 +204,6 @@ def media_columns(docs: DataFrame, folder: str | None = None, id_col: str = "doc
     """
     folder = folder or workdir(docs.sparkSession, "media")
     rows = stored(docs, folder, id_col=id_col, text_col=text_col)
-    at = places(rows)
-    known = facts(at, folder).join(at.select("digest", "shard", "at"), "digest")
-    out = rows.select("doc_id", "n_bytes", "digest").join(staged(known, f"{folder}/facts"), "digest")
-    return out.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "width", "height", "shard", "at")
+    out = rows.select("doc_id", "n_bytes", "digest").join(facts(places(rows), folder), "digest")
+    hexed = lambda c: F.lower(F.hex(c))
+    return out.select("doc_id", "n_bytes", "payload_bytes", hexed("digest").alias("payload_sha256"), "tail_crc32", "media_bytes", hexed("media_digest").alias("media_sha256"), "feature", "width", "height", "shard", "at")
