@@ -1,0 +1 @@
+"""Static key-value dictionaries and membership filters that store solved equations instead of keys, on Spark."""
