@@ -157,10 +157,11 @@ def block_links(percent: int):
     return link
 
 
-def rest_links(buckets: DataFrame, comps: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def rest_links(buckets: DataFrame, comps: DataFrame, sets: DataFrame, percent: int, work: str) -> DataFrame:
     """Links between members of one bucket(key, rep, n) that comps(rep, comp) has in different components.
 
-    Of a bucket with several components the most frequent one is its main one; members of the others are compared with all.
+    Of a bucket with several components the most frequent one is its main one; members of the others are compared with all. The
+    sizes are written, so that joins with them by a hot component have an exchange on both sides, which adaptive execution splits.
     """
     m = buckets.join(comps, "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     by = m.groupBy("key", "comp").agg(F.count("*").alias("c"))
@@ -168,11 +169,12 @@ def rest_links(buckets: DataFrame, comps: DataFrame, sets: DataFrame, percent: i
     open_ = m.join(main, "key").select("key", "main", "rep", "comp", "n")
     other = F.col("comp") != F.col("main")
     size = open_.select("main", "rep", "comp").distinct().groupBy("main").agg(F.count(F.when(other, 1)).alias("few"), F.count("*").alias("all"))
+    size = staged(size, f"{work}/sizes")
     group = F.when(F.col("few").cast("double") * F.col("all") <= GROUP_PAIRS, F.col("main")).otherwise(F.xxhash64("main", "key"))
     g = open_.join(size, "main").select(group.alias("group"), "main", "rep", "comp", "n").distinct()
     blocks = lambda c, s: F.greatest(F.ceil(c / BLOCK), F.ceil(s / BLOCK_SHINGLES), F.lit(1))
     shape = g.groupBy("group").agg(blocks(F.count(F.when(other, 1)), F.sum(F.when(other, F.col("n")).otherwise(0))).alias("_i"), blocks(F.count("*"), F.sum("n")).alias("_j"))
-    g = g.join(shape, "group").withColumn("_h", F.xxhash64("rep"))
+    g = g.join(staged(shape, f"{work}/shapes"), "group").withColumn("_h", F.xxhash64("rep"))
     few = g.where(other).select("group", F.pmod("_h", "_i").alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("_j") - 1)).alias("j"), F.lit(0).alias("side"), "rep", "comp")
     every = g.select("group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_i") - 1)).alias("i"), F.pmod("_h", "_j").alias("j"), F.lit(1).alias("side"), "rep", "comp")
     units = few.unionByName(every).join(sets, "rep").select("group", "i", "j", "side", "rep", "comp", "n", "items")
@@ -214,7 +216,7 @@ def near_groups(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str
     links = staged(sure.union(same), f"{work}/links-star")
 
     comps = staged(components(links, f"{work}/first").withColumnsRenamed({"node": "rep", "root": "comp"}), f"{work}/comps")
-    rest = staged(rest_links(buckets, comps, sets, percent), f"{work}/links-rest")
+    rest = staged(rest_links(buckets, comps, sets, percent, work), f"{work}/links-rest")
     final = components(links.union(rest), f"{work}/second").withColumnsRenamed({"node": "rep", "root": "comp"})
     known = staged(reps.select("set_digest", "rep").join(final, "rep", "left").select("set_digest", F.coalesce("comp", "rep").alias("comp")), f"{work}/known")
 
