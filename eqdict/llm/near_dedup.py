@@ -126,8 +126,9 @@ def block_links(percent: int):
         keep = both[code]
         code, owner = new[code[keep]], owner[keep]
         common = np.zeros((len(left), len(right)), np.float32)
-        wide = max(1, 8_000_000 // max(len(left), len(right), 1))
-        for lo in range(0, int(both.sum()), wide):
+        n_common = int(both.sum())
+        wide = max(1, min(n_common, 8_000_000 // max(len(left), len(right), 1)))
+        for lo in range(0, n_common, wide):
             here = (code >= lo) & (code < lo + wide)
             x, y = np.zeros((len(left), wide), np.float32), np.zeros((len(right), wide), np.float32)
             o, c = owner[here], code[here] - lo
