@@ -146,7 +146,7 @@ def components(links: DataFrame, work: str, most_rounds: int = 60) -> DataFrame:
     is a written table. Self links give nodes alone; nulls are dropped.
     """
     spark = links.sparkSession
-    e = links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a is not null and b is not null")
+    e = links.where("a is not null and b is not null").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
     selves = e.where("a = b").select(F.col("a").alias("node"))
     e = staged(e.where("a <> b").distinct(), f"{work}/links-0")
 
