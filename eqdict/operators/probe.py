@@ -5,6 +5,8 @@ A lookup never claims that a key is stored: other keys get an arbitrary value, 0
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -125,12 +127,9 @@ def looked_up(store: Store, df: DataFrame, keys: list[str] | str, out: str = "va
 def looked_up_distinct(store: Store, df: DataFrame, keys: list[str] | str, out: str = "value") -> DataFrame:
     """The same with each distinct key looked up once, for probes in which a few keys are very frequent."""
     names = [keys] if isinstance(keys, str) else list(keys)
-    once = looked_up(store, df.select(*names).distinct(), names, out)
-    same = None
-    for n in names:
-        c = df[n].eqNullSafe(once[n])
-        same = c if same is None else same & c
-    return df.join(once, same, "left").select(*(df[c] for c in df.columns), once[out])
+    once = looked_up(store, df.select(*names).distinct(), names, "_v").select(*(F.col(n).alias(f"_k{i}") for i, n in enumerate(names)), F.col("_v").alias(out))
+    same = reduce(lambda a, b: a & b, (F.col(n).eqNullSafe(F.col(f"_k{i}")) for i, n in enumerate(names)))
+    return df.join(once, same, "left").select(*df.columns, out)
 
 
 # --- packed layout --------------------------------------------------------------------------------------------------------------

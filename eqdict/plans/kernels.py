@@ -106,6 +106,7 @@ def two_level(spec: DictSpec, n: int):
         failed = solve(spec, todo_cells, cell[keys], place, x[keys], y[keys], v[keys], m, seed, extra, tries, planes, width)
         bad_cell = np.zeros(base[-1] + 1, bool)
         bad_cell[failed] = True
+        m[failed] = 0  # their keys are in the side dictionary
         out = ~inside | bad_cell[cell]
         side = np.flatnonzero(out)
         keep = live_cells

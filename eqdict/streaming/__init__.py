@@ -69,6 +69,7 @@ class Tiers:
 
 def windowed_filters(stream: DataFrame, time: str, key: str, window: str = "1 day", delay: str = "1 hour", slide: str | None = None) -> DataFrame:
     """(window, key) of a stream, each once, as windows close: what a filter of each window is built of. Late rows past the watermark go."""
+    stream = stream.withColumn(time, F.col(time).cast("timestamp"))
     return stream.withWatermark(time, delay).groupBy(F.window(time, window, slide) if slide else F.window(time, window), key).agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), F.col("window.end").alias("end"), key, "n")
 
 
