@@ -27,8 +27,8 @@ from eqdict.llm.common import drop, mix, parts_of, staged, window_hashes, word_h
 
 WINDOW = 35
 START = 9
-BLOCK_BYTES = 16 << 20
-PART_HASHES = 4_000_000
+BLOCK_BYTES = 6 << 20
+PART_HASHES = 1_000_000
 SENT = "part long, block string, keys binary, more binary, twice binary"
 ANSWER = "block string, part long, bits binary"
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
@@ -209,8 +209,11 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, start: int = START, i
     spark = docs.sparkSession
     folder = workdir(spark, "substring")
     index = written_blocks(docs, folder, id_col, text_col, block_bytes)
-    total = index.agg(F.coalesce(F.sum("n_words"), F.lit(0))).first()[0]
+    total, n_blocks = index.agg(F.coalesce(F.sum("n_words"), F.lit(0)), F.count("*")).first()
     parts = max(parts_of(spark), -(-total // part_hashes))
+    # rows are few and small but stand for whole blocks of text, so their number of tasks is not left to adaptive coalescing
+    block_tasks = max(parts_of(spark), n_blocks)
+    by_block = lambda df: df.repartition(block_tasks, "block")
     lengths = levels(window, start)
 
     def opening(length: int, last: bool):
@@ -249,11 +252,11 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, start: int = START, i
         out = {"doc_id": pa.array(block.ids, pa.int64()), "n_words": pa.array(block.sizes), "n_removed": pa.array(removed, pa.int64()), "kept_sha256": pa.array(hashes, pa.string())}
         return pa.table(out | ({"kept_text": pa.array(kept, pa.string())} if with_text else {}))
 
-    sent = index.select("block").repartition(F.col("block")).mapInArrow(opening(lengths[0], lengths[0] == window), SENT)
+    sent = by_block(index.select("block")).mapInArrow(opening(lengths[0], lengths[0] == window), SENT)
     for i, length in enumerate(lengths):
-        replies = staged(sent.groupBy("part").applyInArrow(found_repeated(length == window), ANSWER), f"{folder}/answers-{length}")
+        replies = staged(sent.repartition(parts, "part").groupBy("part").applyInArrow(found_repeated(length == window), ANSWER), f"{folder}/answers-{length}")
         if i:
             drop(spark, f"{folder}/answers-{lengths[i - 1]}")
         if length < window:
-            sent = replies.groupBy("block").applyInArrow(extending(length, lengths[i + 1], lengths[i + 1] == window), SENT)
-    return replies.groupBy("block").applyInArrow(closing, RESULT + (", kept_text string" if with_text else ""))
+            sent = by_block(replies).groupBy("block").applyInArrow(extending(length, lengths[i + 1], lengths[i + 1] == window), SENT)
+    return by_block(replies).groupBy("block").applyInArrow(closing, RESULT + (", kept_text string" if with_text else ""))
