@@ -30,7 +30,8 @@ GENERAL_RULES = [
     (r"/wp-admin(/|$)", ["wp", "admin"]),
     (r"/cgi-bin/", ["cgi", "bin"]),
 ]
-MOST_BROADCAST_RULES = 100_000
+#: Up to so many rules the index is a literal that goes to every task; beyond, tokens fetch rules by a join.
+MOST_INLINE_RULES = 1000
 TOKEN_SPLIT = r"[^a-z0-9]+"
 
 
@@ -83,7 +84,7 @@ def judge(pages: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col:
     urls = pages.select(F.col(id_col).alias("page_id"), host_of(F.col(url_col)).alias("host"), path_of(F.col(url_col)).alias("path"))
     urls = urls.withColumn("_tokens", F.array_distinct(F.filter(F.split(F.lower(F.concat_ws(" ", "host", "path")), TOKEN_SPLIT), lambda t: t != "")))
     n_rules = rules.count()
-    small = n_rules <= MOST_BROADCAST_RULES
+    small = n_rules <= MOST_INLINE_RULES
     wanted = rules.select(F.explode("tokens").alias("token")).distinct()
     each = urls.select(F.explode("_tokens").alias("token"))
     counts = each.join(F.broadcast(wanted) if small else wanted, "token", "left_semi").groupBy("token").agg(F.count("*").alias("n"))
@@ -99,7 +100,7 @@ def judge(pages: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col:
         return [best["rule"].alias("rule"), F.coalesce(best["verdict"], F.when(general > 0, "block").otherwise("allow")).alias("verdict"), general.cast("long").alias("general")]
 
     if small:
-        # one lookup table of at most MOST_BROADCAST_RULES rules goes to every task; candidates never leave their row
+        # one lookup table of few rules goes to every task; candidates never leave their row
         entry = F.struct("rule", "verdict", "pattern", "site", "weight")
         filed = index.groupBy("token").agg(F.collect_list(entry).alias("rules")).agg(F.map_from_entries(F.collect_list(F.struct("token", "rules"))).alias("_index"))
         table = filed.first()["_index"] if n_rules else {}

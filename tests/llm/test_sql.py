@@ -75,9 +75,9 @@ URLS = [
 ]
 
 
-@pytest.mark.parametrize("most", [100_000, 0])
+@pytest.mark.parametrize("most", [1000, 0])
 def test_urls(spark, monkeypatch, most):
-    monkeypatch.setattr(url_filter, "MOST_BROADCAST_RULES", most)
+    monkeypatch.setattr(url_filter, "MOST_INLINE_RULES", most)
     pages = spark.createDataFrame([(i, u[0], "x", 1) for i, u in enumerate(URLS)] + [(0, URLS[0][0], "y", 2)], "page_id long, url string, rule string, _tokens int")
     got = url_filter.judge(pages, url_filter.rule_table(spark)).collect()
     assert len(got) == len(URLS) + 1
