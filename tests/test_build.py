@@ -286,3 +286,14 @@ def test_tiers(spark):
     t.compact()
     assert len(t.tiers) == 1 and t.contains(everything).where("not hit").count() == 0 and t.tiers[0].n_keys == 1700
     assert t.contains(table(spark, 3000, 1, 10**8)).where("hit").count() < 20
+
+
+def test_data_source(spark, tmp_path):
+    from eqdict.sources import datasource
+
+    datasource.register(spark)
+    store = build(table(spark, 500, 3), "key", "v", DictSpec(k=3, bucket_mean=128), path=str(tmp_path / "s"))
+    got = spark.read.format("eqdict").option("path", str(tmp_path / "s")).load()
+    assert got.agg(F.sum("m")).first()[0] == store.facts["variables"] and got.count() == store.facts["cells"]
+    with pytest.raises(Exception, match="manifest"):
+        spark.read.format("eqdict").option("path", str(tmp_path)).load().collect()
