@@ -23,7 +23,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from eqdict.llm.common import staged, workdir
+from eqdict.llm.common import parts_of, staged, workdir
 
 WIDTH = 64
 SHARD_BYTES = 256 << 20
@@ -138,9 +138,13 @@ def stored(docs: DataFrame, folder: str, shard_bytes: int = SHARD_BYTES, id_col:
 
 
 def places(rows: DataFrame) -> DataFrame:
-    """The one place of each digest: digest, shard, at, media_bytes. Rows of one shard come together, in its order."""
+    """The one place of each digest: digest, shard, at, media_bytes. Rows of one shard come together, in its order.
+
+    The rows are small but stand for whole shards, so their number of tasks is not left to adaptive coalescing.
+    """
+    tasks = max(parts_of(rows.sparkSession), rows.agg(F.count_distinct("shard")).first()[0])
     one = rows.groupBy("digest").agg(F.min(F.struct("shard", "at", "media_bytes")).alias("p")).select("digest", "p.*")
-    return one.repartition("shard").sortWithinPartitions("shard", "at")
+    return one.repartition(tasks, "shard").sortWithinPartitions("shard", "at")
 
 
 def _ranges(folder: str, batches: Iterator[pa.RecordBatch], whole: bool) -> Iterator[list[tuple[bytes, str, int, int, bytes]]]:
