@@ -70,5 +70,6 @@ def token_counts(docs: DataFrame, tokenizer: str, cache: str | None = None, limi
     fresh.select(F.lit(version).alias("tokenizer"), F.col("_digest").alias("digest"), "n_tokens").write.mode("append").parquet(cache)
     # a text may have been encoded twice (two rows of one identifier, or two runs that append at a time)
     counts = cached(spark, cache).where(F.col("tokenizer") == version).groupBy(F.col("digest").alias("_digest")).agg(F.max("n_tokens").alias("n_tokens"))
-    out = narrow.join(counts, "_digest")
+    # written, so that a digest of very many rows has an exchange on both sides of the join, which adaptive execution splits
+    out = narrow.join(staged(counts, f"{work}/counts"), "_digest")
     return out.select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
