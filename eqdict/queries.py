@@ -9,10 +9,10 @@ from pyspark.sql import functions as F
 
 from eqdict.functions import theory
 from eqdict.functions.hashing import affine31, affine31_parameters, affine31_sql, gf2_affine, gf2_affine_sql, seed_of
-from eqdict.operators import apps, baselines, measures
+from eqdict.operators import apps, baselines, measures, relational
 from eqdict.operators.build import build
 from eqdict.operators.membership import build_filter, contains, prefiltered_join, verified_anti
-from eqdict.operators.probe import looked_up, looked_up_packed, packed
+from eqdict.operators.probe import looked_up, looked_up_distinct, looked_up_packed, packed
 from eqdict.spec import DictSpec
 from eqdict.streaming import events_stream, probe_stream, run_available
 
@@ -67,6 +67,8 @@ def _supplier(spark, sf):
 
 _SUPPLIER = "SELECT s_suppkey, s_nationkey::BIGINT AS value FROM supplier"
 _dictionary("dict_supplier_nation", _supplier, ["s_suppkey"], DictSpec(k=5), _SUPPLIER)
+_dictionary("dict_nation_region", lambda s, sf: table(s, sf, "nation").select("n_nationkey", F.col("n_regionkey").alias("v")), ["n_nationkey"], DictSpec(k=3), "SELECT n_nationkey, n_regionkey::BIGINT AS value FROM nation")
+_dictionary("dict_region", lambda s, sf: table(s, sf, "region").select("r_name", F.col("r_regionkey").alias("v")), ["r_name"], DictSpec(k=3, digest="md5"), "SELECT r_name, r_regionkey::BIGINT AS value FROM region")
 _dictionary("dict_labels", lambda s, sf: table(s, sf, "labels").select("doc_id", (F.col("quality") + 2 * F.col("toxic")).alias("v")), ["doc_id"], DictSpec(k=2), "SELECT doc_id, (quality + 2 * toxic)::BIGINT AS value FROM labels")
 _dictionary("dict_documents_lang", lambda s, sf: table(s, sf, "documents").where("lang is not null").select("doc_id", _code("lang", ["de", "en", "es", "fr"]).alias("v")), ["doc_id"], DictSpec(k=2), "SELECT doc_id, (list_position(['de', 'en', 'es', 'fr'], lang) - 1)::BIGINT AS value FROM documents WHERE lang IS NOT NULL")
 _dictionary("dict_embeddings_label", lambda s, sf: table(s, sf, "embeddings").select("vec_id", F.col("label").alias("v")), ["vec_id"], DictSpec(k=4), "SELECT vec_id, label::BIGINT AS value FROM embeddings")
@@ -90,6 +92,7 @@ for _name, _spec in {
     "method_pre_dedupe": DictSpec(k=3, pre_dedupe=True),
 }.items():
     _dictionary(_name, _priority, ["o_orderkey"], _spec, _PRIORITY)
+_dictionary("method_distinct_probe", lambda s, sf: table(s, sf, "lineitem").select(F.col("l_orderkey").alias("o_orderkey")).distinct().withColumn("v", F.pmod("o_orderkey", F.lit(8))), ["o_orderkey"], DictSpec(k=3), "SELECT DISTINCT l_orderkey AS o_orderkey, (l_orderkey % 8)::BIGINT AS value FROM lineitem", looked_up_distinct)
 _dictionary("method_answer_table", _priority, ["o_orderkey"], DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=512), _PRIORITY, lambda st, df, keys: looked_up(st, df, keys, evaluator="table"))
 _dictionary("method_packed", _priority, ["o_orderkey"], DictSpec(k=3), _PRIORITY, lambda st, df, keys: looked_up_packed(st, packed(st), df, keys))
 for _name, _spec in {
@@ -255,6 +258,53 @@ def stream_probe(spark: SparkSession, sf: str) -> DataFrame:
     return run_available(probe_stream(store, stream.select("event_id", "user_id"), "user_id"), "stream-probe").select("event_id", (F.col("value") == 1).alias("hit"))
 
 
+@query("""WITH d AS (SELECT DISTINCT user_id, CAST(ts AS DATE) AS day FROM events)
+SELECT e.event_id FROM events e JOIN d ON d.user_id = e.user_id AND d.day = CAST(e.ts AS DATE) - 1""")
+def differential_days_verified(spark: SparkSession, sf: str) -> DataFrame:
+    """Events whose user already had one on the day before: one filter of (day, user) pairs, its hits compared exactly."""
+    ev = table(spark, sf, "events").select("event_id", "user_id", F.to_date("ts").alias("day"))
+    changed = ev.select("day", "user_id").distinct()
+    reads = ev.select("event_id", "user_id", F.date_sub("day", 1).alias("day"))
+    return contains(build_filter(changed, ["day", "user_id"], 8), reads, ["day", "user_id"]).where("hit").join(changed, ["day", "user_id"], "left_semi").select("event_id")
+
+
+@query("SELECT user_id, event_id, event_type FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS r FROM events WHERE ts <= TIMESTAMP '2024-01-15') WHERE r = 1")
+def latest_change(spark: SparkSession, sf: str) -> DataFrame:
+    ev = table(spark, sf, "events").select("user_id", "event_id", "event_type", "ts")
+    return relational.latest(ev, "user_id", "ts", "event_id", F.lit("2024-01-15").cast("timestamp_ntz")).select("user_id", "event_id", "event_type")
+
+
+@query("""WITH c AS (SELECT o_orderkey, 'Z' AS s FROM orders WHERE o_orderkey % 7 = 0 UNION ALL SELECT o_orderkey + 1000000000, 'N' FROM orders WHERE o_orderkey % 11 = 0)
+SELECT coalesce(o.o_orderkey, c.o_orderkey) AS o_orderkey, coalesce(c.s, o.o_orderstatus) AS o_orderstatus FROM orders o FULL JOIN c ON o.o_orderkey = c.o_orderkey""")
+def differential_merge(spark: SparkSession, sf: str) -> DataFrame:
+    """The base file with its differential file merged in; every record was changed twice, the later change counts."""
+    o = table(spark, sf, "orders").select("o_orderkey", "o_orderstatus")
+    new = o.where("o_orderkey % 7 = 0").withColumn("o_orderstatus", F.lit("Z")).union(o.where("o_orderkey % 11 = 0").select(F.col("o_orderkey") + 1_000_000_000, F.lit("N")))
+    twice = new.select("*", F.lit(2).alias("at"), F.lit(0).alias("no")).union(new.select("o_orderkey", F.lit("early"), F.lit(1), F.lit(0)))
+    return relational.current(o, twice, "o_orderkey", "at", "no")
+
+
+@query("SELECT o_orderkey, count(*) AS runs FROM orders GROUP BY o_orderkey")
+def runs_by_range(spark: SparkSession, sf: str) -> DataFrame:
+    """Each key is in just one of eight ranges of about equal size."""
+    o = table(spark, sf, "orders").select("o_orderkey")
+    return relational.run_of_range(o, relational.split_by_range(o, "o_orderkey", 8), "o_orderkey").groupBy("o_orderkey").agg(F.count("run").alias("runs"))
+
+
+@query("""WITH a AS (SELECT c_custkey, c_nationkey AS v FROM customer WHERE c_custkey % 5 <> 0), b AS (SELECT c_custkey, CASE WHEN c_custkey % 7 = 0 THEN -1 ELSE c_nationkey END AS v FROM customer WHERE c_custkey % 3 <> 0)
+SELECT coalesce(a.c_custkey, b.c_custkey) AS c_custkey, a.v AS old, b.v AS new, CASE WHEN a.v IS NULL THEN 'added' WHEN b.v IS NULL THEN 'removed' ELSE 'changed' END AS kind
+FROM a FULL JOIN b ON a.c_custkey = b.c_custkey WHERE a.v IS NULL OR b.v IS NULL OR a.v <> b.v""")
+def dictionary_difference(spark: SparkSession, sf: str) -> DataFrame:
+    c = table(spark, sf, "customer").select("c_custkey", F.col("c_nationkey").alias("v"))
+    new = c.where("c_custkey % 3 <> 0").withColumn("v", F.when(F.col("c_custkey") % 7 == 0, -1).otherwise(F.col("v")))
+    return relational.dictionary_diff(c.where("c_custkey % 5 <> 0"), new, "c_custkey", "v")
+
+
+@query("SELECT day, keys, keys - coalesce(lag(keys) OVER (ORDER BY day), 0) AS new FROM (SELECT CAST(ts AS DATE) AS day, count(DISTINCT user_id) AS keys FROM events GROUP BY 1)")
+def changes_by_day(spark: SparkSession, sf: str) -> DataFrame:
+    return relational.changes_by_day(table(spark, sf, "events"), "ts", "user_id")
+
+
 # --- hashing that SQL can repeat ------------------------------------------------------------------------------------------------
 
 _H1 = seed_of("histogram")
@@ -429,6 +479,25 @@ def space_by_method(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(rows, "method string, n long, k int, payload_bits double, overhead_bits double, bits_per_key double, to_bloom double, file_bytes double, words_read double, operations double, tries_per_system double")
 
 
+@query()
+def ladder(spark: SparkSession, sf: str) -> DataFrame:
+    """Methods and baselines side by side for k = 1, 2, 4, 8, 16: bits a key, words read, error on absent keys, all measured on customers."""
+    members = table(spark, sf, "customer").select("c_custkey")
+    n = members.count()
+    absent = spark.range(10**9, 10**9 + 20_000).select(F.col("id").alias("c_custkey"))
+    rate = lambda df: df.agg(F.avg(F.col("hit").cast("int"))).first()[0]
+    rows = []
+    for k in (1, 2, 4, 8, 16):
+        for name, how in {"two_level": {}, "logsparse": {"kind": "logsparse", "seed_tries": 256}, "one_level": {"method": "one_level", "bucket_mean": 64, "bucket_cap": 160, "seed_tries": 64}}.items():
+            f = build_filter(members, "c_custkey", k, n_rows=n, **how)
+            rows.append((name, k, measures.space(f)["bits_per_key"], measures.probe_cost(f)["words"], rate(contains(f, absent, "c_custkey"))))
+        b = baselines.bloom_repeated(members, "c_custkey", k, n)
+        rows.append(("k-fold Bloom", k, b.bits * k / n, float(k), rate(baselines.bloom_contains(b, absent, "c_custkey"))))
+        s = baselines.fingerprint_set(members, "c_custkey", k, n)
+        rows.append(("fingerprint set", k, k + 2.0, 2.0, rate(baselines.fingerprint_contains(s, absent, "c_custkey"))))
+    return spark.createDataFrame(rows, "method string, k int, bits_per_key double, words_read double, error double")
+
+
 @query()
 def solve_rates(spark: SparkSession, sf: str) -> DataFrame:
     """Independence by field and extra variables, measured against the exact product."""
