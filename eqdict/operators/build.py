@@ -19,6 +19,7 @@ from eqdict.spec import DictSpec
 
 GROUP = 8  # buckets that one kernel call solves together
 H1_TRIES = 8
+MOST_LABELS = 1 << 16
 
 
 def key_columns(df: DataFrame, keys: list[str] | str) -> list:
@@ -133,8 +134,10 @@ def build(df: DataFrame, keys: list[str] | str, value: str | Column, spec: DictS
 
 
 def encoded(df: DataFrame, column: str) -> tuple[DataFrame, DataFrame]:
-    """(codebook(code, label), df with _code): for values with few distinct labels. Nulls stay null."""
-    labels = df.select(F.col(column).alias("label")).where("label is not null").distinct().limit(1 << 16).collect()
+    """(codebook(code, label), df with _code): for values with few distinct labels. Nulls stay null; more than MOST_LABELS are refused."""
+    labels = df.select(F.col(column).alias("label")).where("label is not null").distinct().limit(MOST_LABELS + 1).collect()
+    if len(labels) > MOST_LABELS:
+        raise ValueError(f"{column} has more than {MOST_LABELS} labels")
     ordered = sorted(r["label"] for r in labels)
     book = df.sparkSession.createDataFrame([(i, x) for i, x in enumerate(ordered)], f"code long, label {df.schema[column].dataType.simpleString()}")
     return book, df.join(F.broadcast(book.withColumnRenamed("code", "_code")), F.col(column) == F.col("label"), "left").drop("label")

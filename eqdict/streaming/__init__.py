@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from eqdict.operators.membership import build_filter, contains
 from eqdict.operators.probe import looked_up
-from eqdict.sources.store import Store, workdir
+from eqdict.sources.store import Store, drop, workdir
 
 
 def probe_stream(store: Store, stream: DataFrame, keys, out: str = "value") -> DataFrame:
@@ -79,6 +79,8 @@ def rebuild_by_batch(stream: DataFrame, folder: str, day, key: str, k: int = 8):
     def one(batch: DataFrame, number: int) -> None:
         days = [r[0] for r in batch.select(day.cast("string").alias("d")).distinct().collect()]
         for d in days:
-            build_filter(batch.where(day.cast("string") == d), key, k, path=f"{folder}/{d}/batch-{number}-{abs(hash((d, number))) % 10**6}", on_null="drop")
+            path = f"{folder}/{d}/batch-{number}"
+            drop(batch.sparkSession, path)  # what an earlier try of this batch left
+            build_filter(batch.where(day.cast("string") == d), key, k, path=path, on_null="drop")
 
     return stream.writeStream.foreachBatch(one).option("checkpointLocation", f"{folder}/_state").trigger(availableNow=True).start()

@@ -13,7 +13,7 @@ from eqdict.plans.sql import explained, register
 from eqdict.sources.keylists import read_keys
 from eqdict.sources.store import load
 from eqdict.spec import DictSpec
-from eqdict.streaming import Tiers, events_stream, probe_stream, run_available, windowed_filters
+from eqdict.streaming import Tiers, events_stream, probe_stream, rebuild_by_batch, run_available, windowed_filters
 
 METHODS = {
     "two_level": {}, "extra": {"c": 3, "cell_cap": 61}, "side": {"bucket_mean": 100, "bucket_cap": 104}, "logsparse": {"kind": "logsparse", "seed_tries": 256}, "local": {"kind": "local", "seed_tries": 256},
@@ -276,6 +276,17 @@ def test_streams(spark, sf):
     assert 0 < days.count() <= exact.count() and days.join(exact, ["start", "user_id"]).where("n <> count").count() == 0
 
 
+def test_stores_by_day(spark, sf, tmp_path):
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    stream = events_stream(spark, sf, events.schema).where("ts < timestamp_ntz '2024-01-04'")
+    for _ in range(2):  # the second run finds nothing new
+        rebuild_by_batch(stream, str(tmp_path / "days"), F.to_date("ts"), "user_id").awaitTermination()
+    for day in ("2024-01-01", "2024-01-03"):
+        store = load(spark, str(tmp_path / "days" / day / "batch-0"))
+        users = events.where(F.to_date("ts") == day).select("user_id").distinct()
+        assert users.count() == store.n_keys and contains(store, users, "user_id").where("not hit").count() == 0
+
+
 def test_tiers(spark):
     t = Tiers("key", 10)
     assert t.contains(table(spark, 5, 1)).where("hit").count() == 0
