@@ -119,13 +119,16 @@ def part_of(h: np.ndarray, parts: int) -> np.ndarray:
 
 def distinct(code: np.ndarray, more: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(order, starts of the groups in it, group of each entry)."""
-    order = np.argsort(code, kind="stable") if more is None else np.lexsort((more, code))
+    order = np.argsort(code)
     c = code[order]
     new = np.ones(len(c), bool)
     new[1:] = c[1:] != c[:-1]
     if more is not None:
         m = more[order]
-        new[1:] |= m[1:] != m[:-1]
+        if (~new[1:] & (m[1:] != m[:-1])).any():  # equal codes of different windows: hardly ever
+            order = np.lexsort((more, code))
+            c, m = code[order], more[order]
+            new[1:] = (c[1:] != c[:-1]) | (m[1:] != m[:-1])
     group = np.empty(len(c), np.int64)
     group[order] = np.cumsum(new) - 1
     return order, np.flatnonzero(new), group

@@ -381,3 +381,13 @@ def test_bands_miss_almost_nothing():
         rows, bands = near_dedup.band_rows(percent)
         assert rows * bands <= setsketch.REGISTERS
         assert (1 - setsketch.equal_chance(percent / 100) ** rows) ** bands < 1e-6
+
+
+def test_distinct_pairs():
+    r = np.random.default_rng(0)
+    for more in (None, np.zeros(500, np.uint32), r.integers(0, 3, 500).astype(np.uint32)):
+        code = r.integers(0, 40, 500, dtype=np.uint64)
+        order, starts, group = substring_dedup.distinct(code, more)
+        pairs = list(zip(code.tolist(), (more if more is not None else code).tolist()))
+        assert len(starts) == len(set(pairs)) and len({(p, g) for p, g in zip(pairs, group.tolist())}) == len(starts)
+        assert (group[order] == np.sort(group)).all() and (code[order] == np.sort(code)).all()
