@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from eqdict.operators.membership import build_filter, contains
+from eqdict.operators.build import prepared, settled
+from eqdict.operators.membership import build_filter, contains, fingerprint
 from eqdict.operators.probe import looked_up
-from eqdict.sources.store import Store, drop, workdir
+from eqdict.sources.store import Store, drop, staged, workdir
 
 
 def probe_stream(store: Store, stream: DataFrame, keys, out: str = "value") -> DataFrame:
@@ -73,6 +76,30 @@ def windowed_filters(stream: DataFrame, time: str, key: str, window: str = "1 da
     return stream.withWatermark(time, delay).groupBy(F.window(time, window, slide) if slide else F.window(time, window), key).agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), F.col("window.end").alias("end"), key, "n")
 
 
+def active_sessions(stream: DataFrame, time: str, key: str, gap: str = "30 minutes", delay: str = "1 hour") -> DataFrame:
+    """(start, end, key, n) of a stream's sessions as they close."""
+    stream = stream.withColumn(time, F.col(time).cast("timestamp")).withWatermark(time, delay)
+    return stream.groupBy(F.session_window(time, gap), key).agg(F.count("*").alias("n")).select(F.col("session_window.start").alias("start"), F.col("session_window.end").alias("end"), key, "n")
+
+
+def first_seen(stream: DataFrame, time: str, key: str, delay: str = "1 hour") -> DataFrame:
+    """Each key of a stream once within the watermark: what a filter takes, without state for older keys."""
+    return stream.withColumn(time, F.col(time).cast("timestamp")).withWatermark(time, delay).dropDuplicatesWithinWatermark([key])
+
+
+def with_late_keys(store: Store, late: DataFrame, keys, value: str | None = None) -> Store:
+    """The store with keys that came after it was closed in its exact side dictionary, where they go before what is stored.
+
+    The next rebuild takes them over. A filter needs no value.
+    """
+    names = [keys] if isinstance(keys, str) else list(keys)
+    v = fingerprint(late, names, store.spec) if store.spec.membership else F.col(value)
+    data = settled(prepared(late, names, v, store.spec), spec=store.spec)
+    old = store.side.join(data, ["key_hi", "key_lo"], "left_anti")
+    side = staged(old.unionByName(data.select("key_hi", "key_lo", "value")), f"{workdir(late.sparkSession, 'late')}/side")
+    return replace(store, side=side, facts=store.facts | {"n_side": side.count()})
+
+
 def rebuild_by_batch(stream: DataFrame, folder: str, day, key: str, k: int = 8):
     """A query that builds one store for each day of a micro-batch, below folder; a batch that runs again writes the same place anew."""
 

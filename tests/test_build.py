@@ -13,7 +13,7 @@ from eqdict.plans.sql import explained, register
 from eqdict.sources.keylists import read_keys
 from eqdict.sources.store import load
 from eqdict.spec import DictSpec
-from eqdict.streaming import Tiers, events_stream, probe_stream, rebuild_by_batch, run_available, windowed_filters
+from eqdict.streaming import Tiers, active_sessions, events_stream, first_seen, probe_stream, rebuild_by_batch, run_available, windowed_filters, with_late_keys
 
 METHODS = {
     "two_level": {}, "extra": {"c": 3, "cell_cap": 61}, "side": {"bucket_mean": 100, "bucket_cap": 104}, "logsparse": {"kind": "logsparse", "seed_tries": 256}, "local": {"kind": "local", "seed_tries": 256},
@@ -308,3 +308,38 @@ def test_data_source(spark, tmp_path):
     assert got.agg(F.sum("m")).first()[0] == store.facts["variables"] and got.count() == store.facts["cells"]
     with pytest.raises(Exception, match="manifest"):
         spark.read.format("eqdict").option("path", str(tmp_path)).load().collect()
+
+
+def test_fluent_surface(spark, tmp_path):
+    from eqdict.api import dictionary, opened
+
+    df = table(spark, 300, 3)
+    d = dictionary(df).key("key").value("v").bits(3).method("two_level").option(bucket_mean=128).write(str(tmp_path / "d"))
+    again = opened(spark, str(tmp_path / "d"))
+    assert d.verify(df, "key", value="v") == again.verify(df, "key", value="v") == 0
+    assert again.lookup(df, "key", distinct=True).where("value <> v").count() == 0 and again.space()["payload"] == 900 and again.describe()["n_keys"] == 300
+    f = dictionary(df).key("key").bits(10).write()
+    assert f.where_contains(df, "key").count() == 300 and f.contains(df, "key").where("hit").count() == 300
+    again.views("fluent")
+    with pytest.raises(NotImplementedError):
+        f.insert(1)
+    with pytest.raises(ValueError):
+        dictionary(df).write()
+
+
+def test_late_keys(spark):
+    df, late = table(spark, 400, 3), spark.createDataFrame([(5, 6), (10**6, 3)], "key long, v long")
+    store = with_late_keys(build(df, "key", "v", DictSpec(k=3)), late, "key", "v")
+    got = {r.key: r.value for r in looked_up(store, df.select("key").union(late.select("key")), "key").collect()}
+    assert got[5] == 6 and got[10**6] == 3 and all(got[r.key] == r.v for r in df.where("key <> 5").collect())
+    f = with_late_keys(build_filter(df, "key", 12), late, "key")
+    assert contains(f, late, "key").where("not hit").count() == 0
+
+
+def test_sessions_and_first_seen(spark, sf):
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    stream = events_stream(spark, sf, events.schema)
+    sessions = run_available(active_sessions(stream, "ts", "user_id", "2 hours"), "sessions")
+    assert 0 < sessions.agg(F.sum("n")).first()[0] <= events.count()
+    seen = run_available(first_seen(stream.select("ts", "user_id"), "ts", "user_id"), "seen")
+    assert seen.select("user_id").distinct().count() == events.select("user_id").distinct().count() <= seen.count() <= events.count()

@@ -95,3 +95,11 @@ def test_theory():
     assert [round(theory.no_collision(s, s * s), 3) for s in (3, 4, 5, 6)] == [0.691, 0.667, 0.653, 0.644]
     with pytest.raises(ValueError):
         theory.slack_for(2)
+
+
+def test_wide_affine_hash(spark):
+    r = np.random.Generator(np.random.PCG64(9))
+    a, b = int(r.integers(1, hashing.P61)), int(r.integers(0, hashing.P61))
+    x = [0, 1, -1, 7, 2**62, -(2**63), 2**63 - 1, 123456789012345]
+    got = [tuple(v) for v in spark.createDataFrame([(v,) for v in x], "x long").select("x", hashing.affine61(F.col("x"), 9, 1000)).collect()]
+    assert got == [(v, (a * (v % hashing.P61) + b) % hashing.P61 % 1000) for v in x]
