@@ -28,7 +28,9 @@ from eqdict.llm.common import drop, mix, parts_of, staged, window_hashes, word_h
 WINDOW = 35
 START = 9
 BLOCK_BYTES = 6 << 20
-PART_HASHES = 1_000_000
+PART_HASHES = 4_000_000
+#: Fewer hashes are not worth a part of their own.
+LEAST_HASHES = 250_000
 SENT = "part long, block string, keys binary, more binary, twice binary"
 ANSWER = "block string, part long, bits binary"
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
@@ -174,23 +176,27 @@ def answered(block: Block, rows: list[tuple], length: int, parts: int, last: boo
 
 
 def found_repeated(last: bool):
-    """Kernel of a part: hashes that two blocks sent, or one block met twice."""
-
-    def answer(table: pa.Table) -> pa.Table:
-        part = table.column("part")[0].as_py()
-        names, keys, more, twice = (table.column(c).to_pylist() for c in ("block", "keys", "more", "twice"))
-        if part < 0:
-            return pa.table({"block": names, "part": pa.array([part] * len(names), pa.int64()), "bits": pa.array(keys, pa.binary())})
-        arrays = [np.frombuffer(k, "<u8" if last else "<u4") for k in keys]
-        code, sizes = np.concatenate(arrays), [len(a) for a in arrays]
-        extra = np.concatenate([np.frombuffer(m, "<u4") for m in more]) if last else None
-        many = np.concatenate([np.unpackbits(np.frombuffer(t, np.uint8), count=n) for t, n in zip(twice, sizes, strict=True)]).astype(bool)
-        order, starts, group = distinct(code, extra)
-        hit = np.diff(np.append(starts, len(order))) > 1
-        hit |= np.logical_or.reduceat(many[order], starts)
-        flags = hit[group]
-        cuts = np.cumsum([0, *sizes])
-        return pa.table({"block": names, "part": pa.array([part] * len(names), pa.int64()), "bits": pa.array([np.packbits(flags[a:b]).tobytes() for a, b in itertools.pairwise(cuts.tolist())], pa.binary())})
+    """Kernel of a task that has one part: hashes that two blocks sent, or one block met twice. Rows below 0 are handed through."""
+
+    def answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows: dict[int, list[tuple]] = {}
+        for b in batches:
+            for part, *row in zip(*(b.column(c).to_pylist() for c in ("part", "block", "keys", "more", "twice")), strict=True):
+                rows.setdefault(part, []).append(row)
+        for part, own in rows.items():
+            names, keys, more, twice = zip(*own, strict=True)
+            bits = list(keys)
+            if part >= 0:
+                arrays = [np.frombuffer(k, "<u8" if last else "<u4") for k in keys]
+                code, cuts = np.concatenate(arrays), np.cumsum([0, *map(len, arrays)]).tolist()
+                extra = np.concatenate([np.frombuffer(m, "<u4") for m in more]) if last else None
+                many = np.concatenate([np.unpackbits(np.frombuffer(t, np.uint8), count=len(a)) for t, a in zip(twice, arrays, strict=True)]).astype(bool)
+                order, starts, group = distinct(code, extra)
+                hit = np.diff(np.append(starts, len(order))) > 1
+                hit |= np.logical_or.reduceat(many[order], starts)
+                flags = hit[group]
+                bits = [np.packbits(flags[a:b]).tobytes() for a, b in itertools.pairwise(cuts)]
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array([part] * len(names), pa.int64()), pa.array(bits, pa.binary())], ["block", "part", "bits"])
 
     return answer
 
@@ -213,9 +219,10 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, start: int = START, i
     folder = workdir(spark, "substring")
     index = written_blocks(docs, folder, id_col, text_col, block_bytes)
     total, n_blocks = index.agg(F.coalesce(F.sum("n_words"), F.lit(0)), F.count("*")).first()
-    parts = max(parts_of(spark), -(-total // part_hashes))
+    parts = max(-(-total // part_hashes), min(parts_of(spark), -(-total // LEAST_HASHES)), 1)
     # rows are few and small but stand for whole blocks of text, so their number of tasks is not left to adaptive coalescing
-    block_tasks = max(parts_of(spark), n_blocks)
+    block_tasks = max(-(-n_blocks // 4), min(parts_of(spark), n_blocks), 1)
+    by_part = lambda df: df.repartitionById(parts, F.pmod("part", F.lit(parts)).cast("int"))  # noqa: E731  each part has a task of its own
     by_block = lambda df: df.repartition(block_tasks, "block")
     lengths = levels(window, start)
 
@@ -257,7 +264,7 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, start: int = START, i
 
     sent = by_block(index.select("block")).mapInArrow(opening(lengths[0], lengths[0] == window), SENT)
     for i, length in enumerate(lengths):
-        replies = staged(sent.repartition(parts, "part").groupBy("part").applyInArrow(found_repeated(length == window), ANSWER), f"{folder}/answers-{length}")
+        replies = staged(by_part(sent).mapInArrow(found_repeated(length == window), ANSWER), f"{folder}/answers-{length}")
         if i:
             drop(spark, f"{folder}/answers-{lengths[i - 1]}")
         if length < window:
