@@ -3,7 +3,7 @@
 A rule is a regular expression with literal tokens, each of which every URL that matches must contain as a whole token. The corpus
 is read once to count the URLs that hold each rule token; a rule is filed under its rarest one. Then every URL's tokens fetch the
 rules filed under them, and only those expressions run. A token that is in a large share of the URLs is chosen only by a rule that
-has no other.
+has no other. A rule whose matches have no token in common (None instead of a list) runs on every URL.
 """
 
 from __future__ import annotations
@@ -20,9 +20,10 @@ SITE_RULES = [
     ("block", "example.com", "/de/"),
     ("allow", "org", "/fr/"),
 ]
-# General patterns that block where no site rule fits (pattern on host + path in lower case, literal tokens).
+# General patterns that block where no site rule fits (pattern on host + path in lower case, literal tokens that
+# are whole in every match, or None).
 GENERAL_RULES = [
-    (r"(^|[./-])spam[.-]?farm\d*\.", ["spam", "farm"]),
+    (r"(^|[./-])spam[.-]?farm\d*\.", None),  # spamfarm.x, spam-farm12.x
     (r"(^|\.)ads\.", ["ads"]),
     (r"(^|\.)tracker\.", ["tracker"]),
     (r"/login(/|$)", ["login"]),
@@ -54,21 +55,22 @@ def site_rule(verdict: str, host: str, path: str) -> dict:
     return {"rule": f"{host}{path}", "verdict": verdict, "pattern": rf"^(?:[^\n]*\.)?{re.escape(host)}\n{re.escape(path)}", "tokens": words, "site": True, "weight": len(host) + len(path)}
 
 
-def general_rule(pattern: str, tokens: list[str]) -> dict:
+def general_rule(pattern: str, tokens: list[str] | None) -> dict:
     return {"rule": pattern, "verdict": "block", "pattern": pattern, "tokens": tokens, "site": False, "weight": 0}
 
 
 def rule_table(spark: SparkSession, site=SITE_RULES, general=GENERAL_RULES) -> DataFrame:
     rules = [site_rule(*r) for r in site] + [general_rule(*r) for r in general]
     rules = [r | {"rule_id": i} for i, r in enumerate(rules)]
-    if not rules or any(not r["tokens"] for r in rules):
-        raise ValueError("there must be rules, and each needs a literal token")
-    fields = [F.struct(*(F.array(*map(F.lit, r[k])).alias(k) if k == "tokens" else F.lit(r[k]).alias(k) for k in rules[0])) for r in rules]
+    if not rules or any(r["tokens"] is not None and not r["tokens"] for r in rules):
+        raise ValueError("there must be rules, and each needs a literal token, or None to run on every URL")
+    listed = lambda tokens: F.lit(None).cast("array<string>") if tokens is None else F.array(*map(F.lit, tokens))
+    fields = [F.struct(*((listed(r[k]) if k == "tokens" else F.lit(r[k])).alias(k) for k in rules[0])) for r in rules]
     return spark.range(1, numPartitions=1).select(F.inline(F.array(*fields)))
 
 
 def indexed(rules: DataFrame, tokens: DataFrame) -> DataFrame:
-    """rules with `token`, the rarest of theirs among tokens(token, n); ties go to the first in the alphabet."""
+    """rules with `token`, the rarest of theirs among tokens(token, n); ties go to the first in the alphabet. Rules without tokens are left out."""
     each = rules.select("rule_id", F.explode("tokens").alias("token"))
     rare = each.join(tokens, "token", "left").groupBy("rule_id").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "token")).alias("r"))
     return rules.join(rare, "rule_id").select("rule_id", "rule", "verdict", "pattern", "site", "weight", F.col("r.token").alias("token"))
@@ -89,6 +91,7 @@ def judge(pages: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col:
     each = urls.select(F.explode("_tokens").alias("token"))
     counts = each.join(F.broadcast(wanted) if small else wanted, "token", "left_semi").groupBy("token").agg(F.count("*").alias("n"))
     index = indexed(rules, counts)
+    always = rules.where("tokens is null").select("rule", "verdict", "pattern", "site", "weight")
     subject = F.concat("host", F.lit("\n"), "path")
     whole = F.lower(F.concat("host", "path"))
 
@@ -103,20 +106,22 @@ def judge(pages: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col:
         # one lookup table of few rules goes to every task; candidates never leave their row
         entry = F.struct("rule", "verdict", "pattern", "site", "weight")
         filed = index.groupBy("token").agg(F.collect_list(entry).alias("rules")).agg(F.map_from_entries(F.collect_list(F.struct("token", "rules"))).alias("_index"))
-        table = filed.first()["_index"] if n_rules else {}
-        if not table:
-            return urls.select("page_id", "host", "path", *verdicts(F.array().cast("array<struct<rule:string,verdict:string,pattern:string,site:boolean,weight:int>>")))
-        args = []
-        for token, own in table.items():
-            args += [F.lit(token), F.array(*(F.struct(F.lit(r["rule"]).alias("rule"), F.lit(r["verdict"]).alias("verdict"), F.lit(r["pattern"]).alias("pattern"), F.lit(r["site"]).alias("site"), F.lit(r["weight"]).alias("weight")) for r in own))]
-        lookup = F.create_map(*args)
+        table = filed.first()["_index"]
+        literal = lambda r: F.struct(F.lit(r["rule"]).alias("rule"), F.lit(r["verdict"]).alias("verdict"), F.lit(r["pattern"]).alias("pattern"), F.lit(r["site"]).alias("site"), F.lit(r["weight"]).alias("weight"))
         nothing = F.array().cast("array<struct<rule:string,verdict:string,pattern:string,site:boolean,weight:int>>")
-        candidates = F.flatten(F.transform("_tokens", lambda t: F.coalesce(F.try_element_at(lookup, t), nothing)))
-        found = F.filter(candidates, lambda r: F.when(r["site"], F.rlike(subject, r["pattern"])).otherwise(F.rlike(whole, r["pattern"])))
+        found = nothing
+        if table:
+            lookup = F.create_map(*(x for token, own in table.items() for x in (F.lit(token), F.array(*map(literal, own)))))
+            candidates = F.flatten(F.transform("_tokens", lambda t: F.coalesce(F.try_element_at(lookup, t), nothing)))
+            found = F.filter(candidates, lambda r: F.when(r["site"], F.rlike(subject, r["pattern"])).otherwise(F.rlike(whole, r["pattern"])))
+        met = [F.when(F.rlike(subject if r["site"] else whole, F.lit(r["pattern"])), literal(r)) for r in always.collect()]
+        if met:
+            found = F.concat(found, F.array_compact(F.array(*met)))
         return urls.withColumn("_found", found).select("page_id", "host", "path", *verdicts(F.col("_found")))
     # a large rule set: tokens fetch rules by a join; rows are found again by host and path, which decide everything
     places = urls.select("host", "path", "_tokens").distinct()
-    hits = places.select("host", "path", F.explode("_tokens").alias("token")).join(index, "token")
+    hits = places.select("host", "path", F.explode("_tokens").alias("token")).join(index, "token").select("host", "path", *always.columns)
+    hits = hits.unionByName(places.select("host", "path").crossJoin(F.broadcast(always)))
     hits = hits.where(F.when(F.col("site"), F.rlike(subject, F.col("pattern"))).otherwise(F.rlike(whole, F.col("pattern"))))
     by_place = hits.groupBy("host", "path").agg(
         F.min(F.when(F.col("site"), F.struct((-F.col("weight")).alias("w"), "rule", "verdict"))).alias("best"),

@@ -1,5 +1,7 @@
 """Operators whose rows SQL can express, on the given tables and on odd ones."""
 
+import re
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
@@ -86,6 +88,23 @@ def test_urls(spark, monkeypatch, most):
     assert url_filter.judge(pages.limit(0), url_filter.rule_table(spark)).count() == 0
 
 
+@pytest.mark.parametrize("most", [1000, 0])
+def test_every_general_rule_runs_where_it_matches(spark, monkeypatch, most):
+    """As if all patterns ran on all URLs, whatever their optional parts hold."""
+    monkeypatch.setattr(url_filter, "MOST_INLINE_RULES", most)
+    hosts = [f"{a}spam{b}farm{c}{d}" for a in ("", "x.", "x-", "x") for b in ("", ".", "-", "_") for c in ("", "1", "12", "a") for d in (".com", ".x.org", "-x.com", "")]
+    hosts += [f"{a}{w}{b}com" for w in ("ads", "tracker") for a in ("", "w.", "w-") for b in (".", "1.", "-")]
+    paths = [f"/{w}{e}" for w in ("login", "cart", "wp-admin", "wp.admin", "wpadmin", "cgi-bin", "spam-farm3.x", "a/spamfarm.x") for e in ("", "/", "/x", "1", "-x")]
+    urls = [f"http://{h}/" for h in hosts] + [f"http://w.com{p}" for p in paths] + ["http://SPAM-Farm7.com/Login", "http://spamfarm.com/cart/login", None]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = {r.page_id: (r.general, r.verdict) for r in url_filter.judge(pages, url_filter.rule_table(spark, [("block", "nowhere", "/")])).collect()}
+    for i, url in enumerate(urls):
+        n = sum(bool(re.search(p, (url or "http://")[7:].lower())) for p, _ in url_filter.GENERAL_RULES)
+        assert got[i] == (n, "block" if n else "allow"), url
+    only = url_filter.judge(pages, url_filter.rule_table(spark, [], [(r"farm\d*\.", None)])).collect()
+    assert {r.page_id: r.general for r in only} == {i: int(bool(re.search(r"farm\d*\.", (url or "").lower()))) for i, url in enumerate(urls)}
+
+
 def test_rules_are_filed_under_their_rarest_token(spark):
     rules = url_filter.rule_table(spark)
     counts = spark.createDataFrame([("net", 100), ("example", 50), ("en", 7), ("com", 9), ("de", 20)], "token string, n long")
