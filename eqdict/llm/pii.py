@@ -188,6 +188,9 @@ def word_features(shape: bytes) -> tuple[list[str], list[str], list[str]]:
 class Field:
     """Weights of features and transitions; a text's ends count as outside."""
 
+    #: Beyond so many shapes the table of scores is made anew before the next group of texts.
+    most_shapes = 200_000
+
     def __init__(self, names: dict[str, int], weights: np.ndarray, moves: np.ndarray):
         self.names, self.weights, self.moves = names, weights, moves
         # what a path can gain at most on the way into and out of a tag against `outside`
@@ -201,7 +204,7 @@ class Field:
         self.__init__(*state)
 
     def clear(self) -> None:
-        """Rows of scores by shape: 0 stands for the end of a text."""
+        """Rows of scores by shape: 0 stands for the end of a text. Numbers that `ids` gave before no longer hold."""
         self.at: dict[bytes, int] = {}
         self.rows = np.zeros((3, 1024, len(TAGS)))
         self.lead = np.zeros((3, 1024))
@@ -217,8 +220,6 @@ class Field:
         return i
 
     def ids(self, words: list[bytes]) -> np.ndarray:
-        if len(self.at) > 200_000:  # bounded memory
-            self.clear()
         known = list(map(self.at.get, words))
         if None in known:
             known = [self.at.get(w) or self.lookup(w) for w in words]
@@ -357,6 +358,8 @@ def field_spans(text: str, data: bytes, hits: list[tuple[int, int]]) -> list[tup
 
 def found_in(texts: list[str], field: Field) -> list[tuple[dict[str, list[tuple[int, int]]], list[tuple[str, int, int]]]]:
     """(base spans, spans that the field adds) of each text. What overlaps a base span is not added."""
+    if len(field.at) > field.most_shapes:  # bounded memory; never between the texts of a group, whose numbers are decoded together
+        field.clear()
     data = [t.encode("utf-8", "surrogatepass") for t in texts]
     words = [shapes(d) for d in data]
     first, rows = [], [np.zeros(1, np.int64)]

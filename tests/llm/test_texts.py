@@ -141,6 +141,20 @@ def test_field_finds_secrets_and_leaves_prose(spark):
     assert got[1] == f"secret:{at}:{at + 40}" and got[2] == "" and got[3] == "email:0:6,ip:48:56,secret:7:47"
 
 
+def test_bound_of_the_shape_table_changes_nothing():
+    """Numbers of shapes hold for all texts of a group, however many shapes it has."""
+    f = pii.default_field()
+    tight, wide = (pii.Field(f.names, f.weights, f.moves) for _ in range(2))
+    tight.most_shapes = 5
+    r = np.random.default_rng(3)
+    odd = lambda: "".join(r.choice(list("aA1-/"), int(r.integers(1, 30))))
+    texts = [" ".join(w for i in range(12) for w in (odd(), "token", "=", f'"{hashlib.sha1(bytes([t, i])).hexdigest()}"', odd(), "123-45-6789")) for t in range(30)]
+    groups = [texts[i : i + 6] for i in range(0, 30, 6)]
+    found = [pii.found_in(g, tight) for g in groups]
+    assert found == [pii.found_in(g, wide) for g in groups] and sum(len(added) for g in found for _, added in g) > 300
+    assert len(tight.at) < len(wide.at)  # made anew between groups
+
+
 # --- language --------------------------------------------------------------------------------------------------------------------
 
 
