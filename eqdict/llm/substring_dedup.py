@@ -102,7 +102,8 @@ class Block:
         ok = self.left >= length
         if repeated is not None:
             step = length - before
-            ok[: len(ok) - step] &= repeated[: len(ok) - step] & repeated[step:]
+            n = max(len(ok) - step, 0)  # later places have fewer words left than the window needs
+            ok[:n] &= repeated[:n] & repeated[step:]
         return np.flatnonzero(ok)
 
     def coded(self, at: np.ndarray, length: int, parts: int, last: bool) -> tuple[np.ndarray, np.ndarray | None]:

@@ -301,6 +301,13 @@ def test_windows_of_odd_rows(spark, edge, empty):
     assert sorted(map(tuple, substring_dedup.without_repeats(df, with_text=True).collect()), key=repr) == plain_repeats(same, 35)
 
 
+def test_blocks_of_few_words(spark):
+    """Blocks of 1 to 40 words, one document each, of which some repeat."""
+    docs = [(n, " ".join(f"w{i}" for i in range(n))) for n in range(1, 41)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    assert sorted(map(tuple, substring_dedup.without_repeats(df, with_text=True, block_bytes=1).collect()), key=repr) == plain_repeats(docs, 35)
+
+
 def test_levels():
     assert substring_dedup.levels(35, 9) == [9, 18, 35] and substring_dedup.levels(35, 50) == [35] and substring_dedup.levels(8, 1) == [1, 2, 4, 8]
 
