@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from eqdict.functions.hashing import affine31, seed_of
-from eqdict.operators.membership import build_filter, contains, contains_within1, edit1_variants
+from eqdict.operators.membership import ALPHABET, build_filter, contains, contains_within1, edit1_variants, where_contains
 from eqdict.sources.store import Store
 
 
@@ -22,6 +22,11 @@ def word_list(docs: DataFrame, text: str = "text", least: int = 1) -> DataFrame:
     return docs.select(F.explode(words_of(F.col(text), least)).alias("word")).distinct()
 
 
+def alphabet_of(words: DataFrame, word: str = "word") -> str:
+    """All letters of a list, which edits of a candidate must try."""
+    return "".join(sorted(r[0] for r in words.select(F.explode(F.split(word, ""))).distinct().collect() if r[0]))
+
+
 def misspelled(words: Store, text: DataFrame, word: str = "word") -> DataFrame:
     """Words that the list's filter rejects: all of them are wrong, and 2^-k of the wrong ones are not among them."""
     return contains(words, text, word, "_known").where("_known is not null and not _known").drop("_known")
@@ -39,12 +44,15 @@ def unsuitable(passwords: Store, candidates: DataFrame, word: str = "word") -> D
     return contains_within1(passwords, candidates, word, "unsuitable")
 
 
-def unsuitable_verified(dictionary: DataFrame, candidates: DataFrame, k: int = 8, word: str = "word") -> DataFrame:
-    """Exactly: what the filter flags is compared with the list by the same variants."""
-    flagged = contains_within1(build_filter(dictionary, word, k), candidates, word, "_hit")
-    tried = flagged.where("_hit").select(F.col(word).alias("_w"), F.explode(edit1_variants(F.col(word))).alias("_v")).distinct()
-    sure = tried.join(dictionary.select(F.col(word).alias("_v")), "_v", "left_semi").select("_w").distinct().withColumn("_is", F.lit(True))
-    return flagged.drop("_hit").join(sure, F.col(word) == F.col("_w"), "left").select(*candidates.columns, F.coalesce("_is", F.lit(False)).alias("unsuitable"))
+def unsuitable_verified(dictionary: DataFrame, candidates: DataFrame, k: int = 8, word: str = "word", alphabet: str = ALPHABET) -> DataFrame:
+    """Exactly, if the alphabet has all letters of the list: the variants that the filter claims are compared with the list."""
+    words = candidates.select(F.col(word).alias("_w")).where("_w is not null").distinct()
+    # a word is short but stands for hundreds of variants, so the number of tasks is not left to adaptive coalescing
+    words = words.repartition(int(words.sparkSession.conf.get("spark.sql.shuffle.partitions")), "_w")
+    tried = words.select("_w", F.explode(edit1_variants(F.col("_w"), alphabet)).alias(word))
+    claimed = where_contains(build_filter(dictionary, word, k), tried, word)
+    sure = claimed.join(dictionary.select(word), word, "left_semi").select("_w").distinct().withColumn("_is", F.lit(True))
+    return candidates.join(sure, F.col(word) == F.col("_w"), "left").select(*candidates.columns, F.coalesce("_is", F.lit(False)).alias("unsuitable"))
 
 
 def differential_reads(changed: DataFrame, reads: DataFrame, key: str, k: int = 8) -> DataFrame:

@@ -191,6 +191,31 @@ def password_edit1_verified(spark: SparkSession, sf: str) -> DataFrame:
     return apps.unsuitable_verified(listed.where(F.col("word").rlike("^[a-z]*[^a-z]?[a-z]*$")), candidates)
 
 
+def _changed_word(w):
+    """A word as it is, without the first letter, or with two more letters, by its length and first letter."""
+    p = F.length(w) + F.ascii(w)
+    return F.when(p % 3 == 0, w).when(p % 3 == 1, F.substring(w, 2, 1000)).otherwise(F.concat(w, F.lit("qx")))
+
+
+@query()
+def password_edit1_documents(spark: SparkSession, sf: str) -> DataFrame:
+    """The whole job: all words of documents are the list; candidates are customers' names, changed words of the list and of conversations, and random tokens.
+
+    No length and no letter is left out. As many variants are tried for each candidate as twice its length times the list's
+    letters, so the filter takes 16 bits. A levenshtein for each pair would be too slow for SQL; tests go through a small list.
+    """
+    listed = apps.word_list(table(spark, sf, "documents"), least=6)
+    names = table(spark, sf, "customer")
+    parts = [
+        names.select(F.lower("c_name").alias("word")),
+        names.select(F.substring(F.md5(F.concat(F.lit("token:"), F.col("c_custkey"))), 1, 10).alias("word")),
+        listed.select(_changed_word(F.col("word")).alias("word")),
+        apps.word_list(table(spark, sf, "conversations"), least=6).select(_changed_word(F.col("word")).alias("word")),
+    ]
+    candidates = parts[0].union(parts[1]).union(parts[2]).union(parts[3]).where("word is not null").distinct()
+    return apps.unsuitable_verified(listed, candidates, k=16, alphabet=apps.alphabet_of(listed))
+
+
 _PROXY = affine31_sql("('0x' || substr(md5(regexp_extract(url, '^[^:]*://([^/?#]*)', 1)), 1, 7))::BIGINT", seed_of("proxy"), 4)
 
 

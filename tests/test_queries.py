@@ -1,7 +1,9 @@
 """Every query with SQL gives the rows that DuckDB gives."""
 
+import hashlib
 import math
 import os
+import re
 
 import duckdb
 import pytest
@@ -46,3 +48,25 @@ def test_entry_and_names(spark):
 @pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - {"fp_rates_by_k", "space_by_method", "ladder"}))
 def test_other_queries_run(spark, name):
     assert QUERIES[name](spark, SF).count() > 0
+
+
+def within1(a, b):
+    """Whether one edit at most makes b of a."""
+    if len(a) > len(b):
+        a, b = b, a
+    i = next((i for i, (x, y) in enumerate(zip(a, b)) if x != y), len(a))
+    return len(b) - len(a) <= 1 and a[i + (len(a) == len(b)) :] == b[i + 1 :]
+
+
+def test_passwords_of_all_lengths_and_letters(spark, tmp_path):
+    docs = ["Straße größeßt übermäßig élèves", "unbelievableness hippopotamus naïveté", "benchmark pangram ab", None]
+    said = ["Strase größßt übermäßigq élèvesé", "nbelievableness hippopotamusses naiveté", "hippopotamuz benchmurk rhythms", "überm2ßig"]
+    for name, rows, schema in (("documents", docs, "text string"), ("conversations", said, "text string"), ("customer", ["Benchmärk", "Customer#000000001", None], "c_name string")):
+        spark.createDataFrame([(i, x) for i, x in enumerate(rows)], f"{'c_custkey' if name == 'customer' else 'doc_id'} long, {schema}").write.parquet(f"{tmp_path}/{name}.parquet")
+    split = lambda texts: {w for t in texts if t for w in re.split(r"[\W\d_]+", t.lower()) if len(w) >= 6}
+    listed, change = split(docs), lambda w: (w, w[1:], w + "qx")[(len(w) + ord(w[0])) % 3]
+    want = {"benchmärk", "customer#000000001"} | {hashlib.md5(f"token:{i}".encode()).hexdigest()[:10] for i in range(3)} | {change(w) for w in listed | split(said)}
+    got = QUERIES["password_edit1_documents"](spark, str(tmp_path)).collect()
+    assert len(got) == len(want) and {r.word: r.unsuitable for r in got} == {w: any(within1(w, d) for d in listed) for w in want}
+    bad = {r.word for r in got if r.unsuitable}
+    assert any(len(w) > 9 for w in bad) and any(not w.isascii() for w in bad) and len(bad) < len(got)
