@@ -30,7 +30,7 @@ SHARD_BYTES = 256 << 20
 HEADER_BYTES = 33  # PNG's signature and its IHDR chunk
 _SIGNATURE = b"\x89PNG\r\n\x1a\n"
 PLACES = "doc_id long, n_bytes long, digest binary, shard string, at long, media_bytes long"
-FACTS = "digest binary, shard string, at long, width long, height long, payload_bytes long, tail_crc32 long, media_bytes long, media_digest binary, feature string"
+FACTS = "digest binary, shard string, at long, width long, height long, bits long, payload_bytes long, tail_crc32 long, media_bytes long, media_digest binary, feature string"
 HEADERS = "digest binary, shard string, at long, width long, height long, bits long, media_bytes long"
 
 
@@ -147,18 +147,19 @@ def places(rows: DataFrame) -> DataFrame:
     return one.repartition(tasks, "shard").sortWithinPartitions("shard", "at")
 
 
-def _ranges(folder: str, batches: Iterator[pa.RecordBatch], whole: bool) -> Iterator[list[tuple[bytes, str, int, int, bytes]]]:
+def _ranges(folder: str, batches: Iterator[pa.RecordBatch], whole: bool) -> Iterator[list[tuple]]:
+    """Lists of (digest, shard, at, size, bytes read, further columns)."""
     fs, path = pafs.FileSystem.from_uri(f"{uri(folder)}/shards")
     name = file = None
     for b in batches:
         out, held = [], 0
-        for digest, shard, at, size in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+        for digest, shard, at, size, *more in zip(*(c.to_pylist() for c in b.columns), strict=True):
             if shard != name:
                 if file:
                     file.close()
                 name, file = shard, fs.open_input_file(f"{path}/{shard}")
-            out.append((digest, shard, at, size, file.read_at(size if whole else HEADER_BYTES, at)))
-            held += len(out[-1][-1])
+            out.append((digest, shard, at, size, file.read_at(size if whole else HEADER_BYTES, at), *more))
+            held += len(out[-1][4])
             if held > 32 << 20:
                 yield out
                 out, held = [], 0
@@ -184,24 +185,24 @@ def headers(at: DataFrame, folder: str) -> DataFrame:
 
 
 def facts(at: DataFrame, folder: str) -> DataFrame:
-    """Checksums and features of each place, from its stored bytes. A payload that does not have its digest raises an error."""
+    """Metadata columns from `headers`, then checksums and features from the stored bytes. A payload that does not have its digest
+    or its header raises an error."""
 
     def read(batches):
         for part in _ranges(folder, batches, whole=True):
             out = []
-            for digest, shard, place, size, data in part:
-                width, height, _ = png_header(data)
+            for digest, shard, place, size, data, *head in part:
                 payload = from_png(data)
-                if len(data) != size or hashlib.sha256(payload).digest() != digest:
+                if len(data) != size or hashlib.sha256(payload).digest() != digest or png_header(data) != tuple(head):
                     raise ValueError(f"payload {digest.hex()} is damaged")
-                out.append((digest, shard, place, width, height, len(payload), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).digest(), feature(payload)))
+                out.append((digest, shard, place, *head, len(payload), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).digest(), feature(payload)))
             yield _batch(out, FACTS)
 
-    return at.select("digest", "shard", "at", "media_bytes").mapInArrow(read, FACTS)
+    return headers(at, folder).select("digest", "shard", "at", "media_bytes", "width", "height", "bits").mapInArrow(read, FACTS)
 
 
 def media_columns(docs: DataFrame, folder: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """For every row: doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature, width, height, shard, at.
+    """For every row: doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature, width, height, bits, shard, at.
 
     Null counts as empty, which is stored as 64 zero bytes. Equal texts have equal values and one place. Repeated rows and null
     identifiers give a row each. Other columns are ignored, whatever their names. An empty table gives no rows.
@@ -210,4 +211,4 @@ def media_columns(docs: DataFrame, folder: str | None = None, id_col: str = "doc
     rows = stored(docs, folder, id_col=id_col, text_col=text_col)
     out = rows.select("doc_id", "n_bytes", "digest").join(facts(places(rows), folder), "digest")
     hexed = lambda c: F.lower(F.hex(c))
-    return out.select("doc_id", "n_bytes", "payload_bytes", hexed("digest").alias("payload_sha256"), "tail_crc32", "media_bytes", hexed("media_digest").alias("media_sha256"), "feature", "width", "height", "shard", "at")
+    return out.select("doc_id", "n_bytes", "payload_bytes", hexed("digest").alias("payload_sha256"), "tail_crc32", "media_bytes", hexed("media_digest").alias("media_sha256"), "feature", "width", "height", "bits", "shard", "at")

@@ -253,6 +253,15 @@ def test_media_columns(spark, edge, empty, small, tmp_path):
     assert media.media_columns(empty).count() == 0
 
 
+def test_metadata_columns_come_from_headers(spark, tmp_path, monkeypatch):
+    """The query reads each header by itself before the whole range."""
+    asked, own = [], media.headers
+    monkeypatch.setattr(media, "headers", lambda at, folder: asked.append(folder) or own(at, folder))
+    docs = spark.createDataFrame([(1, "some text " * 30), (2, None)], "doc_id long, text string")
+    got = {(r.doc_id, r.width, r.height, r.bits) for r in media.media_columns(docs, f"file://{tmp_path}/q").collect()}
+    assert asked and got == {(1, 64, 5, 8), (2, 64, 1, 8)}
+
+
 def test_damage_is_noticed(spark, tmp_path):
     folder = f"file://{tmp_path}/d"
     docs = spark.createDataFrame([(1, "some text " * 30)], "doc_id long, text string")
