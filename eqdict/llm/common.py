@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import re
 import tempfile
 import uuid
@@ -49,12 +50,9 @@ def parts_of(spark: SparkSession) -> int:
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _IS_WORD = np.array([not (c == 0x20 or 0x09 <= c <= 0x0D) for c in range(256)])
-_CHUNK = 1 << 20
-_BASE = np.uint64(0x9E3779B97F4A7C0B)
-_rng = np.random.Generator(np.random.PCG64(20240501))
-_BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_pow = np.ones(1, np.uint64)
-_inv = np.ones(1, np.uint64)
+_ODD = (0x9E3779B97F4A7C15, 0xD1B54A32D192ED03, 0x8CB92BA72F3D8DD7)
+#: Longer words are hashed by BLAKE2b.
+SHORT = 16
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -67,39 +65,38 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _tables(n: int) -> None:
-    """Powers of the base and of its inverse modulo 2^64, at least n of each."""
-    global _pow, _inv
-    if len(_pow) < n:
-        size = max(n, _CHUNK + 1)
-        inverse = np.uint64(pow(int(_BASE), -1, 1 << 64))
-        _pow = np.concatenate([[np.uint64(1)], np.full(size - 1, _BASE)]).cumprod(dtype=np.uint64)
-        _inv = np.concatenate([[np.uint64(1)], np.full(size - 1, inverse)]).cumprod(dtype=np.uint64)
-
-
 def word_bounds(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """First bytes and ends (exclusive) of the words [^\\x20\\x09-\\x0D]+ of UTF-8 bytes."""
     edge = np.diff(_IS_WORD[raw].view(np.int8), prepend=np.int8(0), append=np.int8(0))
     return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
 
 
-def word_hashes(data: bytes) -> np.ndarray:
-    """A 64-bit hash for each word, in order. Equal words have equal hashes wherever they stand."""
+def word_hashes(data: bytes, seed: int = 0) -> np.ndarray:
+    """A 64-bit hash for each word, in order. Equal words have equal hashes wherever they stand; other seeds give independent hashes.
+
+    A word of at most SHORT bytes is its two halves of eight bytes and its length, mixed; words of one length up to eight never
+    collide. A longer one gets eight bytes of a keyed BLAKE2b digest, as sums over a word's bytes are not safe from words that are
+    made of the same parts again and again.
+    """
     raw = np.frombuffer(data, np.uint8)
     if len(raw) == 0:
         return np.zeros(0, np.uint64)
     starts, ends = word_bounds(raw)
-    out = np.empty(len(starts), np.uint64)
-    at = 0
-    while at < len(starts):  # pieces of whole words, so the power tables stay short
-        to = max(at + 1, int(np.searchsorted(ends, starts[at] + _CHUNK, "right")))
-        lo, hi = int(starts[at]), int(ends[to - 1])
-        _tables(hi - lo + 1)
-        total = np.zeros(hi - lo + 1, np.uint64)
-        np.cumsum(_BYTE[raw[lo:hi]] * _pow[: hi - lo], out=total[1:])
-        s, e = starts[at:to] - lo, ends[at:to] - lo
-        out[at:to] = mix((total[e] - total[s]) * _inv[s] + (e - s).astype(np.uint64))
-        at = to
+    size = (ends - starts).astype(np.uint64)
+    long_ = np.flatnonzero(size > SHORT)
+    # eight bytes from any place on, whatever its alignment
+    filled = data + bytes(SHORT)
+    eight = np.ndarray(len(data) + 9, "<u8", filled, strides=(1,))
+    first, second = eight[starts], eight[np.minimum(starts + 8, len(data))]
+    first &= np.uint64(0xFFFFFFFFFFFFFFFF) >> (np.uint64(64) - np.uint64(8) * np.minimum(size, np.uint64(8)))
+    rest = np.minimum(np.maximum(size, np.uint64(8)) - np.uint64(8), np.uint64(8))
+    second = np.where(rest > 0, second & (np.uint64(0xFFFFFFFFFFFFFFFF) >> np.minimum(np.uint64(64) - np.uint64(8) * rest, np.uint64(63))), np.uint64(0))
+    key = np.uint64((seed * 2 + 1) * _ODD[0] & 0xFFFFFFFFFFFFFFFF)
+    out = mix(mix(first ^ key) * np.uint64(_ODD[1]) ^ mix(second + np.uint64(_ODD[2]) * (size ^ key)))
+    if len(long_):
+        name = seed.to_bytes(8, "little")
+        digests = b"".join(hashlib.blake2b(data[a:b], digest_size=8, key=name).digest() for a, b in zip(starts[long_].tolist(), ends[long_].tolist(), strict=True))
+        out[long_] = np.frombuffer(digests, "<u8")
     return out
 
 

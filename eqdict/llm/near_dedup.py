@@ -3,36 +3,50 @@
 One pass makes each document's shingle set, its checksum and its registers; documents with equal sets stand behind the one with
 the smallest identifier. Bands of registers are keys. Where a key is shared, pairs with its smallest member are estimated by the
 joint likelihood of their registers, and the likely ones confirmed; these links' components cover most of what there is to find.
-What is left are members of one bucket in different components. They are compared set by set, exactly and without exception, in
-blocks of bounded size that yield a spanning forest of their links, never a group's pairs.
 
-A link is missed only if two documents share no band: with the defaults, less than one in 10^8 at a similarity of 0.85.
+What is left are members of one bucket in different components. They meet in units: a bucket's members of neighbouring size
+classes, as sets of sizes further apart cannot be similar enough, dealt to blocks of bounded size. In a unit the joint likelihood is taken of
+each pair between components; only members of a pair that may reach the threshold send their sets, and units of these yield a
+spanning forest of their links, never a group's pairs. Large sets travel in slices by hash and are compared pair by pair.
+
+A link is missed if two documents share no band (chance under 10^-6 at the threshold by the registers' law, `band_rows`) or if their
+estimate lies five deviations below it (`setsketch.surely`, about 10^-6).
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from math import log
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from eqdict.llm import setsketch
-from eqdict.llm.common import LOWER, components, staged, window_hashes, word_hashes, workdir
-
-BLOCK = 160
-BLOCK_SHINGLES = 1_000_000
-#: A component is compared as one group while that takes at most so many pairs; a larger one bucket by bucket.
-GROUP_PAIRS = 50_000_000
+from eqdict.llm.common import LOWER, components, drop, staged, window_hashes, word_hashes, workdir
+
+#: Most rows of a side of a unit, and most shingles that they hold (but for one row that holds more).
+BLOCK = 256
+BLOCK_SHINGLES = 250_000
+#: Most shingles of a slice; a larger set travels in several, by hash.
+SLICE = 1 << 16
+SKETCH_SHINGLES = 1_000_000
 SKETCHED = "doc_id long, n long, set_digest binary, regs binary"
+SETS = "rep long, sid long, n long, level int, slice int, items array<long>"
+UNIT = ["key", "u", "i", "j"]
+LIKELY = "key long, u int, i long, j long, side int, rep long, comp long, partner long, partner_comp long"
 
 
 def band_rows(percent: int) -> tuple[int, int]:
-    """(rows, bands) for a threshold in percent, so that at it less than one link in 10^6 shares no band."""
-    rows = 6 if percent >= 85 else 5 if percent >= 80 else 4 if percent >= 70 else 3
-    return rows, setsketch.REGISTERS // rows
+    """(rows, bands) for a threshold in percent: as many rows as keep the chance that a pair at it shares no band under 10^-6."""
+    t = percent / 100
+    chance = min(setsketch.equal_chance(t, u) for u in (0.5, t / (1 + t)))
+    fit = [r for r in range(1, 9) if (1 - chance**r) ** (setsketch.REGISTERS // r) < 1e-6]
+    if not fit:
+        raise ValueError(f"{setsketch.REGISTERS} registers cannot find pairs of {percent} % in bands")
+    return fit[-1], setsketch.REGISTERS // fit[-1]
 
 
 def shingles(text: str | None, words: int) -> np.ndarray:
@@ -55,7 +69,7 @@ def sketched(docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFra
             ids, at = b.column(0), 0
             while at < b.num_rows:  # a bounded number of shingles at a time
                 sets, to, size = [], at, 0
-                while to < b.num_rows and size < BLOCK_SHINGLES:
+                while to < b.num_rows and size < SKETCH_SHINGLES:
                     sets.append(shingles(b.column(1)[to].as_py(), words))
                     size, to = size + len(sets[-1]), to + 1
                 yield pa.RecordBatch.from_arrays(
@@ -67,25 +81,48 @@ def sketched(docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFra
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("_text")).mapInArrow(sketch, SKETCHED)
 
 
-def full_sets(docs: DataFrame, wanted: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
-    """(rep, n, items) of the wanted(rep, set_digest): the sorted shingle hashes of the document that has both."""
+def slice_level(n: int, size: int = SLICE) -> int:
+    """A set of n shingles travels in 2^level slices of about `size` at most."""
+    return max(0, (n - 1) // size).bit_length()
+
+
+def level_col(n: Column, size: int = SLICE) -> Column:
+    return F.when(n <= size, 0).otherwise(F.length(F.bin(F.floor((n - 1) / size)))).cast("int")
+
+
+def full_sets(docs: DataFrame, wanted: DataFrame, words: int, percent: int, id_col: str, text_col: str, size: int = SLICE) -> DataFrame:
+    """SETS of the wanted(rep, set_digest): the sorted shingle hashes of a document that has both, in slices.
+
+    A set is there at its own level and, where the largest set that it can be similar to has another, at that one too. A document
+    that is there twice gives its rows twice.
+    """
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.int64()))
+        done = lambda rows: pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [()] * 6, kinds, strict=True)], [x.split()[0] for x in SETS.split(", ")])
         for b in batches:
-            reps, ns, items = [], [], []
-            for rep, digest, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+            rows, held = [], 0
+            for rep, digest, sid, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(3), strict=True):
                 s = shingles(text.as_py(), words)
-                if digest_of(s) == digest:
-                    reps.append(rep), ns.append(len(s)), items.append(s.view(np.int64))
-            yield pa.RecordBatch.from_arrays([pa.array(reps, pa.int64()), pa.array(ns, pa.int64()), pa.array(items, pa.list_(pa.int64()))], ["rep", "n", "items"])
+                if digest_of(s) != digest:
+                    continue
+                for level in range(slice_level(len(s), size), slice_level(len(s) * 100 // percent, size) + 1):
+                    cuts = np.searchsorted(s >> np.uint64(64 - level) if level else np.zeros(len(s), np.uint64), np.arange(2**level + 1))
+                    for i in range(2**level):
+                        rows.append((rep, sid, len(s), level, i, s[cuts[i] : cuts[i + 1]].view(np.int64)))
+                        held += len(rows[-1][5]) + 8
+                        if held > SKETCH_SHINGLES // 4:
+                            yield done(rows)
+                            rows, held = [], 0
+            yield done(rows)
 
     texts = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).alias("_text"))
-    found = texts.join(wanted.hint("shuffle_hash"), "rep").select("rep", "set_digest", "_text")
-    return found.mapInArrow(make, "rep long, n long, items array<long>").dropDuplicates(["rep"])
+    return texts.join(wanted, "rep").select("rep", "set_digest", F.xxhash64("set_digest").alias("sid"), "_text").mapInArrow(make, SETS)
 
 
 def likely(pairs: DataFrame, percent: int) -> DataFrame:
-    """Those of pairs(a, b, na, nb, ra, rb) whose estimated similarity reaches the threshold."""
+    """Those of pairs(a, b, na, nb, ra, rb, ...) whose estimated similarity reaches the threshold, without ra and rb."""
+    schema = pairs.drop("ra", "rb").schema
 
     def estimate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -94,13 +131,58 @@ def likely(pairs: DataFrame, percent: int) -> DataFrame:
                 ra, rb = (np.frombuffer(b"".join(part.column(c).to_pylist()), "<u2").reshape(part.num_rows, -1) for c in ("ra", "rb"))
                 na, nb = (part.column(c).to_numpy(zero_copy_only=False).astype(float) for c in ("na", "nb"))
                 keep = setsketch.joint_estimate(ra, rb, na, nb) >= percent / 100
-                yield pa.RecordBatch.from_arrays([part.column("a").filter(pa.array(keep)), part.column("b").filter(pa.array(keep))], ["a", "b"])
+                yield part.select(schema.names).filter(pa.array(keep))
 
-    return pairs.mapInArrow(estimate, "a long, b long")
+    return pairs.mapInArrow(estimate, schema)
+
+
+def confirmed(pairs: DataFrame, sets: DataFrame, percent: int, *more: str, size: int = SLICE) -> DataFrame:
+    """(a, b, more) of the pairs(a, sa, na, b, sb, nb, more) whose full sets are similar enough.
+
+    Common shingles are counted slice by slice, so that no set need be in memory as a whole.
+    """
+    names = ["a", "sa", "na", "b", "sb", "nb", *more]
+    p = pairs.select(*names, level_col(F.greatest("na", "nb"), size).alias("level"))
+    p = p.withColumn("slice", F.explode(F.sequence(F.lit(0), F.call_function("shiftleft", F.lit(1), F.col("level")) - 1)))
+    of = lambda x: sets.select(F.col("rep").alias(x), F.col("sid").alias(f"s{x}"), "level", "slice", F.col("items").alias(f"i{x}"))
+    both = p.join(of("a"), ["a", "sa", "level", "slice"]).join(of("b"), ["b", "sb", "level", "slice"])
+    part = both.select(*names, "slice", F.size(F.array_intersect("ia", "ib")).cast("long").alias("c"))
+    # the maximum takes one of a document's equal rows
+    common = part.groupBy(*names, "slice").agg(F.max("c").alias("c")).groupBy(*names).agg(F.sum("c").alias("c"))
+    return common.where(f"100 * c >= {percent} * (na + nb - c)").select("a", "b", *more).distinct()
+
+
+# --- members of one bucket in different components --------------------------------------------------------------------------------
+
+
+def maybe_linked(percent: int, small: int):
+    """Kernel over one unit: the rows that have a partner on the other side and in another component whose estimate does not rule
+    a link out. In classes from `small` on, whose sets travel in slices, the pairs themselves."""
+    cut = setsketch.surely(percent / 100)
+
+    def judge(table: pa.Table) -> pa.Table:
+        side, rep, comp, n = (table.column(c).to_numpy() for c in ("side", "rep", "comp", "n"))
+        regs = np.frombuffer(b"".join(table.column("regs").to_pylist()), "<u2").reshape(len(side), -1)
+        left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+        xs, ys = [], []
+        for x in left.tolist():
+            fits = right[(comp[right] != comp[x]) & (100 * np.minimum(n[right], n[x]) >= percent * np.maximum(n[right], n[x]))]
+            if len(fits):
+                near = setsketch.fitted((regs[x] > regs[fits]).sum(axis=1), (regs[x] < regs[fits]).sum(axis=1), np.full(len(fits), float(n[x])), n[fits].astype(float), steps=20) >= cut
+                ys.append(fits[near])
+                xs.append(np.full(len(ys[-1]), x))
+        x, y = (np.concatenate([np.zeros(0, np.int64), *v]) for v in (xs, ys))
+        pairwise = table.column("u")[0].as_py() >= small if table.num_rows else False
+        own = x if pairwise else np.unique(np.concatenate([x, y]))
+        out = {c: table.column(c).take(pa.array(own)) for c in (*UNIT, "side", "rep", "comp")}
+        none = pa.nulls(len(own), pa.int64())
+        return pa.table(out | {"partner": pa.array(rep[y]) if pairwise else none, "partner_comp": pa.array(comp[y]) if pairwise else none})
+
+    return judge
 
 
 def block_links(percent: int):
-    """Kernel over one unit: rows of side 0 against rows of side 1, links between components as a spanning forest."""
+    """Kernel over one unit: rows of side 0 against rows of side 1, links between components as a spanning forest of these."""
 
     def link(table: pa.Table) -> pa.Table:
         side = table.column("side").to_numpy()
@@ -127,9 +209,9 @@ def block_links(percent: int):
         code, owner = new[code[keep]], owner[keep]
         common = np.zeros((len(left), len(right)), np.float32)
         n_common = int(both.sum())
-        wide = max(1, min(n_common, 8_000_000 // max(len(left), len(right), 1)))
+        wide = max(1, min(n_common, 2_000_000 // max(len(left), len(right), 1)))
         for lo in range(0, n_common, wide):
-            here = (code >= lo) & (code < lo + wide)
+            here = slice(*np.searchsorted(code, (lo, lo + wide)))
             x, y = np.zeros((len(left), wide), np.float32), np.zeros((len(right), wide), np.float32)
             o, c = owner[here], code[here] - lo
             is_left = side[o] == 0
@@ -152,76 +234,98 @@ def block_links(percent: int):
             a, b = find(int(comp[left[i]])), find(int(comp[right[j]]))
             if a != b:
                 root[a] = b
-                out.append((int(rep[left[i]]), int(rep[right[j]])))
+                out.append((int(comp[left[i]]), int(comp[right[j]])))
         return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
 
     return link
 
 
-def rest_links(buckets: DataFrame, comps: DataFrame, sets: DataFrame, percent: int, work: str) -> DataFrame:
-    """Links between members of one bucket(key, rep, n) that comps(rep, comp) has in different components.
+def unit_rows(open_: DataFrame, percent: int, work: str, block: int = BLOCK, size: int = SLICE) -> tuple[DataFrame, int]:
+    """(rows of units: UNIT, side, rep, sid, comp, n; the first class whose sets may travel in slices) of open_(key, main, rep, sid, comp, n).
 
-    Of a bucket with several components the most frequent one is its main one; members of the others are compared with all. The
-    sizes are written, so that joins with them by a hot component have an exchange on both sides, which adaptive execution splits.
+    A unit has members of class u that are not in the bucket's main component on side 0, and members of classes u - 1 to u + 1 on
+    side 1. Sizes of a class lie within a factor of 100 / percent, so rows bound shingles. Numbers of blocks are written, so that
+    joins with those of a hot bucket have an exchange on both sides, which adaptive execution splits.
     """
+    width = max(1.001 * log(100 / percent), 0.02)
+    small = int(log(size) / width) - 1
+    class_ = F.floor(F.log(F.col("n").cast("double")) / width).cast("int")
+    rows = open_.withColumn("c", class_)
+    few = rows.where("comp <> main").select("key", F.col("c").alias("u"), F.lit(0).alias("side"), "rep", "sid", "comp", "n")
+    every = rows.select("key", F.explode(F.array(F.col("c") - 1, F.col("c"), F.col("c") + 1)).alias("u"), F.lit(1).alias("side"), "rep", "sid", "comp", "n")
+    both = few.unionByName(every)
+    count = both.groupBy("key", "u").agg(F.count_if(F.col("side") == 0).alias("few"), F.count_if(F.col("side") == 1).alias("all")).where("few > 0")
+    per = F.when(F.col("u") >= small, block).otherwise(F.least(F.lit(block), F.greatest(F.lit(1), F.floor(BLOCK_SHINGLES / F.exp((F.col("u") + 2) * width)))))
+    blocks = lambda c: F.ceil(F.col(c) / per).cast("long").alias(c)
+    shape = staged(count.select("key", "u", blocks("few"), blocks("all")), f"{work}/shapes")
+    dealt = both.join(shape, ["key", "u"]).withColumn("_h", F.xxhash64("rep", "sid"))
+    first = F.col("side") == 0
+    own, other = F.pmod("_h", F.when(first, F.col("few")).otherwise(F.col("all"))), F.when(first, F.col("all")).otherwise(F.col("few"))
+    spread = dealt.withColumn("_own", own).withColumn("_other", F.explode(F.sequence(F.lit(0).cast("long"), other - 1)))
+    i, j = F.when(first, F.col("_own")).otherwise(F.col("_other")), F.when(first, F.col("_other")).otherwise(F.col("_own"))
+    return spread.select("key", "u", i.alias("i"), j.alias("j"), "side", "rep", "sid", "comp", "n"), small
+
+
+def rest_links(buckets: DataFrame, comps: DataFrame, reps: DataFrame, sets: DataFrame, percent: int, work: str, block: int = BLOCK, size: int = SLICE) -> DataFrame:
+    """Links (a, b) between components comps(rep, comp) whose members share a bucket. Of a bucket with several components the most
+    frequent one is its main one; members of the others are compared with all."""
     m = buckets.join(comps, "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     by = m.groupBy("key", "comp").agg(F.count("*").alias("c"))
     main = by.groupBy("key").agg(F.max(F.struct("c", -F.col("comp"))).alias("top"), F.count("*").alias("k")).where("k > 1").select("key", (-F.col("top.col2")).alias("main"))
-    open_ = m.join(main, "key").select("key", "main", "rep", "comp", "n")
-    other = F.col("comp") != F.col("main")
-    size = open_.select("main", "rep", "comp").distinct().groupBy("main").agg(F.count(F.when(other, 1)).alias("few"), F.count("*").alias("all"))
-    size = staged(size, f"{work}/sizes")
-    group = F.when(F.col("few").cast("double") * F.col("all") <= GROUP_PAIRS, F.col("main")).otherwise(F.xxhash64("main", "key"))
-    g = open_.join(size, "main").select(group.alias("group"), "main", "rep", "comp", "n").distinct()
-    blocks = lambda c, s: F.greatest(F.ceil(c / BLOCK), F.ceil(s / BLOCK_SHINGLES), F.lit(1))
-    shape = g.groupBy("group").agg(blocks(F.count(F.when(other, 1)), F.sum(F.when(other, F.col("n")).otherwise(0))).alias("_i"), blocks(F.count("*"), F.sum("n")).alias("_j"))
-    g = g.join(staged(shape, f"{work}/shapes"), "group").withColumn("_h", F.xxhash64("rep"))
-    few = g.where(other).select("group", F.pmod("_h", "_i").alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("_j") - 1)).alias("j"), F.lit(0).alias("side"), "rep", "comp")
-    every = g.select("group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_i") - 1)).alias("i"), F.pmod("_h", "_j").alias("j"), F.lit(1).alias("side"), "rep", "comp")
-    units = few.unionByName(every).join(sets, "rep").select("group", "i", "j", "side", "rep", "comp", "n", "items")
-    return units.groupBy("group", "i", "j").applyInArrow(block_links(percent), "a long, b long")
-
-
-def near_groups(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    units, small = unit_rows(m.join(main, "key").select("key", "main", "rep", "sid", "comp", "n"), percent, work, block, size)
+    sketched_units = units.join(reps.select("rep", "sid", "regs"), ["rep", "sid"]).select(*UNIT, "side", "rep", "comp", "n", "regs")
+    maybe = staged(sketched_units.groupBy(*UNIT).applyInArrow(maybe_linked(percent, small), LIKELY), f"{work}/maybe")
+    rows = maybe.where("partner is null").join(sets.where("level = 0"), "rep").select(*UNIT, "side", "rep", "comp", "n", "items")
+    links = rows.groupBy(*UNIT).applyInArrow(block_links(percent), "a long, b long")
+    side = lambda x: reps.select(F.col("rep").alias(x), F.col("sid").alias(f"s{x}"), F.col("n").alias(f"n{x}"))
+    large = maybe.where("partner is not null").select(F.col("rep").alias("a"), F.col("partner").alias("b"), F.col("comp").alias("ca"), F.col("partner_comp").alias("cb")).distinct()
+    large = confirmed(large.join(side("a"), "a").join(side("b"), "b"), sets, percent, "ca", "cb", size=size)
+    return staged(links.unionByName(large.select(F.col("ca").alias("a"), F.col("cb").alias("b"))), f"{work}/links-rest")
+
+
+def near_groups(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK, size: int = SLICE) -> DataFrame:
     """For every row: doc_id, n_shingles, component_id, kept.
 
     Documents are linked if 100 * intersection >= percent * union of their shingle sets; component_id is the smallest identifier
     that links reach, and a row is kept if that is its own. Null and empty texts, and those without words, have no shingles and no
     links. A null identifier links with nothing, has component_id null and is kept. Rows that share an identifier are one node;
-    each gives a row. Other columns are ignored, whatever their names. An empty table gives no rows.
+    each gives a row. Other columns are ignored, whatever their names. An empty table gives no rows. block, size: most rows of a side
+    of a unit and shingles of a slice.
     """
     work = workdir(docs.sparkSession, "near")
     rows_, bands = band_rows(percent)
     all_ = staged(sketched(docs, words, id_col, text_col), f"{work}/sketches")
-    reps = staged(all_.where("doc_id is not null and n > 0").groupBy("set_digest").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"), F.max("regs").alias("regs")), f"{work}/sets")
+    known = all_.where("doc_id is not null and n > 0")
+    reps = known.groupBy("set_digest").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"), F.max("regs").alias("regs"))
+    reps = staged(reps.select("set_digest", F.xxhash64("set_digest").alias("sid"), "rep", "n", "regs"), f"{work}/sets")
 
     key = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda i: F.xxhash64(i, F.substring("regs", i * (2 * rows_) + 1, F.lit(2 * rows_))))
-    banded = reps.select("rep", "n", F.explode(key).alias("key"))
+    banded = reps.select("rep", "sid", "n", F.explode(key).alias("key"))
     shared = banded.groupBy("key").agg(F.min("rep").alias("first"), F.max("rep").alias("last")).where("first < last").select("key", "first")
-    buckets = staged(banded.join(shared, "key").select("key", "first", "rep", "n"), f"{work}/buckets")
+    buckets = staged(banded.join(shared, "key").select("key", "first", "rep", "sid", "n"), f"{work}/buckets")
 
-    wanted = reps.select("rep", "set_digest").join(buckets.select("rep").distinct(), "rep", "left_semi")
-    sets = staged(full_sets(docs, wanted, words, id_col, text_col), f"{work}/full")
+    wanted = reps.select("rep", "sid", "set_digest").join(buckets.select("rep", "sid").distinct(), ["rep", "sid"], "left_semi").select("rep", "set_digest")
+    sets = staged(full_sets(docs, wanted, words, percent, id_col, text_col, size), f"{work}/full")
 
-    stars = buckets.where("first < rep").select(F.col("rep").alias("a"), F.col("first").alias("b")).distinct()
-    side = lambda x: reps.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("regs").alias(f"r{x}"))
+    stars = buckets.where("first < rep").select(F.col("rep").alias("a"), F.col("sid").alias("sa"), F.col("first").alias("b")).distinct()
+    side = lambda x: reps.select(F.col("rep").alias(x), F.col("sid").alias(f"s{x}"), F.col("n").alias(f"n{x}"), F.col("regs").alias(f"r{x}"))
     near_size = f"100 * least(na, nb) >= {percent} * greatest(na, nb)"
-    pairs = likely(stars.join(side("a"), "a").join(side("b"), "b").where(near_size), percent)
-    of = lambda x: sets.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("items").alias(f"i{x}"))
-    both = pairs.join(of("a"), "a").join(of("b"), "b").withColumn("c", F.size(F.array_intersect("ia", "ib")).cast("long"))
-    sure = both.where(f"100 * c >= {percent} * (na + nb - c)").select("a", "b")
+    pairs = likely(stars.join(side("a"), ["a", "sa"]).join(side("b"), "b").where(near_size), percent)
     # rows that share an identifier but not a set are one node
-    member = all_.where("doc_id is not null and n > 0").select("doc_id", "set_digest").join(reps.select("set_digest", "rep"), "set_digest")
+    member = known.select("doc_id", "set_digest").join(reps.select("set_digest", "rep"), "set_digest")
     twice = member.groupBy("doc_id").agg(F.min("rep").alias("b"), F.max("rep").alias("_last")).where("b < _last").select("doc_id", "b")
     same = member.join(twice, "doc_id").where("rep <> b").select(F.col("rep").alias("a"), "b")
-    links = staged(sure.union(same), f"{work}/links-star")
+    links = confirmed(pairs, sets, percent, size=size).unionByName(same)
 
     comps = staged(components(links, f"{work}/first").withColumnsRenamed({"node": "rep", "root": "comp"}), f"{work}/comps")
-    rest = staged(rest_links(buckets, comps, sets, percent, work), f"{work}/links-rest")
-    final = components(links.union(rest), f"{work}/second").withColumnsRenamed({"node": "rep", "root": "comp"})
-    known = staged(reps.select("set_digest", "rep").join(final, "rep", "left").select("set_digest", F.coalesce("comp", "rep").alias("comp")), f"{work}/known")
-
-    out = all_.select("doc_id", "n", "set_digest").join(known, "set_digest", "left")
+    joined = components(rest_links(buckets, comps, reps, sets, percent, work, block, size), f"{work}/second")
+    # a set's root by its first links, and that root's by those found after
+    root = reps.select("set_digest", "rep").join(comps, "rep", "left").select("set_digest", F.coalesce("comp", "rep").alias("node")).join(joined, "node", "left")
+    root = staged(root.select("set_digest", F.coalesce("root", "node").alias("comp")), f"{work}/roots")
+    for used in ("sets", "buckets", "full", "shapes", "maybe", "links-rest", "comps", "first", "second"):
+        drop(docs.sparkSession, f"{work}/{used}")
+
+    out = all_.select("doc_id", "n", "set_digest").join(root, "set_digest", "left")
     comp = F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id"))
     out = out.select("doc_id", F.col("n").alias("n_shingles"), comp.alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
@@ -233,4 +337,4 @@ def near_distinct(docs: DataFrame, words: int = 5, percent: int = 80, id_col: st
     gone = groups.where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).distinct()
     names = docs.columns
     rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in names)).alias("_row"))
-    return rows.join(gone.hint("shuffle_hash"), F.col(f"_row.{id_col}").cast("long") == F.col("_gone"), "left_anti").select("_row.*")
+    return rows.join(gone, F.col(f"_row.{id_col}").cast("long") == F.col("_gone"), "left_anti").select("_row.*")

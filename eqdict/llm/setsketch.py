@@ -78,8 +78,12 @@ def _less(x, base: float = BASE):
 
 def joint_estimate(a: np.ndarray, b: np.ndarray, size_a: np.ndarray, size_b: np.ndarray, steps: int = 40) -> np.ndarray:
     """Maximum-likelihood Jaccard similarities of pairs: a[pair, register], b likewise, and their numbers of elements."""
-    more, less = (a > b).sum(axis=1), (a < b).sum(axis=1)
-    same = a.shape[1] - more - less
+    return fitted((a > b).sum(axis=1), (a < b).sum(axis=1), size_a, size_b, steps)
+
+
+def fitted(more: np.ndarray, less: np.ndarray, size_a: np.ndarray, size_b: np.ndarray, steps: int = 40) -> np.ndarray:
+    """The same from the numbers of registers that are larger and smaller in the first set."""
+    same = REGISTERS - more - less
     u = size_a / (size_a + size_b)
     v = 1 - u
     lo, hi = np.zeros(len(u)), np.minimum(u / v, v / u)
@@ -95,3 +99,8 @@ def joint_estimate(a: np.ndarray, b: np.ndarray, size_a: np.ndarray, size_b: np.
         right = fit(x) < fit(y)
         lo, hi = np.where(right, x, lo), np.where(right, hi, y)
     return (lo + hi) / 2
+
+
+def surely(threshold: float) -> float:
+    """An estimate that similar enough pairs undercut about once in 10^6: five deviations below the threshold."""
+    return threshold - 5 * np.sqrt(threshold * (1 - threshold) / REGISTERS)

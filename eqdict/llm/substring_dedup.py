@@ -23,7 +23,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from eqdict.llm.common import drop, mix, parts_of, staged, window_hashes, word_hashes, workdir
+from eqdict.llm.common import drop, parts_of, staged, window_hashes, word_hashes, workdir
 
 WINDOW = 35
 START = 9
@@ -97,6 +97,10 @@ class Block:
         self.words = np.concatenate([np.zeros(0, np.uint64), *words])
         self.left = np.repeat(self.ends, self.sizes) - np.arange(len(self.words))  # words from a place to its text's end
 
+    def other_words(self) -> np.ndarray:
+        """The words' hashes by another, independent function."""
+        return np.concatenate([np.zeros(0, np.uint64), *(word_hashes(t, 1) for t in self.texts)])
+
     def candidates(self, length: int, before: int, repeated: np.ndarray | None) -> np.ndarray:
         """Places where a window of this length may repeat: all, or those whose first and last shorter windows do."""
         ok = self.left >= length
@@ -112,7 +116,7 @@ class Block:
             return np.zeros(0, np.uint64), np.zeros(0, np.uint32) if last else None
         h = window_hashes(self.words, length)[at]
         if last:
-            return h, (window_hashes(mix(self.words ^ np.uint64(0x5851F42D4C957F2D)), length)[at] >> np.uint64(32)).astype(np.uint32)
+            return h, (window_hashes(self.other_words(), length)[at] >> np.uint64(32)).astype(np.uint32)
         return part_of(h, parts).astype(np.uint64) << np.uint64(32) | h & np.uint64(0xFFFFFFFF), None
 
 

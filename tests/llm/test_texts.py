@@ -373,18 +373,60 @@ def test_chains_and_odd_rows(spark, edge, empty):
     assert kept.columns == edge.columns and kept.count() == sum(1 for x in got if x[3])
 
 
-def test_blocks_of_a_bucket(spark, monkeypatch):
-    monkeypatch.setattr(near_dedup, "BLOCK", 7)
-    monkeypatch.setattr(near_dedup, "GROUP_PAIRS", 50)
+@pytest.mark.parametrize(("block", "size"), [(7, near_dedup.SLICE), (256, 50), (5, 20)])
+def test_blocks_and_slices(spark, block, size):
+    """Families with members of several sizes, in small units and sets in slices."""
     r = np.random.default_rng(4)
     docs = []
-    for i in range(120):
-        copy = [f"q{j}" for j in range(60)]
-        for _ in range(int(r.integers(0, 4))):
+    for i in range(160):
+        copy = [f"q{i % 3}x{j}" for j in range(60 + 8 * int(r.integers(0, 3)))]
+        for _ in range(int(r.integers(0, 5))):
             copy[int(r.integers(0, 60))] = f"z{i}"
         docs.append((i, " ".join(copy)))
+    docs += [(200, docs[0][1]), (200, docs[0][1]), (200, docs[1][1]), (201, docs[1][1] + " end")]
     df = spark.createDataFrame(docs, "doc_id long, text string")
-    assert sorted(map(tuple, near_dedup.near_groups(df, 3, 85).collect()), key=repr) == plain_groups(docs, 3, 85)
+    got = sorted(map(tuple, near_dedup.near_groups(df, 3, 85, block=block, size=size).collect()), key=repr)
+    want = plain_groups(docs, 3, 85)
+    assert got == want and len({x[2] for x in want}) > 20
+
+
+def test_levels_of_slices(spark):
+    ns = [1, 9, 10, 11, 20, 21, 39, 40, 41, 80, 81, 10**9]
+    got = [r[0] for r in spark.createDataFrame([(n,) for n in ns], "n long").coalesce(1).select(near_dedup.level_col(F.col("n"), 10)).collect()]
+    assert got == [near_dedup.slice_level(n, 10) for n in ns] and got[:9] == [0, 0, 0, 1, 1, 2, 2, 2, 3]
+
+
+def test_estimates_rule_out_almost_no_link():
+    """Pairs at a threshold: share of those whose estimate falls below what the second stage asks for."""
+    r = np.random.default_rng(8)
+    for percent in (50, 80, 85, 90):
+        n, low = 400, 0
+        both = -(-2 * n * percent // (100 + percent))
+        for _ in range(300):
+            a, b, c = (r.integers(0, 1 << 63, m, dtype=np.uint64) for m in (both, n - both, n - both))
+            u, v = (np.frombuffer(s, "<u2")[None] for s in setsketch.sketches([np.unique(np.concatenate([a, b])), np.unique(np.concatenate([a, c]))]))
+            low += setsketch.joint_estimate(u, v, np.array([n]), np.array([n]))[0] < setsketch.surely(percent / 100)
+        assert low == 0
+
+
+def doubling(n):
+    """Two words of 2^n characters, made of the same two letters by doubling."""
+    a, b = "a", "b"
+    for _ in range(n):
+        a, b = a + b, b + a
+    return a, b
+
+
+def test_words_of_doubling_sequences_differ(spark):
+    """Sums over a word's bytes, modulo a power of two, cannot tell these words apart."""
+    words = [w for n in range(3, 14) for w in doubling(n)]
+    for seed in (0, 1):
+        assert len(set(word_hashes(" ".join(words).encode(), seed).tolist())) == len(words)
+    for n in (10, 11, 12, 13):
+        a, b = doubling(n)
+        docs = spark.createDataFrame([(1, " ".join([a, *(f"w{i}" for i in range(34))])), (2, " ".join([b, *(f"w{i}" for i in range(34))])), (3, f"{a} {a} {b}"), (4, f"{b} {b} {a}")], "doc_id long, text string")
+        assert {r.doc_id: r.n_removed for r in substring_dedup.without_repeats(docs).collect()} == {1: 0, 2: 0, 3: 0, 4: 0}
+        assert all(r.kept for r in near_dedup.near_groups(docs.where("doc_id > 2"), 3, 85).collect())
 
 
 def test_sketches():
@@ -407,7 +449,7 @@ def test_sketches():
 
 
 def test_bands_miss_almost_nothing():
-    for percent in (70, 80, 85, 90):
+    for percent in (20, 30, 40, 50, 60, 70, 80, 85, 90, 95):
         rows, bands = near_dedup.band_rows(percent)
         assert rows * bands <= setsketch.REGISTERS
         assert (1 - setsketch.equal_chance(percent / 100) ** rows) ** bands < 1e-6
