@@ -88,12 +88,41 @@ def test_one_hot_length(spark, plain):
     assert n <= -(-sum(r.length for r in rows) // 100) * 1.01 + 1
 
 
+def best_fit_decreasing(counts, capacity):
+    plan = packing._Plan(counts, capacity)
+    for x in sorted(counts, reverse=True):
+        plan.best_fit(x)
+    return plan.bins
+
+
+def test_configurations_are_near_the_least():
+    """Sizes that fill sequences exactly take as many as their volume needs; rounding down leaves out a pattern a size at most."""
+    stock = [(60, 500), (40, 500), (25, 400)]
+    got = packing.configurations(stock, 100)
+    held = sum(p * n for p, n in got)
+    assert all(p @ np.array([x for x, _ in stock]) <= 100 for p, _ in got) and 597 <= sum(n for _, n in got) <= 600
+    assert all(n - h <= 4 * 3 for (_, n), h in zip(stock, held.tolist()))
+    worth = np.array([0.6, 0.45, 0.3, 0.27])
+    import itertools
+
+    sizes = np.array([60, 45, 30, 26])
+    best = max(worth @ p for p in itertools.product(range(2), range(3), range(4), range(4)) if sizes @ p <= 100)
+    assert abs(worth @ packing.best_pattern(worth, sizes, 100) - best) < 1e-9
+
+
+def test_equal_rows_without_identifiers(spark, plain):
+    docs = spark.range(3000).select(F.lit(None).cast("long").alias("doc_id"), F.lit("the same short text").alias("text"))
+    n = len(plain("the same short text")) + 1
+    got = packing.packed(docs, byte_bpe(), capacity=4 * n)
+    assert got.groupBy("sequence_id").agg(F.count("*").alias("c"), F.count_distinct("offset").alias("d")).where("c = 4 and d = 4").count() == 750
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_plan(seed):
     r = np.random.default_rng(seed)
     lengths = np.clip(r.lognormal([3, 4, 5, 6][seed], 1, 3000).astype(int), 1, 512)
     counts = dict(zip(*(x.tolist() for x in np.unique(lengths, return_counts=True))))
-    for settings in ((16, 0.2),), ((512, 0.5),), packing.SETTINGS:
+    for settings in ((16, 0.2, 0),), ((48, 0.3, 20),), packing.SETTINGS:
         runs, bins = packing.packing_plan(counts, 512, settings)
         free, seen = np.full(bins, 512), defaultdict(list)
         for length, first, n, at, offset in sorted(runs, key=lambda x: x[4]):
@@ -108,7 +137,7 @@ def test_plan(seed):
                 at += n
             assert at == counts[length]
         assert set(seen) == set(counts)
-    assert bins <= -(-lengths.sum() // 512) * 1.03 + 1
+    assert bins <= min(-(-lengths.sum() // 512) * 1.03 + 1, best_fit_decreasing(counts, 512) * 1.01 + 1)
     assert packing.packing_plan({}, 512) == ([], 0)
 
 
