@@ -171,24 +171,78 @@ def plain_ngrams(text):
     return out
 
 
+def plain_order(g):
+    """Shorter n-grams first, then by letters: word ends, FIRST, the rest by code point."""
+    return len(g), [(0, 0) if c == "_" else (1, language.FIRST.index(c)) if c in language.FIRST else (2, ord(c)) for c in g]
+
+
+def plain_list(counts, top):
+    return sorted(counts, key=lambda g: (-counts[g], plain_order(g)))[:top]
+
+
 def test_ngrams_are_those_of_padded_words():
-    for t in ("Hello, wörld! a", "aaa bb c-d'e", "", "123 !", "éé"):
-        codes = language.ngrams(t)
-        assert len(codes) == sum(plain_ngrams(t).values())
-        assert sorted(language.counted(codes)[1].tolist()) == sorted(plain_ngrams(t).values())
+    for t in ("Hello, wörld! a", "aaa bb c-d'e", "", "123 !", "éé", "Привет мир", "日本語 のテキスト a", "ab " * 60_000):
+        codes, n = language.ngrams(t)
+        want = plain_ngrams(t)
+        assert (np.diff(codes) > 0).all() and len(codes) == len(want)
+        assert [(len(g), c) for g, c in sorted(want.items(), key=lambda x: plain_order(x[0]))] == [(language.gram(c)[0], k) for c, k in zip(codes.tolist(), n.tolist())]
 
 
 def test_out_of_place_distance():
-    a, b = language.ngrams("the cat sat on the mat"), language.ngrams("le chat est sur le tapis")
-    p = language.Profiles(["fr", "en"], [language.ranked(*language.counted(b), 50), language.ranked(*language.counted(a), 50)], 50)
-    assert p.names == ["en", "fr"]
-    at = p.places()
-    for text in ("the cat", "le chat", "zzz"):
-        mine = language.ranked(*language.counted(language.ngrams(text)), 50).tolist()
-        far = [sum(abs(lst.tolist().index(c) - i) if c in lst.tolist() else 50 for i, c in enumerate(mine)) for lst in p.lists]
-        want = 0 if far[0] <= far[1] else 1
-        lang, score = p.judge(at, text)
-        assert lang == p.names[want] and abs(score - (1 - far[want] / (50 * len(mine)))) < 1e-12
+    both = {"fr": "le chat est sur le tapis", "en": "the cat sat on the mat", "el": "η γάτα κάθισε στο χαλί"}
+    p = language.Profiles(list(both), [language.ranked(*language.ngrams(t), 50) for t in both.values()], 50)
+    lists = {k: plain_list(plain_ngrams(t), 50) for k, t in sorted(both.items())}
+    assert p.names == sorted(both)
+    for text in ("the cat", "le chat", "zzz", "γάτα"):
+        mine = plain_list(plain_ngrams(text), 50)
+        far = {k: sum(abs(x.index(g) - i) if g in x else 50 for i, g in enumerate(mine)) for k, x in lists.items()}
+        want = min(far, key=lambda k: (far[k], k))
+        lang, score = p.judge(text)
+        assert lang == want and abs(score - (1 - far[want] / (50 * len(mine)))) < 1e-12
+
+
+def test_languages_against_plain_profiles(small):
+    """The whole query, its sample being all labelled documents, against lists of strings."""
+    df, texts = small
+    lang = {r.doc_id: r.lang for r in df.select("doc_id", "lang").collect()}
+    total = defaultdict(Counter)
+    for d, t in texts.items():
+        if zlib.crc32(str(d).encode()) % 4 != 2 and lang[d] is not None:
+            total[lang[d]].update(plain_ngrams(t))
+    lists = {k: {g: i for i, g in enumerate(plain_list(c, 300))} for k, c in sorted(total.items())}
+    for r in language.languages(df, sample=10**9).collect():
+        mine = plain_list(plain_ngrams(texts[r.doc_id]), 300)
+        if not mine:
+            assert (r.lang_pred, r.score) == ("und", 0.0)
+            continue
+        far = {k: sum(abs(x[g] - i) if g in x else 300 for i, g in enumerate(mine)) for k, x in lists.items()}
+        want = min(far, key=lambda k: (far[k], k))
+        assert r.lang_pred == want and abs(r.score - (1 - far[want] / (300 * len(mine)))) < 1e-9
+
+
+SCRIPTS = {
+    "ru": ["Вчера мы долго гуляли по старому городу и говорили о книгах, которые она читала", "Сегодня утром шёл дождь, и мы остались дома; все были рады, что никуда не нужно ехать", "Она сказала, что вернётся завтра вечером"],
+    "uk": ["Вчора ми довго гуляли старим містом і говорили про книжки, які вона читала", "Сьогодні вранці йшов дощ, і ми залишилися вдома; всі були раді, що нікуди не треба їхати", "Вона сказала, що повернеться завтра ввечері"],
+    "el": ["Χθες περπατήσαμε πολλή ώρα στην παλιά πόλη", "Σήμερα το πρωί έβρεχε και μείναμε στο σπίτι", "Είπε ότι θα γυρίσει αύριο το βράδυ"],
+    "ar": ["مشينا أمس طويلا في المدينة القديمة وتحدثنا عن الكتب", "كان المطر يهطل هذا الصباح فبقينا في البيت", "قالت إنها ستعود غدا في المساء"],
+    "fa": ["دیروز مدت زیادی در شهر قدیمی قدم زدیم و درباره کتاب‌ها گفتگو کردیم", "امروز صبح باران می‌آمد و ما در خانه ماندیم", "او گفت که فردا شب برمی‌گردد"],
+    "zh": ["昨天我们在老城里走了很久，谈了很多书", "今天早上下雨，我们留在家里", "她说她明天晚上回来"],
+    "ja": ["昨日は古い町を長く歩いて、本の話をしました", "今朝は雨が降っていたので、家にいました", "彼女は明日の夜に帰ると言いました"],
+}
+
+
+def test_letters_of_other_scripts_keep_their_identity(spark):
+    ids = [i for i in range(1, 200) if zlib.crc32(str(i).encode()) % 4 != 2]
+    asked = [i for i in range(1, 200) if zlib.crc32(str(i).encode()) % 4 == 2]
+    rows = [(ids.pop(), t, k) for k, (a, b, _) in SCRIPTS.items() for t in (a, b)] + [(asked.pop(), c, k) for k, (_, _, c) in SCRIPTS.items()]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    want = {d: k for d, _, k in rows}
+    got = language.languages(df).where("held_out").collect()
+    assert len(got) == 7 and {r.doc_id: r.lang_pred for r in got} == {r.doc_id: want[r.doc_id] for r in got}
+    bare = df.withColumn("lang", F.lit(None).cast("string")).unionByName(spark.createDataFrame([(900, "12 !", None), (901, None, None)], df.schema))
+    assert language.of_known_language(bare).count() == len(rows)  # nothing to judge by: all with a letter
+    many = spark.range(300).select("id", F.lit("abc").alias("_text"), F.concat(F.lit("l"), "id").alias("_lang")).withColumnRenamed("id", "_id")
+    assert len(language.fit(many).names) == 300
 
 
 def test_held_out_accuracy(small, edge, empty):
