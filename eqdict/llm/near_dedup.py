@@ -4,8 +4,8 @@ One pass makes each document's shingle set, its checksum and its registers; docu
 the smallest identifier. Bands of registers are keys. Where a key is shared, pairs with its smallest member are estimated by the
 joint likelihood of their registers, and the likely ones confirmed; these links' components cover most of what there is to find.
 
-What is left are members of one bucket in different components. They meet in units: a bucket's members of neighbouring size
-classes, as sets of sizes further apart cannot be similar enough, dealt to blocks of bounded size. In a unit the joint likelihood is taken of
+What is left are members of one bucket in different components. They meet in units: members of buckets with one main component, of
+neighbouring size classes, as sets of sizes further apart cannot be similar enough, dealt to blocks of bounded size. In a unit the joint likelihood is taken of
 each pair between components; only members of a pair that may reach the threshold send their sets, and units of these yield a
 spanning forest of their links, never a group's pairs. Large sets travel in slices by hash and are compared pair by pair.
 
@@ -35,8 +35,13 @@ SLICE = 1 << 16
 SKETCH_SHINGLES = 1_000_000
 SKETCHED = "doc_id long, n long, set_digest binary, regs binary"
 SETS = "rep long, sid long, n long, level int, slice int, items array<long>"
-UNIT = ["key", "u", "i", "j"]
-LIKELY = "key long, u int, i long, j long, side int, rep long, comp long, partner long, partner_comp long"
+UNIT = ["main", "u", "i", "j"]
+LIKELY = "main long, u int, i long, j long, side int, rep long, n long, comp long, partner long, partner_comp long"
+#: Rows, and shingles, of units that one call of a kernel gets.
+CALL_ROWS = 8_192
+CALL_SHINGLES = 1_000_000
+#: Pairs whose registers are compared at a time.
+CALL_PAIRS = 16_384
 
 
 def band_rows(percent: int) -> tuple[int, int]:
@@ -155,45 +160,82 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int, *more: str, size:
 # --- members of one bucket in different components --------------------------------------------------------------------------------
 
 
+def units_of(table: pa.Table) -> Iterator[tuple[int, int]]:
+    """First row and end of each unit of a table that is sorted by unit."""
+    cols = [table.column(c).to_numpy() for c in UNIT]
+    new = np.zeros(table.num_rows, bool)
+    new[:1] = True
+    for c in cols:
+        new[1:] |= c[1:] != c[:-1]
+    cuts = np.append(np.flatnonzero(new), table.num_rows).tolist()
+    return zip(cuts[:-1], cuts[1:], strict=True)
+
+
+def by_unit(table: pa.Table) -> pa.Table:
+    return table.sort_by([(c, "ascending") for c in (*UNIT, "side")])
+
+
 def maybe_linked(percent: int, small: int):
-    """Kernel over one unit: the rows that have a partner on the other side and in another component whose estimate does not rule
+    """Kernel over some units: the rows that have a partner on the other side and in another component whose estimate does not rule
     a link out. In classes from `small` on, whose sets travel in slices, the pairs themselves."""
     cut = setsketch.surely(percent / 100)
 
     def judge(table: pa.Table) -> pa.Table:
-        side, rep, comp, n = (table.column(c).to_numpy() for c in ("side", "rep", "comp", "n"))
+        table = by_unit(table)
+        side, comp, n, u = (table.column(c).to_numpy() for c in ("side", "comp", "n", "u"))
         regs = np.frombuffer(b"".join(table.column("regs").to_pylist()), "<u2").reshape(len(side), -1)
-        left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-        xs, ys = [], []
-        for x in left.tolist():
-            fits = right[(comp[right] != comp[x]) & (100 * np.minimum(n[right], n[x]) >= percent * np.maximum(n[right], n[x]))]
-            if len(fits):
-                near = setsketch.fitted((regs[x] > regs[fits]).sum(axis=1), (regs[x] < regs[fits]).sum(axis=1), np.full(len(fits), float(n[x])), n[fits].astype(float), steps=20) >= cut
-                ys.append(fits[near])
-                xs.append(np.full(len(ys[-1]), x))
-        x, y = (np.concatenate([np.zeros(0, np.int64), *v]) for v in (xs, ys))
-        pairwise = table.column("u")[0].as_py() >= small if table.num_rows else False
-        own = x if pairwise else np.unique(np.concatenate([x, y]))
-        out = {c: table.column(c).take(pa.array(own)) for c in (*UNIT, "side", "rep", "comp")}
-        none = pa.nulls(len(own), pa.int64())
-        return pa.table(out | {"partner": pa.array(rep[y]) if pairwise else none, "partner_comp": pa.array(comp[y]) if pairwise else none})
+        kept, partner = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+
+        def flush(parts: list[tuple[np.ndarray, np.ndarray]]) -> None:
+            x, y = (np.concatenate(v) for v in zip(*parts, strict=True))
+            fits = (comp[x] != comp[y]) & (100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y]))
+            x, y = x[fits], y[fits]
+            for at in range(0, len(x), CALL_PAIRS):
+                a, b = x[at : at + CALL_PAIRS], y[at : at + CALL_PAIRS]
+                more, less = (regs[a] > regs[b]).sum(axis=1), (regs[a] < regs[b]).sum(axis=1)
+                near = setsketch.fitted(more, less, n[a].astype(float), n[b].astype(float), steps=20) >= cut
+                kept.append(a[near])
+                partner.append(b[near])
+
+        parts, held = [], 0
+        for lo, hi in units_of(table):
+            mid = lo + int(np.searchsorted(side[lo:hi], 1))
+            left, right = np.arange(lo, mid), np.arange(mid, hi)
+            parts.append((np.repeat(left, len(right)), np.tile(right, len(left))))
+            held += len(parts[-1][0])
+            if held > 8 * CALL_PAIRS:
+                flush(parts)
+                parts, held = [], 0
+        if parts:
+            flush(parts)
+        x, y = np.concatenate(kept), np.concatenate(partner)
+        pairwise = u[x] >= small
+        alone = np.unique(np.concatenate([x[~pairwise], y[~pairwise]]))
+        own, other = np.concatenate([alone, x[pairwise]]), y[pairwise]
+        none = pa.nulls(len(alone), pa.int64())
+        out = {c: table.column(c).take(pa.array(own)) for c in (*UNIT, "side", "rep", "n", "comp")}
+        with_none = lambda c: pa.chunked_array([none, table.column(c).take(pa.array(other)).combine_chunks()])
+        return pa.table(out | {"partner": with_none("rep"), "partner_comp": with_none("comp")})
 
     return judge
 
 
 def block_links(percent: int):
-    """Kernel over one unit: rows of side 0 against rows of side 1, links between components as a spanning forest of these."""
+    """Kernel over some units: rows of side 0 against rows of side 1 of each, links between components as a spanning forest of these."""
+
+    def links(table: pa.Table) -> pa.Table:
+        table = by_unit(table)
+        found = [link(table.slice(lo, hi - lo)) for lo, hi in units_of(table)]
+        return pa.table({"a": pa.array([x for f in found for x, _ in f], pa.int64()), "b": pa.array([x for f in found for _, x in f], pa.int64())})
 
-    def link(table: pa.Table) -> pa.Table:
-        side = table.column("side").to_numpy()
-        rep = table.column("rep").to_numpy()
-        comp, n = table.column("comp").to_numpy(), table.column("n").to_numpy()
+    def link(table: pa.Table) -> list[tuple[int, int]]:
+        side, comp, n = (table.column(c).to_numpy() for c in ("side", "comp", "n"))
         items = table.column("items").combine_chunks()
         offsets, values = items.offsets.to_numpy(), items.values.to_numpy()
-        owner = np.repeat(np.arange(len(rep)), np.diff(offsets))
+        owner = np.repeat(np.arange(len(side), dtype=np.int32), np.diff(offsets))
         values = values[offsets[0] : offsets[-1]]
         left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-        row = np.zeros(len(rep), np.int64)
+        row = np.zeros(len(side), np.int64)
         row[left], row[right] = np.arange(len(left)), np.arange(len(right))
         # only what occurs on both sides counts
         order = np.argsort(values, kind="stable")
@@ -235,48 +277,57 @@ def block_links(percent: int):
             if a != b:
                 root[a] = b
                 out.append((int(comp[left[i]]), int(comp[right[j]])))
-        return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
+        return out
 
-    return link
+    return links
 
 
-def unit_rows(open_: DataFrame, percent: int, work: str, block: int = BLOCK, size: int = SLICE) -> tuple[DataFrame, int]:
-    """(rows of units: UNIT, side, rep, sid, comp, n; the first class whose sets may travel in slices) of open_(key, main, rep, sid, comp, n).
+def unit_rows(open_: DataFrame, percent: int, work: str, block: int = BLOCK, size: int = SLICE) -> tuple[DataFrame, int, int]:
+    """(rows of units: UNIT, side, rep, sid, comp, n; how many; the first class whose sets may travel in slices) of open_(main, rep,
+    sid, comp, n).
 
-    A unit has members of class u that are not in the bucket's main component on side 0, and members of classes u - 1 to u + 1 on
-    side 1. Sizes of a class lie within a factor of 100 / percent, so rows bound shingles. Numbers of blocks are written, so that
-    joins with those of a hot bucket have an exchange on both sides, which adaptive execution splits.
+    A unit has members of class u that are not in the main component on side 0, and members of classes u - 1 to u + 1 on side 1.
+    Sizes of a class lie within a factor of 100 / percent, so rows bound shingles. Numbers of blocks are written, so that joins with
+    those of a hot component have an exchange on both sides, which adaptive execution splits.
     """
     width = max(1.001 * log(100 / percent), 0.02)
     small = int(log(size) / width) - 1
     class_ = F.floor(F.log(F.col("n").cast("double")) / width).cast("int")
     rows = open_.withColumn("c", class_)
-    few = rows.where("comp <> main").select("key", F.col("c").alias("u"), F.lit(0).alias("side"), "rep", "sid", "comp", "n")
-    every = rows.select("key", F.explode(F.array(F.col("c") - 1, F.col("c"), F.col("c") + 1)).alias("u"), F.lit(1).alias("side"), "rep", "sid", "comp", "n")
+    few = rows.where("comp <> main").select("main", F.col("c").alias("u"), F.lit(0).alias("side"), "rep", "sid", "comp", "n")
+    every = rows.select("main", F.explode(F.array(F.col("c") - 1, F.col("c"), F.col("c") + 1)).alias("u"), F.lit(1).alias("side"), "rep", "sid", "comp", "n")
     both = few.unionByName(every)
-    count = both.groupBy("key", "u").agg(F.count_if(F.col("side") == 0).alias("few"), F.count_if(F.col("side") == 1).alias("all")).where("few > 0")
+    count = both.groupBy("main", "u").agg(F.count_if(F.col("side") == 0).alias("few"), F.count_if(F.col("side") == 1).alias("all")).where("few > 0")
     per = F.when(F.col("u") >= small, block).otherwise(F.least(F.lit(block), F.greatest(F.lit(1), F.floor(BLOCK_SHINGLES / F.exp((F.col("u") + 2) * width)))))
-    blocks = lambda c: F.ceil(F.col(c) / per).cast("long").alias(c)
-    shape = staged(count.select("key", "u", blocks("few"), blocks("all")), f"{work}/shapes")
-    dealt = both.join(shape, ["key", "u"]).withColumn("_h", F.xxhash64("rep", "sid"))
+    blocks = lambda c: F.ceil(F.col(c) / per).cast("long")
+    shape = staged(count.select("main", "u", blocks("few").alias("few"), blocks("all").alias("all"), (F.col("few") * blocks("all") + F.col("all") * blocks("few")).alias("rows")), f"{work}/shapes")
+    total = shape.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
+    dealt = both.join(shape.drop("rows"), ["main", "u"]).withColumn("_h", F.xxhash64("rep", "sid"))
     first = F.col("side") == 0
     own, other = F.pmod("_h", F.when(first, F.col("few")).otherwise(F.col("all"))), F.when(first, F.col("all")).otherwise(F.col("few"))
     spread = dealt.withColumn("_own", own).withColumn("_other", F.explode(F.sequence(F.lit(0).cast("long"), other - 1)))
     i, j = F.when(first, F.col("_own")).otherwise(F.col("_other")), F.when(first, F.col("_other")).otherwise(F.col("_own"))
-    return spread.select("key", "u", i.alias("i"), j.alias("j"), "side", "rep", "sid", "comp", "n"), small
+    return spread.select("main", "u", i.alias("i"), j.alias("j"), "side", "rep", "sid", "comp", "n"), total, small
+
+
+def in_calls(units: DataFrame, calls: int):
+    """Whole units, dealt to so many calls of a kernel."""
+    return units.groupBy(F.pmod(F.xxhash64(*UNIT), F.lit(max(1, calls))).alias("_call"))
 
 
 def rest_links(buckets: DataFrame, comps: DataFrame, reps: DataFrame, sets: DataFrame, percent: int, work: str, block: int = BLOCK, size: int = SLICE) -> DataFrame:
     """Links (a, b) between components comps(rep, comp) whose members share a bucket. Of a bucket with several components the most
-    frequent one is its main one; members of the others are compared with all."""
+    frequent one is its main one; members of the others are compared with all that share a bucket with the same main one."""
     m = buckets.join(comps, "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     by = m.groupBy("key", "comp").agg(F.count("*").alias("c"))
     main = by.groupBy("key").agg(F.max(F.struct("c", -F.col("comp"))).alias("top"), F.count("*").alias("k")).where("k > 1").select("key", (-F.col("top.col2")).alias("main"))
-    units, small = unit_rows(m.join(main, "key").select("key", "main", "rep", "sid", "comp", "n"), percent, work, block, size)
-    sketched_units = units.join(reps.select("rep", "sid", "regs"), ["rep", "sid"]).select(*UNIT, "side", "rep", "comp", "n", "regs")
-    maybe = staged(sketched_units.groupBy(*UNIT).applyInArrow(maybe_linked(percent, small), LIKELY), f"{work}/maybe")
-    rows = maybe.where("partner is null").join(sets.where("level = 0"), "rep").select(*UNIT, "side", "rep", "comp", "n", "items")
-    links = rows.groupBy(*UNIT).applyInArrow(block_links(percent), "a long, b long")
+    units, total, small = unit_rows(m.join(main, "key").select("main", "rep", "sid", "comp", "n").distinct(), percent, work, block, size)
+    known = units.join(reps.select("rep", "sid", "regs"), ["rep", "sid"]).select(*UNIT, "side", "rep", "comp", "n", "regs")
+    maybe = staged(in_calls(known, -(-total // CALL_ROWS)).applyInArrow(maybe_linked(percent, small), LIKELY), f"{work}/maybe")
+    rows = maybe.where("partner is null")
+    held = rows.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    rows = rows.drop("n").join(sets.where("level = 0"), "rep").select(*UNIT, "side", "comp", "n", "items")
+    links = in_calls(rows, -(-held // CALL_SHINGLES)).applyInArrow(block_links(percent), "a long, b long")
     side = lambda x: reps.select(F.col("rep").alias(x), F.col("sid").alias(f"s{x}"), F.col("n").alias(f"n{x}"))
     large = maybe.where("partner is not null").select(F.col("rep").alias("a"), F.col("partner").alias("b"), F.col("comp").alias("ca"), F.col("partner_comp").alias("cb")).distinct()
     large = confirmed(large.join(side("a"), "a").join(side("b"), "b"), sets, percent, "ca", "cb", size=size)
