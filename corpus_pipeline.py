@@ -1,6 +1,6 @@
 """From raw documents to packed training sequences: five stages, each written as a table and read again by the next.
 
-1. Language: documents without a recognisable language go.
+1. Language: documents without a recognisable language go; where no document is labelled, those without a letter.
 2. Exact copies: of equal texts the row with the smallest identifier stays.
 3. Near copies: of linked documents (five-word shingles, similarity of 0.8 or more) the one with the smallest identifier stays.
 4. Mixing: documents are repeated or left out by chance so that sources reach their target weights, and shuffled.
@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from eqdict.llm import exact_dedup, language, mixing, near_dedup, packing
-from eqdict.llm.common import staged, workdir
+from eqdict.llm.common import drop, staged, workdir
 from eqdict.llm.queries import byte_bpe
 
 
@@ -52,6 +52,8 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, work = spark.read.parquet(f"{sf_dir}/documents.parquet"), workdir(spark, "pipeline")
-    for name, stage in STAGES[:-1]:
+    for i, (name, stage) in enumerate(STAGES[:-1]):
         docs = staged(stage(spark, docs, sf_dir), f"{work}/{name}")
+        if i:  # what the stage before left has been read
+            drop(spark, f"{work}/{STAGES[i - 1][0]}")
     return STAGES[-1][1](spark, docs, sf_dir)

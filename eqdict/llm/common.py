@@ -17,15 +17,14 @@ SPACE = r"[\x20\x09-\x0D]+"
 def workdir(spark: SparkSession, name: str) -> str:
     """A fresh folder that driver and executors share.
 
-    It lies in the folder named by spark.checkpoint.dir. Where that is unset, a local master gets a temporary folder (tests) and
-    a cluster the warehouse, which its executors share too.
+    It lies in the folder named by spark.checkpoint.dir. Where that is unset, a local master gets a temporary folder (tests); on a
+    cluster, whose machines do not share their folders, that is an error.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-            base = tempfile.mkdtemp(prefix="llm-work-")
-        else:
-            base = spark.conf.get("spark.sql.warehouse.dir")
+        if spark.sparkContext.master != "local" and not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = tempfile.mkdtemp(prefix="llm-work-")
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
@@ -134,7 +133,7 @@ def is_word_space(c: str) -> bool:
 # --- components -----------------------------------------------------------------------------------------------------------------
 
 
-def components(links: DataFrame, work: str, most_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame, work: str) -> DataFrame:
     """(node, root) for every node of an undirected link table (a, b): root is the smallest node that can be reached.
 
     Alternates two star steps until the table no longer changes: each node hangs its larger neighbours on its smallest one, then
@@ -151,10 +150,9 @@ def components(links: DataFrame, work: str, most_rounds: int = 60) -> DataFrame:
         r = t.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         return r[0], r[1]
 
-    last = mark(e)
-    for i in range(1, most_rounds + 1):
-        if not last[0]:
-            break
+    last, i = mark(e), 0
+    while last[0]:
+        i += 1
         both = e.union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
         large = both.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
@@ -168,7 +166,5 @@ def components(links: DataFrame, work: str, most_rounds: int = 60) -> DataFrame:
         if now == last:
             break
         last = now
-    else:
-        raise RuntimeError(f"components did not settle in {most_rounds} rounds")
     # at rest every node hangs on its root
     return e.select(F.col("a").alias("node"), F.col("b").alias("root")).union(e.select(F.col("b").alias("node"), F.col("b").alias("root"))).union(selves.select("node", F.col("node").alias("root"))).groupBy("node").agg(F.min("root").alias("root"))

@@ -12,6 +12,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from eqdict.llm.common import staged, workdir
+
 MOST_BROADCAST_SOURCES = 100_000
 SMOOTHING = 0.5
 SEED = "mix-1"
@@ -49,6 +51,8 @@ def rates(docs: DataFrame, weights: dict[str | None, float] | None = None, total
     else:
         wanted = spark.createDataFrame([(k, float(v)) for k, v in weights.items()], "_name string, _want double")
         size = size.join(wanted, F.col("_source").cast("string").eqNullSafe(F.col("_name")), "left").select("_source", "_size", F.coalesce("_want", F.lit(0.0)).alias("_want"))
+    # one row a source, written, so that the texts are measured once
+    size = staged(size, f"{workdir(spark, 'mixing')}/sizes")
     all_ = size.agg(F.sum("_want").alias("w"), F.sum("_size").alias("s")).first()
     want, have = all_["w"] or 1.0, all_["s"] or 0.0
     return size.select("_source", F.when(F.col("_size") > 0, F.col("_want") / F.lit(want) * F.lit(float(total if total is not None else have)) / F.col("_size")).otherwise(1.0).alias("_rate"))

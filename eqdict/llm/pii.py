@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -269,6 +270,29 @@ def _lse(x: np.ndarray, axis: int) -> np.ndarray:
     return (top + np.log(np.exp(x - top).sum(axis=axis, keepdims=True))).squeeze(axis)
 
 
+def objective(x: np.ndarray, want: np.ndarray, want_moves: np.ndarray, w: np.ndarray, moves: np.ndarray, penalty: float) -> tuple[float, np.ndarray, np.ndarray]:
+    """(penalised log-likelihood, its gradients in w and moves) by forward-backward: x[sentence, place, feature], want[sentence, place,
+    tag] and want_moves the true tags and their transitions."""
+    n, size = x.shape[1], len(moves)
+    e = x @ w
+    fwd, bwd = np.empty_like(e), np.empty_like(e)
+    fwd[:, 0] = e[:, 0] + moves[0]
+    for i in range(1, n):
+        fwd[:, i] = _lse(fwd[:, i - 1][:, :, None] + moves, 1) + e[:, i]
+    bwd[:, -1] = moves[:, 0]
+    for i in range(n - 2, -1, -1):
+        bwd[:, i] = _lse(moves + (e[:, i + 1] + bwd[:, i + 1])[:, None, :], 2)
+    z = _lse(fwd[:, -1] + moves[:, 0], 1)
+    p = np.exp(fwd + bwd - z[:, None, None])
+    have = np.zeros((size, size))
+    have[0] += p[:, 0].sum(axis=0)
+    have[:, 0] += p[:, -1].sum(axis=0)
+    for i in range(n - 1):
+        have += np.exp(fwd[:, i][:, :, None] + moves + (e[:, i + 1] + bwd[:, i + 1])[:, None, :] - z[:, None, None]).sum(axis=0)
+    value = float((want * e).sum() + (want_moves * moves).sum() - z.sum() - penalty / 2 * ((w**2).sum() + (moves**2).sum()))
+    return value, np.tensordot(x, want - p, ([0, 1], [0, 1])) - penalty * w, want_moves - have - penalty * moves
+
+
 def train(rows: list[tuple[int, int, str, str]], steps: int = 150, penalty: float = 0.02, rate: float = 0.15) -> Field:
     """Maximum penalised likelihood on (sentence, position, word, tag), by forward-backward and Adam."""
     lines: dict[int, list[tuple[int, str, str]]] = {}
@@ -300,23 +324,7 @@ def train(rows: list[tuple[int, int, str, str]], steps: int = 150, penalty: floa
     if not mask.all():
         raise ValueError("sentences of the labelled table must have one length")
     for step in range(1, steps + 1):
-        w, moves = theta
-        e = x @ w
-        fwd, bwd = np.empty_like(e), np.empty_like(e)
-        fwd[:, 0] = e[:, 0] + moves[0]
-        for i in range(1, n):
-            fwd[:, i] = _lse(fwd[:, i - 1][:, :, None] + moves, 1) + e[:, i]
-        bwd[:, -1] = moves[:, 0]
-        for i in range(n - 2, -1, -1):
-            bwd[:, i] = _lse(moves + (e[:, i + 1] + bwd[:, i + 1])[:, None, :], 2)
-        z = _lse(fwd[:, -1] + moves[:, 0], 1)
-        p = np.exp(fwd + bwd - z[:, None, None])
-        have = np.zeros((size, size))
-        have[0] += p[:, 0].sum(axis=0)
-        have[:, 0] += p[:, -1].sum(axis=0)
-        for i in range(n - 1):
-            have += np.exp(fwd[:, i][:, :, None] + moves + (e[:, i + 1] + bwd[:, i + 1])[:, None, :] - z[:, None, None]).sum(axis=0)
-        grads = [np.tensordot(x, want - p, ([0, 1], [0, 1])) - penalty * w, want_moves - have - penalty * moves]
+        _, *grads = objective(x, want, want_moves, *theta, penalty)
         for j, g in enumerate(grads):
             m[j] = 0.9 * m[j] + 0.1 * g
             v[j] = 0.99 * v[j] + 0.01 * g * g
@@ -336,7 +344,9 @@ _TRIM_LEFT, _TRIM_RIGHT = "\"'([{<=:", "\"'.,;:!?)]}>#*&%$"
 
 def field_spans(text: str, data: bytes, hits: list[tuple[int, int]]) -> list[tuple[str, int, int]]:
     """(kind, start, end) in code points from (word number, tag) of a text. Words that go on an entity join it."""
-    starts, ends = word_bounds(np.frombuffer(data, np.uint8))
+    raw = np.frombuffer(data, np.uint8)
+    starts, ends = word_bounds(raw)
+    before = np.concatenate([[0], np.cumsum((raw & 0xC0) != 0x80)])  # code points before each byte
     out, last = [], None
     for w, t in hits:
         kind = TAGS[t][2:]
@@ -346,8 +356,7 @@ def field_spans(text: str, data: bytes, hits: list[tuple[int, int]]) -> list[tup
             out.append(last := [kind, w, w])
     spans = []
     for kind, a, b in out:
-        start = len(data[: starts[a]].decode())
-        end = start + len(data[starts[a] : ends[b]].decode())
+        start, end = int(before[starts[a]]), int(before[ends[b]])
         body = text[start:end]
         end -= len(body) - len(body.rstrip(_TRIM_RIGHT))
         start += len(body) - len(body.lstrip(_TRIM_LEFT))
@@ -356,6 +365,18 @@ def field_spans(text: str, data: bytes, hits: list[tuple[int, int]]) -> list[tup
     return spans
 
 
+def apart(added: list[tuple[str, int, int]], taken: list[tuple[int, int]]) -> list[tuple[str, int, int]]:
+    """Those of added that overlap none of taken, by binary search in the taken spans' union."""
+    starts, ends = [], []
+    for a, b in sorted(taken):
+        if ends and a <= ends[-1]:
+            ends[-1] = max(ends[-1], b)
+        else:
+            starts.append(a), ends.append(b)
+    first = [bisect_right(ends, x[1]) for x in added]  # the first that ends after the span starts
+    return [x for x, i in zip(added, first, strict=True) if i == len(starts) or starts[i] >= x[2]]
+
+
 def found_in(texts: list[str], field: Field) -> list[tuple[dict[str, list[tuple[int, int]]], list[tuple[str, int, int]]]]:
     """(base spans, spans that the field adds) of each text. What overlaps a base span is not added."""
     if len(field.at) > field.most_shapes:  # bounded memory; never between the texts of a group, whose numbers are decoded together
@@ -377,8 +398,7 @@ def found_in(texts: list[str], field: Field) -> list[tuple[dict[str, list[tuple[
     for text, d, h in zip(texts, data, hits, strict=True):
         base = base_spans(text)
         added = field_spans(text, d, h) if h else []
-        taken = [s for v in base.values() for s in v]
-        out.append((base, [x for x in added if not any(a < x[2] and x[1] < b for a, b in taken)]))
+        out.append((base, apart(added, [s for v in base.values() for s in v]) if added else []))
     return out
 
 

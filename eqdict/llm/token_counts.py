@@ -24,6 +24,11 @@ def body(c):
     return F.coalesce(F.col(c), F.lit(""))
 
 
+def row_key(ident, digest):
+    """What moves a row: its identifier, so that copies of one text part; where that is null, its text's digest, so that texts part."""
+    return F.when(F.col(ident).isNotNull(), F.xxhash64(F.lit(0), F.col(ident))).otherwise(F.xxhash64(F.lit(1), digest))
+
+
 def cached(spark: SparkSession, path: str) -> DataFrame:
     """The cache table; an empty one if nothing has been stored at path."""
     p = spark._jvm.org.apache.hadoop.fs.Path(path)
@@ -48,10 +53,10 @@ def token_counts(docs: DataFrame, tokenizer: str, cache: str | None = None, limi
     narrow = staged(rows.select("doc_id", digest.alias("_digest"), F.octet_length("_text").cast("long").alias("n_bytes")), f"{work}/digests")
 
     known = cached(spark, cache).where(F.col("tokenizer") == version).select(F.col("digest").alias("_digest"))
-    misses = narrow.groupBy("_digest").agg(F.min(F.xxhash64("doc_id")).alias("_key")).join(known, "_digest", "left_anti")
-    texts = rows.select("_text", F.xxhash64("doc_id").alias("_key"))
+    misses = narrow.groupBy("_digest").agg(F.min(row_key("doc_id", F.col("_digest"))).alias("_key")).join(known, "_digest", "left_anti")
+    texts = rows.select("_text", row_key("doc_id", digest).alias("_key"))
     # one text per miss: its row's key moves it, its digest confirms it
-    found = texts.join(misses.hint("shuffle_hash"), "_key").where(digest == F.col("_digest")).select("_digest", "_text")
+    found = texts.join(misses, "_key").where(digest == F.col("_digest")).select("_digest", "_text")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, seen = encoder(tokenizer), {}
