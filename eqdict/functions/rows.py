@@ -99,9 +99,7 @@ def mask_row(seed: Column, high: Column, low: Column, m: Column, kind: str = "de
     if kind == "dense":
         return F.xxhash64(long(ROW), seed, high, low).bitwiseAND(mask_col(m))
     if kind == "local":
-        bits = F.xxhash64(long(ROW), seed, high, low).bitwiseAND(mask_col(F.least(m, long(window))))
-        start = F.pmod(_shru(F.xxhash64(long(PLACE), seed, high, low), F.lit(1)), F.greatest(m - window + 1, long(1)))
-        return _shl(bits, start)
+        return _shl(*local_row(seed, high, low, m, window))
     if kind == "logsparse" or t is None:
         count = F.element_at(F.array(*(F.lit(odd_log(x) if x else 0) for x in range(65))), m.cast("int") + 1)
     else:
@@ -110,6 +108,30 @@ def mask_row(seed: Column, high: Column, low: Column, m: Column, kind: str = "de
     return F.when(m == 0, long(0)).otherwise(bits)
 
 
+def local_row(seed: Column, high: Column, low: Column, m: Column, window: int) -> tuple[Column, Column]:
+    """(bits within the window, the window's first variable) of a local row."""
+    m, seed = m.cast("long"), seed.cast("long")
+    bits = F.xxhash64(long(ROW), seed, high, low).bitwiseAND(mask_col(F.least(m, long(window))))
+    return bits, F.pmod(_shru(F.xxhash64(long(PLACE), seed, high, low), F.lit(1)), F.greatest(m - window + 1, long(1)))
+
+
+def window_word(start: Column, words: Column, k: int) -> Column:
+    """64 bits from a variable on, from the one or two words that hold them."""
+    first = start * k
+    word, off = (F.floor(first / 64) + 1).cast("int"), F.pmod(first, F.lit(64)).cast("int")
+    low = _shru(F.element_at(words, word), off)
+    rest = _shl(F.coalesce(F.try_element_at(words, word + 1), long(0)), 64 - off)
+    return F.when(off == 0, low).otherwise(low.bitwiseOR(rest))
+
+
+def window_value(bits: Column, held: Column, window: int, k: int) -> Column:
+    """The sum of the k-bit variables that a local row names, of those in `held`."""
+    value = long(0)
+    for i in range(window):
+        value = value.bitwiseXOR(F.getbit(bits, F.lit(i)).cast("long") * F.shiftrightunsigned(held, i * k).bitwiseAND(long((1 << k) - 1)))
+    return value
+
+
 def words_np(seed: int, high: np.ndarray, low: np.ndarray, m: int) -> np.ndarray:
     """Dense binary rows of any width as uint64 words [row, word]."""
     w = max(1, -(-m // 64))

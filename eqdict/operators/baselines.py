@@ -6,6 +6,7 @@ Integer keys may be hashed by the affine family, which any SQL engine can repeat
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 from math import ceil, e, log2
 
 from pyspark.sql import Column, DataFrame
@@ -13,8 +14,10 @@ from pyspark.sql import functions as F
 
 from eqdict.functions.hashing import affine31, digest, gf2_affine, limb_affine, long, seed_of
 from eqdict.operators.build import key_columns
+from eqdict.operators.probe import BROADCAST_BYTES
 
 BLOCK_BITS = 4096  # bits of a row of the filter's table
+WORDS = BLOCK_BITS // 64
 
 
 @dataclass
@@ -41,8 +44,14 @@ def _set_bits(df: DataFrame, keys, bits: int, k: int, seed: int, affine: bool, s
     at = F.array(*(F.struct(F.lit(0 if shared else j).alias("plane"), position(df, keys, bits, seed, j, affine).alias("p")) for j in range(k)))
     bit = df.select(F.inline(at)).where("p is not null")
     word = bit.groupBy("plane", F.floor(F.col("p") / 64).alias("w")).agg(F.bit_or(F.call_function("shiftleft", long(1), F.pmod("p", F.lit(64)).cast("int"))).alias("v"))
-    per = BLOCK_BITS // 64
-    return word.groupBy("plane", F.floor(F.col("w") / per).alias("block")).agg(F.map_from_entries(F.collect_list(F.struct(F.pmod("w", F.lit(per)).cast("int").alias("i"), "v"))).alias("words"))
+    return _blocks(word.select("plane", F.floor(F.col("w") / WORDS).alias("block"), F.pmod("w", F.lit(WORDS)).cast("int").alias("i"), "v"))
+
+
+def _blocks(words: DataFrame) -> DataFrame:
+    """(plane, block, words): the WORDS words of each block in order, from (plane, block, i, v)."""
+    found = F.map_from_entries(F.collect_list(F.struct("i", "v")))
+    blocks = words.groupBy("plane", "block").agg(found.alias("_m"))
+    return blocks.select("plane", "block", F.transform(F.sequence(F.lit(0), F.lit(WORDS - 1)), lambda i: F.coalesce(F.try_element_at("_m", i), long(0))).alias("words"))
 
 
 def bloom_single(df: DataFrame, keys, n: int | None = None, seed: int = 1, affine: bool = False) -> Bloom:
@@ -67,27 +76,51 @@ def bloom_shared(df: DataFrame, keys, k: int, n: int | None = None, seed: int =
 def bloom_insert(filter_: Bloom, df: DataFrame, keys) -> Bloom:
     """More keys, which Bloom filters take and equation stores do not; the error grows with them."""
     new = _set_bits(df, keys, filter_.bits, filter_.k, filter_.seed, filter_.affine, filter_.shared)
-    both = filter_.table.unionByName(new).select("plane", "block", F.explode("words").alias("i", "v")).groupBy("plane", "block", "i").agg(F.bit_or("v").alias("v"))
-    table = both.groupBy("plane", "block").agg(F.map_from_entries(F.collect_list(F.struct("i", "v"))).alias("words"))
-    return Bloom(table, filter_.bits, filter_.k, filter_.seed, filter_.affine, filter_.shared)
+    both = filter_.table.unionByName(new).select("plane", "block", F.posexplode("words").alias("i", "v")).groupBy("plane", "block", "i").agg(F.bit_or("v").alias("v"))
+    return Bloom(_blocks(both), filter_.bits, filter_.k, filter_.seed, filter_.affine, filter_.shared)
+
+
+def bloom_bytes(filter_: Bloom) -> int:
+    """What the filter's blocks hold in memory: their words and some 64 bytes a row."""
+    return (1 if filter_.shared else filter_.k) * -(-filter_.bits // BLOCK_BITS) * (8 * WORDS + 64)
+
 
+def bloom_contains(filter_: Bloom, df: DataFrame, keys, out: str = "hit", most_broadcast: int = BROADCAST_BYTES) -> DataFrame:
+    """df with a boolean, null for null keys.
 
-def bloom_contains(filter_: Bloom, df: DataFrame, keys, out: str = "hit") -> DataFrame:
-    """df with a boolean, null for null keys. Each probe is a join by block; blocks are broadcast while they are few."""
-    small = filter_.bits * (1 if filter_.shared else filter_.k) <= 1 << 29
+    While the blocks are at most most_broadcast bytes, each probe meets its plane without moving. Beyond, the distinct keys' probes
+    are rows that join the blocks once, and their conjunction joins df.
+    """
+    if bloom_bytes(filter_) > most_broadcast:
+        return _contains_joined(filter_, df, keys, out)
     got = df
     for j in range(filter_.k):
         got = got.withColumn(f"_p{j}", position(df, keys, filter_.bits, filter_.seed, j, filter_.affine))
     hit = None
     for j in range(filter_.k):
         plane = filter_.table.where(F.col("plane") == (0 if filter_.shared else j)).select(F.col("block").alias(f"_b{j}"), F.col("words").alias(f"_w{j}"))
-        got = got.join(F.broadcast(plane) if small else plane, F.floor(F.col(f"_p{j}") / BLOCK_BITS) == F.col(f"_b{j}"), "left")
-        word = F.coalesce(F.try_element_at(f"_w{j}", F.pmod(F.floor(F.col(f"_p{j}") / 64), F.lit(BLOCK_BITS // 64)).cast("int")), long(0))
-        bit = F.when(F.col(f"_p{j}").isNotNull(), F.getbit(word, F.pmod(f"_p{j}", F.lit(64)).cast("int")) == 1)
+        got = got.join(F.broadcast(plane), F.floor(F.col(f"_p{j}") / BLOCK_BITS) == F.col(f"_b{j}"), "left")
+        bit = F.when(F.col(f"_p{j}").isNotNull(), _bit(F.col(f"_w{j}"), F.col(f"_p{j}")))
         hit = bit if hit is None else hit & bit
     return got.select(*df.columns, hit.alias(out))
 
 
+def _bit(words: Column, p: Column) -> Column:
+    word = F.coalesce(F.try_element_at(words, F.pmod(F.floor(p / 64), F.lit(WORDS)).cast("int") + 1), long(0))
+    return F.getbit(word, F.pmod(p, F.lit(64)).cast("int")) == 1
+
+
+def _contains_joined(filter_: Bloom, df: DataFrame, keys, out: str) -> DataFrame:
+    names = [keys] if isinstance(keys, str) else list(keys)
+    once = df.select(*(F.col(n).alias(f"_k{i}") for i, n in enumerate(names))).distinct().select("*", *(F.col(f"_k{i}").alias(n) for i, n in enumerate(names)))
+    probes = F.array(*(F.struct(F.lit(0 if filter_.shared else j).alias("plane"), position(once, keys, filter_.bits, filter_.seed, j, filter_.affine).alias("_p")) for j in range(filter_.k)))
+    own = [f"_k{i}" for i in range(len(names))]
+    each = once.select(*own, F.inline(probes)).where("_p is not null").withColumn("block", F.floor(F.col("_p") / BLOCK_BITS))
+    hits = each.join(filter_.table, ["plane", "block"], "left").groupBy(*own).agg(F.bool_and(_bit(F.col("words"), F.col("_p"))).alias("_hit"))
+    same = reduce(lambda a, b: a & b, (F.col(n) == F.col(k) for n, k in zip(names, own, strict=True)))
+    return df.join(hits, same, "left").select(*df.columns, F.col("_hit").alias(out))
+
+
 def exact_dictionary(stored: DataFrame, probe: DataFrame, keys: list[str] | str, value: str, out: str = "value") -> DataFrame:
     """A table that keeps its keys, as a join."""
     names = [keys] if isinstance(keys, str) else list(keys)

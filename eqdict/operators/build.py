@@ -63,9 +63,12 @@ def settled(clustered: DataFrame, *by: str, spec: DictSpec) -> DataFrame:
 
 
 def solved(data: DataFrame, spec: DictSpec, n_buckets: int, h1_seed: int, n: int) -> DataFrame:
-    """The plan of a build: digest, one exchange by group, duplicates, kernel."""
+    """The plan of a build: digest, one exchange by group, duplicates, kernel.
+
+    Keys that repeat often meet in a partial aggregate first, at the price of a second exchange, so no task gets all rows of one key.
+    """
     with_bucket = data.withColumn("bucket", bucket_of(spec, n_buckets, h1_seed)).withColumn("_group", F.floor(F.col("bucket") / GROUP))
-    if spec.pre_dedupe:  # keys that repeat very often: a partial aggregate before the exchange, at the price of a second one
+    if spec.pre_dedupe is not False:
         with_bucket = settled(with_bucket, "_group", "bucket", spec=spec)
         keyed = with_bucket.repartition("_group")
     else:
@@ -86,11 +89,17 @@ def bad_key_share(loads: DataFrame, cap: int) -> tuple[int, int]:
 
 
 def choose_h1(data: DataFrame, spec: DictSpec, n_buckets: int, limit: float | None = None, candidates: int = H1_TRIES) -> int:
-    """The first bucket hash that leaves at most `limit` keys in overfull buckets (one-level: none). A pass over narrow rows each."""
+    """The first bucket hash that leaves at most `limit` keys in overfull buckets (one-level: none).
+
+    Distinct digests are made once, and the loads of all candidates counted in one pass over them.
+    """
+    tried = F.array(*(F.struct(F.lit(s).alias("h1"), bucket_of(spec, n_buckets, s).alias("bucket")) for s in range(candidates)))
+    loads = data.select("key_hi", "key_lo").distinct().select(F.inline(tried)).groupBy("h1", "bucket").agg(F.count("*").alias("keys"))
+    bad = F.coalesce(F.sum(F.when(F.col("keys") > spec.cap, F.col("keys"))), F.lit(0))
+    found = {r["h1"]: (r["bad"], r["n"]) for r in loads.groupBy("h1").agg(bad.alias("bad"), F.sum("keys").alias("n")).collect()}
     for s in range(candidates):
-        bad, n = bad_key_share(bucket_loads(data, spec, n_buckets, s), spec.cap)
-        allowed = limit if limit is not None else 0 if spec.method == "one_level" else n / _log2(n) ** 2
-        if bad <= allowed:
+        bad_keys, n = found.get(s, (0, 0))
+        if bad_keys <= (limit if limit is not None else 0 if spec.method == "one_level" else n / _log2(n) ** 2):
             return s
     raise RuntimeError(f"{candidates} bucket hashes left too many keys in overfull buckets")
 
@@ -107,7 +116,12 @@ def build(df: DataFrame, keys: list[str] | str, value: str | Column, spec: DictS
     """
     spec = with_(spec, key_types=type_names(df, keys))
     data = prepared(df, keys, value, spec)
-    n = n_rows if n_rows is not None else df.count()
+    n = n_rows
+    if n is None:
+        hashed = F.approx_count_distinct(F.xxhash64(*(F.col(c) for c in ([keys] if isinstance(keys, str) else keys))), 0.02)
+        n, about = df.agg(F.count("*"), hashed).first()
+        if spec.pre_dedupe is None:
+            spec = with_(spec, pre_dedupe=n > 1.2 * about)
     if spec.hashing == "table":  # the number of functions is part of the store
         h = kernels.table_hash(spec, n)
         spec = with_(spec, table_len=h.table_len, n_funcs=h.n_funcs)
@@ -120,17 +134,16 @@ def build(df: DataFrame, keys: list[str] | str, value: str | Column, spec: DictS
             raise ValueError(f"method {spec.method} makes one system and takes at most {most} keys; use two_level")
     if spec.method == "one_level":
         h1_seed = choose_h1(data, spec, n_buckets)
-    made = solved(data, spec, n_buckets, h1_seed, n)
-    store = save(spec, n_buckets, h1_seed, made, path or workdir(df.sparkSession, "store"))
-    if spec.method in ("two_level", "shared_inverse") and path is None:
-        # the bucket hash is judged by what it left over; redrawn only if overfull buckets hold too many keys
-        for s in range(1, H1_TRIES):
-            bad = store.buckets.where(F.col("n_keys") > spec.cap).agg(F.coalesce(F.sum("n_keys"), F.lit(0))).first()[0]
-            if spec.bucket_cap is not None or bad <= store.n_keys / _log2(store.n_keys) ** 2:
-                break
-            h1_seed = s
-            store = save(spec, n_buckets, h1_seed, solved(data, spec, n_buckets, h1_seed, n), workdir(df.sparkSession, "store"))
-    return store
+    path = path or workdir(df.sparkSession, "store")
+    if spec.method not in ("two_level", "shared_inverse"):
+        return save(spec, n_buckets, h1_seed, solved(data, spec, n_buckets, h1_seed, n), path)
+    # the bucket hash is judged by what it left over, before the store is committed, and redrawn if overfull buckets hold too many keys
+    for s in range(H1_TRIES):
+        limit = -1.0 if spec.bad_share is None else spec.bad_share
+        store = save(spec, n_buckets, s, solved(data, spec, n_buckets, s, n), path, limit)
+        if store is not None:
+            return store
+    raise RuntimeError(f"{H1_TRIES} bucket hashes left too many keys in overfull buckets; allow more of them, or larger buckets")
 
 
 def encoded(df: DataFrame, column: str) -> tuple[DataFrame, DataFrame]:

@@ -56,7 +56,8 @@ def probe_cost(store: Store) -> dict[str, float]:
     if spec.field == "full":
         return {"words": 2.0 + ceil(m * spec.k / 64), "operations": m}
     t = {"dense": m / 2, "local": min(spec.window, m) / 2, "logsparse": float(R.odd_log(max(2, round(m)))), "sparse": float(spec.t or 3)}[spec.kind]
-    return {"words": 2.0 + spec.k, "operations": t}
+    # a window of variables lies in one word, or over the edge of two; other rows read a word of each plane
+    return {"words": 2.0 + (1 + (spec.window * spec.k - 1) / 64 if spec.by_variable else spec.k), "operations": t}
 
 
 def verify_members(store: Store, df: DataFrame, keys, value: str) -> int:

@@ -34,7 +34,7 @@ def joined(probe: DataFrame, store: Store) -> DataFrame:
     """probe(key_hi, key_lo, ...) with its bucket's row: the store is broadcast up to BROADCAST_BYTES, else both are shuffled."""
     rows = store.buckets.select("bucket", "split_seed", "func_no", "cells")
     with_bucket = probe.withColumn("bucket", bucket_of(store.spec, store.n_buckets, store.h1_seed))
-    rows = F.broadcast(rows) if store_bytes(store) <= BROADCAST_BYTES else rows.hint("shuffle_hash")
+    rows = F.broadcast(rows) if store_bytes(store) <= BROADCAST_BYTES else rows
     return with_bucket.join(rows, "bucket", "left")
 
 
@@ -64,6 +64,9 @@ def located(rows: DataFrame, store: Store) -> DataFrame:
         side = F.greatest(m, F.lit(1))
         p = F.pmod(F.shiftrightunsigned(F.xxhash64(long(R.POSITION), F.coalesce("_extra", F.lit(0)).cast("long"), F.col("_x"), F.col("_y")), 1), (side * side).cast("long"))
         return let(rows, _row=R.mask_row(seed, p, long(0), m))
+    if spec.by_variable:
+        bits, start = R.local_row(seed, F.col("_x"), F.col("_y"), m, spec.window)
+        return let(let(rows, _row=bits, _start=start), _held=R.window_word(F.col("_start"), F.col("_planes"), spec.k))
     return let(rows, _row=R.mask_row(seed, F.col("_x"), F.col("_y"), m, spec.kind, spec.t, spec.window))
 
 
@@ -99,7 +102,7 @@ def answer(store: Store, evaluator: str = "native") -> tuple[Column, Column]:
             for j in range(spec.k):
                 value = value.bitwiseOR(F.shiftleft(F.element_at(table, (row * 16 + F.element_at(planes, j + 1)).cast("int") + 1).cast("long"), j))
         else:
-            value = R.parity_value(row, planes, spec.k)
+            value = R.window_value(row, F.col("_held"), spec.window, spec.k) if spec.by_variable else R.parity_value(row, planes, spec.k)
     return F.when(m > 0, value), m > 0
 
 
@@ -153,7 +156,10 @@ def packed(store: Store) -> DataFrame:
             for r in b.to_pylist():
                 sizes = np.array([c["m"] for c in r["cells"]], np.uint8)
                 seeds = np.array([c["seed"] for c in r["cells"]], "<u2")
-                bits = [np.unpackbits(np.array([p], np.int64).view(np.uint8), bitorder="little")[: c["m"]] for c in r["cells"] for p in (c["planes"] if c["m"] else [])]
+                if spec.by_variable:  # plane after plane here, too
+                    bits = [np.unpackbits(np.array(c["planes"], np.int64).view(np.uint8), bitorder="little")[: c["m"] * spec.k].reshape(c["m"], spec.k).T.ravel() for c in r["cells"] if c["m"]]
+                else:
+                    bits = [np.unpackbits(np.array([p], np.int64).view(np.uint8), bitorder="little")[: c["m"]] for c in r["cells"] for p in (c["planes"] if c["m"] else [])]
                 rank = np.concatenate([[0], np.cumsum(sizes, dtype=np.int64)])[::RANK_EVERY] if len(sizes) else np.zeros(0, np.int64)
                 payload = np.packbits(np.concatenate([np.zeros(0, np.uint8), *bits]), bitorder="little").tobytes()
                 out.append((r["bucket"], r["n_keys"], r["split_seed"], r["func_no"], sizes.tobytes(), seeds.tobytes(), rank.tolist(), payload))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+MOST_BROADCAST_RANGES = 10_000
+
 
 def latest(changes: DataFrame, key: str, time: str, tie: str, until: Column | None = None) -> DataFrame:
     """The last change of each key up to a time; of simultaneous ones the one with the larger tie column."""
@@ -33,9 +35,10 @@ def split_by_range(keys: DataFrame, key: str, runs: int) -> DataFrame:
 
 
 def run_of_range(keys: DataFrame, ranges: DataFrame, key: str) -> DataFrame:
-    """keys with their run. The ranges are as few as there are runs, so they are broadcast."""
+    """keys with their run. Ranges are broadcast if they are at most MOST_BROADCAST_RANGES; more are joined as they are."""
     inside = (F.col(key) >= F.col("low")) & (F.col("high").isNull() | (F.col(key) < F.col("high")))
-    return keys.join(F.broadcast(ranges), inside, "left").select(*keys.columns, "run")
+    few = ranges.limit(MOST_BROADCAST_RANGES + 1).count() <= MOST_BROADCAST_RANGES
+    return keys.join(F.broadcast(ranges) if few else ranges, inside, "left").select(*keys.columns, "run")
 
 
 def dictionary_diff(old: DataFrame, new: DataFrame, key: str, value: str) -> DataFrame:
@@ -47,6 +50,9 @@ def dictionary_diff(old: DataFrame, new: DataFrame, key: str, value: str) -> Dat
 
 
 def changes_by_day(events: DataFrame, time: str, key: str) -> DataFrame:
-    """(day, keys, new): the keys changed on each day, and how many more than on the day before there are."""
+    """(day, keys, new): the keys changed on each day, and how many more than on the day before there are.
+
+    The window has no partition, over a row a day: centuries of days fit one task.
+    """
     day = events.groupBy(F.to_date(time).alias("day")).agg(F.count_distinct(key).alias("keys"))
     return day.select("day", "keys", (F.col("keys") - F.lag("keys", 1, 0).over(Window.orderBy("day"))).alias("new"))

@@ -5,6 +5,7 @@ Pure functions of their rows and the seeds, so a repeated task gives the same re
 
 from __future__ import annotations
 
+from functools import lru_cache
 from math import ceil
 
 import numpy as np
@@ -24,12 +25,16 @@ def sorted_columns(table: pa.Table) -> tuple[np.ndarray, ...]:
 
 
 def bucket_rows(bucket, n_keys, split, func, cells, side, tries, splits) -> pa.Table:
-    """One row per bucket. cells: (owner, m, seed, extra, planes as list of arrays); side: (owner, hi, lo, value), both in order of owner."""
+    """One row per bucket. cells: (owner, m, seed, extra, planes: a list of arrays or one [cell, k] array); side: (owner, hi, lo,
+    value), both in order of owner."""
     n = len(bucket)
     offsets = lambda owner: np.searchsorted(owner, np.arange(n + 1)).astype(np.int32)
     owner, m, seed, extra, planes = cells
-    flat = np.concatenate([np.zeros(0, np.int64), *(p.astype(np.uint64).view(np.int64) for p in planes)])
-    cuts = np.cumsum([0, *(len(p) for p in planes)]).astype(np.int32)
+    if isinstance(planes, np.ndarray):
+        flat, cuts = np.ascontiguousarray(planes).view(np.int64).ravel(), (np.arange(len(planes) + 1) * planes.shape[1]).astype(np.int32)
+    else:
+        flat = np.concatenate([np.zeros(0, np.int64), *(p.astype(np.uint64).view(np.int64) for p in planes)])
+        cuts = np.cumsum([0, *(len(p) for p in planes)]).astype(np.int32)
     cell = pa.StructArray.from_arrays([pa.array(m, pa.int32()), pa.array(seed, pa.int32()), pa.array(extra, pa.int32()), pa.ListArray.from_arrays(cuts, pa.array(flat, pa.int64()))], ["m", "seed", "extra", "planes"])
     so, sh, sl, sv = side
     left = pa.StructArray.from_arrays([pa.array(sh, pa.int64()), pa.array(sl, pa.int64()), pa.array(sv, pa.int64())], ["key_hi", "key_lo", "value"])
@@ -96,8 +101,7 @@ def two_level(spec: DictSpec, n: int):
         m, seed, tries = np.where(live_cells, size + np.where(size > 0, spec.c, 0), 0), np.zeros(base[-1], np.int64), np.zeros(base[-1], np.int64)
         extra = np.zeros(base[-1], np.int64)
         width = int(size.max()) if len(size) else 0
-        planes_n = spec.k if spec.field == "binary" else 0
-        planes: list[np.ndarray] = [np.zeros(planes_n, np.uint64)] * base[-1]
+        planes = np.zeros((base[-1], spec.k), np.uint64) if spec.field == "binary" else [np.zeros(0, np.uint64)] * base[-1]
         keys = np.flatnonzero(inside)
         keys = keys[np.argsort(cell[keys], kind="stable")]
         place = np.arange(len(keys)) - np.repeat(np.concatenate([[0], np.cumsum(size)])[:-1], size) if len(keys) else keys
@@ -110,8 +114,9 @@ def two_level(spec: DictSpec, n: int):
         out = ~inside | bad_cell[cell]
         side = np.flatnonzero(out)
         keep = live_cells
+        kept = planes[keep] if spec.field == "binary" else [p for p, k in zip(planes, keep, strict=True) if k]
         return bucket_rows(
-            names, count, split, func, (owner[keep], m[keep], seed[keep], extra[keep], [p for p, k in zip(planes, keep, strict=True) if k]),
+            names, count, split, func, (owner[keep], m[keep], seed[keep], extra[keep], kept),
             (of[side], hi[side], lo[side], v[side]), np.bincount(owner, weights=tries, minlength=nb).astype(np.int64), splits,
         )
 
@@ -149,9 +154,7 @@ def _binary(spec, todo, at, place, x, y, v, m, seed, extra, tries, planes, width
         else:
             solved, b = S.eliminate_cells(rows, values, live, m[todo])
         tries[todo] += 1
-        p = S.planes_of(b, spec.k)
-        for i in np.flatnonzero(solved):
-            planes[todo[i]] = p[i]
+        planes[todo[solved]] = (S.by_variable if spec.by_variable else S.planes_of)(b[solved], spec.k)
         seed[todo[solved]] = s
         todo = todo[~solved]
     return todo
@@ -159,6 +162,23 @@ def _binary(spec, todo, at, place, x, y, v, m, seed, extra, tries, planes, width
 
 def _full(spec, todo, at, place, x, y, v, m, seed, extra, tries, planes, width) -> np.ndarray:
     left = []
+    if spec.solver == "listed":  # all cells of a size together
+        for r in np.unique(m[todo]).tolist():
+            cells = todo[m[todo] == r]
+            for s in range(spec.seed_tries):
+                if not len(cells):
+                    break
+                _, (bx, by, bv) = _blocked(cells, at, place, width, x, y, v)
+                rows = R.coefs_np(s, bx[:, :r].ravel(), by[:, :r].ravel(), r, spec.k).reshape(len(cells), r, r)
+                solved, b = S.solve_listed_field(rows, bv[:, :r].astype(np.int64), r, spec.k)
+                tries[cells] += 1
+                for i in np.flatnonzero(solved).tolist():
+                    planes[cells[i]], seed[cells[i]] = b[i], s
+                cells = cells[~solved]
+            for c in cells:
+                planes[c] = np.zeros(r, np.int64)
+            left += cells.tolist()
+        return np.array(left, np.int64)
     for c in todo:
         own = at == c
         for s in range(spec.seed_tries):
@@ -182,32 +202,38 @@ def positions_np(seed: np.ndarray, x: np.ndarray, y: np.ndarray, m: np.ndarray)
     return (xxhash64_np(R.POSITION, seed, x, y) >> np.uint64(1)).astype(np.int64) % (m * m)
 
 
-def _shared(spec):
-    cache = S.InverseCache(position_rows)
+@lru_cache(maxsize=1)
+def shared_cache() -> S.InverseCache:
+    """The inverses that a Python worker has made so far; workers outlive tasks, so few sets of positions serve a whole build."""
+    return S.InverseCache(position_rows)
 
+
+def _shared(spec):
     def solve(spec, todo, at, place, x, y, v, m, seed, extra, tries, planes, width) -> np.ndarray:
-        found: dict[bytes, list[tuple[int, np.ndarray, np.ndarray]]] = {}
+        cells, positions, values = [], [], []
+        none = np.iinfo(np.int64).max
         for s in range(spec.seed_tries):
             if not len(todo):
                 break
             live, (bx, by, bv) = _blocked(todo, at, place, width, x, y, v)
             p = positions_np(np.full(bx.size, s, np.int64), bx.ravel(), by.ravel(), np.repeat(np.maximum(m[todo], 1), width)).reshape(bx.shape)
-            p = np.where(live, p, np.iinfo(np.int64).max)
+            p = np.where(live, p, none)
             order = np.argsort(p, axis=1, kind="stable")
             p, bv = np.take_along_axis(p, order, 1), np.take_along_axis(bv, order, 1)
-            clash = ((np.diff(p, axis=1) == 0) & (p[:, 1:] != np.iinfo(np.int64).max)).any(axis=1)
+            clash = ((np.diff(p, axis=1) == 0) & (p[:, 1:] != none)).any(axis=1)
             tries[todo] += 1
-            for i in np.flatnonzero(~clash):
-                c, size = todo[i], int(m[todo[i]])
-                extra[c] = s
-                found.setdefault(p[i, :size].tobytes(), []).append((c, p[i, :size], bv[i, :size].astype(np.uint64)))
+            extra[todo[~clash]] = s
+            cells.append(todo[~clash]), positions.append(p[~clash]), values.append(bv[~clash].astype(np.uint64))
             todo = todo[clash]
-        for group in found.values():  # cells with one set of positions are multiplied together
-            seed_, inverse = cache(group[0][1])
-            b = np.zeros((len(group), 64), np.uint64)
-            b[:, : len(inverse)] = S.multiply_batch(inverse, np.stack([g[2] for g in group]))
-            for (c, _, _), words in zip(group, S.planes_of(b, spec.k), strict=True):
-                planes[c], seed[c] = words, seed_
+        if cells:
+            own, p, bv = np.concatenate(cells), np.concatenate(positions), np.concatenate(values)
+            for size in np.unique(m[own]):  # cells with one set of positions have one inverse
+                here = np.flatnonzero(m[own] == size)
+                sets, which = np.unique(p[here, :size], axis=0, return_inverse=True)
+                seeds, inverse = shared_cache().many(sets)
+                b = np.zeros((len(here), 64), np.uint64)
+                b[:, :size] = S.multiply_each(inverse[which.ravel()], bv[here, :size])
+                planes[own[here]], seed[own[here]] = S.planes_of(b, spec.k), seeds[which.ravel()]
         return todo
 
     return solve

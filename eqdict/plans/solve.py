@@ -47,6 +47,12 @@ def planes_of(b: np.ndarray, k: int) -> np.ndarray:
     return np.stack([np.bitwise_or.reduce(((b >> np.uint64(j)) & ONE) << place, axis=1) for j in range(k)], axis=1) if len(b) else np.zeros((0, k), np.uint64)
 
 
+def by_variable(b: np.ndarray, k: int) -> np.ndarray:
+    """[cell, k] words that hold the k bits of variable after variable, without gaps."""
+    bits = ((b[:, :, None] >> np.arange(k, dtype=np.uint64)) & ONE).astype(np.uint8).reshape(len(b), b.shape[1] * k)
+    return np.packbits(bits, axis=1, bitorder="little").view("<u8").reshape(len(b), k)
+
+
 def eliminate_wide(rows: np.ndarray, values: np.ndarray, m: int) -> np.ndarray | None:
     """b of one binary system with rows [equation, word]; None if its equations are dependent."""
     rows, values = rows.copy(), values.astype(np.uint64).copy()
@@ -124,6 +130,36 @@ def solve_listed(rows: np.ndarray, values: np.ndarray, r: int) -> tuple[np.ndarr
     return inv >= 0, times(np.where(inv < 0, 0, inv).astype(np.uint64), values, r)
 
 
+@lru_cache(maxsize=4)
+def field_inverses(r: int, k: int) -> np.ndarray:
+    """For each r x r matrix over GF(2^k), its k-bit entries row by row in its number, the entries of its inverse; -1 if there is none.
+
+    k r^2 is at most 16, so r is 1 or 2 but for k = 1.
+    """
+    if k * r * r > 16 or (r > 2 and k > 1):
+        raise ValueError("matrices of up to 16 bits can be listed")
+    if k == 1:
+        inv = inverses(r)
+        bits = (inv[:, None] >> np.arange(r * r)) & 1
+        return np.where(inv[:, None] < 0, -1, bits)
+    f = field(k)
+    ids = np.arange(1 << (k * r * r), dtype=np.int64)
+    e = (ids[:, None] >> (k * np.arange(r * r))) & ((1 << k) - 1)
+    det = e[:, 0] if r == 1 else f.mul(e[:, 0], e[:, 3]) ^ f.mul(e[:, 1], e[:, 2])
+    scale = np.array([0, *(f.inv(d) for d in range(1, 1 << k))], np.int64)[det]
+    turned = np.ones_like(e) if r == 1 else e[:, [3, 1, 2, 0]]  # signs do not matter here
+    return np.where((det == 0)[:, None], -1, f.mul(turned, scale[:, None]))
+
+
+def solve_listed_field(rows: np.ndarray, values: np.ndarray, r: int, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(solved, b) of systems rows [cell, r, r] over GF(2^k) by looking their matrices up; values are [cell, r]."""
+    f = field(k)
+    inv = field_inverses(r, k)[(rows.reshape(len(rows), r * r) << (k * np.arange(r * r))).sum(axis=1)].reshape(rows.shape)
+    ok = inv[:, 0, 0] >= 0
+    b = np.bitwise_xor.reduce(f.mul(np.where(inv < 0, 0, inv), values[:, None, :]), axis=2)
+    return ok, b
+
+
 def times(matrix: np.ndarray, values: np.ndarray, r: int) -> np.ndarray:
     """Listed matrices times vectors of k-bit values."""
     b = np.zeros((len(values), r), np.uint64)
@@ -146,28 +182,53 @@ def answer_table(r: int) -> list[int]:
 class InverseCache:
     """The seed and inverse of the equation set that belongs to a set of positions: the smallest seed that gives full rank.
 
-    Rows depend on position and seed only, so cells with one position set share the set of equations whatever their values.
+    Rows depend on position and seed only, so cells with one position set share the set of equations whatever their values. The
+    oldest sets are forgotten beyond `most`; they can be made again.
     """
 
-    def __init__(self, row_of, max_seed: int = 200):
-        self.row_of, self.max_seed = row_of, max_seed  # row_of(seed, positions, m) -> uint64 rows
+    def __init__(self, row_of, max_seed: int = 200, most: int = 200_000):
+        self.row_of, self.max_seed, self.most = row_of, max_seed, most  # row_of(seed, positions, m) -> uint64 rows
         self.known: dict[bytes, tuple[int, np.ndarray]] = {}
         self.hits = 0
 
     def __call__(self, positions: np.ndarray) -> tuple[int, np.ndarray]:
         """(seed, inverse): row i of the inverse has a bit for each value that b_i sums. Positions are sorted."""
-        key = positions.tobytes()
-        if key in self.known:
-            self.hits += 1
-            return self.known[key]
-        m = len(positions)
-        unit = (ONE << np.arange(m, dtype=np.uint64))[None, :]
+        seeds, inverse = self.many(positions[None, :])
+        return int(seeds[0]), inverse[0]
+
+    def many(self, sets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(seed of each, inverses [set, row]) of distinct sets [set, position]; those not known are solved together."""
+        m = sets.shape[1]
+        names = [s.tobytes() for s in np.ascontiguousarray(sets, np.int64)]
+        new = np.array([n not in self.known for n in names], bool)
+        self.hits += int((~new).sum())
+        todo = np.flatnonzero(new)
+        unit = ONE << np.arange(m, dtype=np.uint64)
+        found: dict[int, tuple[int, np.ndarray]] = {}
         for seed in range(self.max_seed):
-            solved, b = eliminate_cells(self.row_of(seed, positions, m)[None, :], unit, np.ones((1, m), bool), np.array([m]))
-            if solved[0]:
-                self.known[key] = seed, b[0, :m]
-                return self.known[key]
-        raise RuntimeError("no seed gives full rank")
+            if not len(todo):
+                break
+            rows = self.row_of(seed, sets[todo].ravel(), m).reshape(len(todo), m)
+            solved, b = eliminate_cells(rows, np.broadcast_to(unit, rows.shape), np.ones(rows.shape, bool), np.full(len(todo), m))
+            for i in np.flatnonzero(solved).tolist():
+                found[int(todo[i])] = seed, b[i, :m]
+            todo = todo[~solved]
+        if len(todo):
+            raise RuntimeError("no seed gives full rank")
+        got = [found[i] if i in found else self.known[n] for i, n in enumerate(names)]
+        self.known.update((names[i], x) for i, x in found.items())
+        while len(self.known) > self.most:
+            del self.known[next(iter(self.known))]
+        return np.array([s for s, _ in got], np.int64), np.array([b for _, b in got], np.uint64).reshape(len(names), m)
+
+
+def multiply_each(inverse: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """Each cell's inverse [cell, row] times its values [cell, m]."""
+    out = np.zeros_like(values)
+    for i in range(values.shape[1]):
+        for j in range(values.shape[1]):
+            out[:, i] ^= np.where((inverse[:, i] >> np.uint64(j)) & ONE, values[:, j], np.uint64(0))
+    return out
 
 
 def multiply_batch(inverse: np.ndarray, values: np.ndarray) -> np.ndarray:

@@ -81,9 +81,11 @@ ORACLES.pop("dict_vectors")  # arrays of floats have no common text form to comp
 # --- every method and variant ---------------------------------------------------------------------------------------------------
 
 for _name, _spec in {
-    "method_two_level_side": DictSpec(k=3, bucket_mean=512, bucket_cap=520),
+    "method_two_level_side": DictSpec(k=3, bucket_mean=512, bucket_cap=520, bad_share=1.0),
     "method_two_level_extra": DictSpec(k=3, c=2, cell_cap=62),
-    "method_listed_matrices": DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=512),
+    "method_listed_matrices": DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=32),
+    "method_listed_full_field": DictSpec(k=3, field="full", solver="listed", cell_mean=0.7, cell_cap=2, bucket_mean=8),
+    "method_sparse_cells": DictSpec(k=3, kind="sparse", t=5, seed_tries=256),
     "method_logsparse_rows": DictSpec(k=3, kind="logsparse", seed_tries=256),
     "method_local_rows": DictSpec(k=3, kind="local", seed_tries=256),
     "method_shared_inverse": DictSpec(k=3, method="shared_inverse", cell_mean=2.5, cell_cap=6, bucket_mean=512),
@@ -93,7 +95,7 @@ for _name, _spec in {
 }.items():
     _dictionary(_name, _priority, ["o_orderkey"], _spec, _PRIORITY)
 _dictionary("method_distinct_probe", lambda s, sf: table(s, sf, "lineitem").select(F.col("l_orderkey").alias("o_orderkey")).distinct().withColumn("v", F.pmod("o_orderkey", F.lit(8))), ["o_orderkey"], DictSpec(k=3), "SELECT DISTINCT l_orderkey AS o_orderkey, (l_orderkey % 8)::BIGINT AS value FROM lineitem", looked_up_distinct)
-_dictionary("method_answer_table", _priority, ["o_orderkey"], DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=512), _PRIORITY, lambda st, df, keys: looked_up(st, df, keys, evaluator="table"))
+_dictionary("method_answer_table", _priority, ["o_orderkey"], DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=32), _PRIORITY, lambda st, df, keys: looked_up(st, df, keys, evaluator="table"))
 _dictionary("method_packed", _priority, ["o_orderkey"], DictSpec(k=3), _PRIORITY, lambda st, df, keys: looked_up_packed(st, packed(st), df, keys))
 for _name, _spec in {
     "method_dense": DictSpec(k=5, method="dense"),
@@ -378,7 +380,7 @@ def _at(x: str, plane: int, size: str = _BITS) -> str:
 @query(f"SELECT DISTINCT {_at('o_orderkey', 0)} AS position FROM orders WHERE o_orderkey % 2 = 0")
 def bloom_single_bits(spark: SparkSession, sf: str) -> DataFrame:
     t = baselines.bloom_single(_even(spark, sf), "o_orderkey", affine=True).table
-    words = t.select("block", F.explode("words").alias("i", "v"))
+    words = t.select("block", F.posexplode("words").alias("i", "v"))
     bits = words.select("block", "i", "v", F.explode(F.sequence(F.lit(0), F.lit(63))).alias("b")).where(F.getbit("v", F.col("b")) == 1)
     return bits.select((F.col("block") * baselines.BLOCK_BITS + F.col("i") * 64 + F.col("b")).alias("position"))
 

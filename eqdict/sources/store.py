@@ -6,6 +6,7 @@ import json
 import tempfile
 import uuid
 from dataclasses import dataclass
+from math import log2
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,11 +18,13 @@ BUCKETS = f"bucket long, n_keys int, split_seed int, func_no int, cells array<{C
 
 
 def workdir(spark: SparkSession, name: str) -> str:
-    """A fresh folder that driver and executors share: below spark.checkpoint.dir, else (tests) a temporary or the warehouse folder."""
+    """A fresh folder that driver and executors share, below spark.checkpoint.dir; where that is unset, a temporary one under a local
+    master (tests), and an error on a cluster, whose machines do not share their folders."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        local = spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")
-        base = tempfile.mkdtemp(prefix="eqdict-") if local else spark.conf.get("spark.sql.warehouse.dir")
+        if spark.sparkContext.master != "local" and not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = tempfile.mkdtemp(prefix="eqdict-")
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
@@ -54,8 +57,12 @@ class Store:
         return self.facts["n_keys"]
 
 
-def save(spec: DictSpec, n_buckets: int, h1_seed: int, solved: DataFrame, path: str) -> Store:
-    """Write solved buckets (BUCKETS) and what they leave to the side dictionary; the manifest is the commit."""
+def save(spec: DictSpec, n_buckets: int, h1_seed: int, solved: DataFrame, path: str, most_bad: float | None = None) -> Store | None:
+    """Write solved buckets (BUCKETS) and what they leave to the side dictionary; the manifest is the commit.
+
+    With most_bad, buckets over their cap may hold that share of the keys, or 1 / log^2 n of them if it is below 0; if they hold more,
+    what was written is deleted, nothing is committed and None is returned.
+    """
     spark = solved.sparkSession
     solved = staged(solved, f"{path}/buckets")
     cells = F.size("cells")
@@ -63,9 +70,12 @@ def save(spec: DictSpec, n_buckets: int, h1_seed: int, solved: DataFrame, path:
     facts = solved.agg(
         F.coalesce(F.sum("n_keys"), F.lit(0)).alias("n_keys"), F.coalesce(F.sum(cells), F.lit(0)).alias("cells"), F.coalesce(F.sum(m), F.lit(0)).alias("variables"),
         F.coalesce(F.sum(F.size("side")), F.lit(0)).alias("n_side"), F.coalesce(F.sum("tries"), F.lit(0)).alias("tries"), F.coalesce(F.sum("splits"), F.lit(0)).alias("splits"),
-        F.count("*").alias("buckets"), F.coalesce(F.max("n_keys"), F.lit(0)).alias("largest"),
+        F.count("*").alias("buckets"), F.coalesce(F.max("n_keys"), F.lit(0)).alias("largest"), F.coalesce(F.sum(F.when(F.col("n_keys") > spec.cap, F.col("n_keys"))), F.lit(0)).alias("bad_keys"),
         F.coalesce(F.max(F.aggregate("cells", F.lit(0), lambda s, c: F.greatest(s, c["seed"]))), F.lit(0)).alias("top_seed"),
     ).first().asDict()
+    if most_bad is not None and facts["bad_keys"] > facts["n_keys"] * (most_bad if most_bad >= 0 else 1 / log2(max(facts["n_keys"], 2)) ** 2):
+        drop(spark, f"{path}/buckets")
+        return None
     side = solved.where(F.size("side") > 0).select(F.inline("side"))
     if facts["n_side"]:
         side = staged(side, f"{path}/side")

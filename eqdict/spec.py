@@ -16,8 +16,10 @@ class DictSpec:
     c: variables beyond the number of equations. field: binary (0/1 coefficients, k right sides at once) or full (GF(2^k)).
     kind: rows of cells (dense, sparse, logsparse, local). t: non-zeros of sparse rows; slack: variables per equation of the
     sparse method. digest: xxhash, md5 or identity. hashing: direct, or table (near-uniform from a pairwise independent index).
-    solver: eliminate, or listed for cells of at most 4 keys; structured or krylov for sparse systems. on_conflict: error, min or
-    max for keys with several values. on_null: error or drop for null keys.
+    solver: eliminate, or listed for cells whose coefficients take 16 bits; structured or krylov for sparse systems. on_conflict: error, min or
+    max for keys with several values. on_null: error or drop for null keys. bad_share: keys that overfull buckets may hold before
+    the bucket hash is redrawn, as a share of all; None: 1 / log^2 n. pre_dedupe: whether equal keys meet in a partial aggregate
+    before they move to their bucket; None: if the count of rows and distinct keys says that many repeat, or is left out.
     """
 
     k: int
@@ -43,10 +45,11 @@ class DictSpec:
     seed_tries: int = 64
     split_tries: int = 64
     most_single: int = 4096
-    most_global: int = 20_000
+    most_global: int = 100_000
     table_len: int | None = None
     n_funcs: int | None = None
-    pre_dedupe: bool = False
+    bad_share: float | None = None
+    pre_dedupe: bool | None = None
     membership: bool = False
     strict_empty: bool = True
     key_types: tuple[str, ...] = ()
@@ -61,8 +64,8 @@ class DictSpec:
             raise ValueError("on_conflict is error, min or max; on_null is error or drop")
         if self.method in ("two_level", "shared_inverse") and self.cell_cap + self.c > 64:
             raise ValueError("a cell holds at most 64 variables")
-        if self.solver == "listed" and (self.cell_cap > 4 or self.c or self.field == "full"):
-            raise ValueError("lists of all matrices are made for cells of at most 4 keys without extra variables")
+        if self.solver == "listed" and (self.c or self.cell_cap**2 * (self.k if self.field == "full" else 1) > 16):
+            raise ValueError("lists of all matrices are made for square systems whose coefficients take at most 16 bits")
         if self.method == "global_sparse" and self.t is not None and self.t % 2 == 0 and not self.allow_even:
             raise ValueError("rows of a square system need an odd number of places: with an even one it is always singular")
         if self.method == "sparse" and (self.t or 3) < 3 and (self.slack or 0) < 2:
@@ -70,6 +73,11 @@ class DictSpec:
         if self.hashing == "table" and self.method != "two_level":
             raise ValueError("table hashing belongs to the two-level method")
 
+    @property
+    def by_variable(self) -> bool:
+        """Whether cells keep variable after variable instead of plane after plane, so that a window of a local row is two words at most."""
+        return self.kind == "local" and self.field == "binary" and self.method == "two_level" and self.window * self.k <= 64
+
     @property
     def cap(self) -> int:
         return self.bucket_cap if self.bucket_cap is not None else 2 * self.bucket_mean

@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from eqdict.operators import measures
-from eqdict.operators.build import bad_key_share, bucket_loads, build, encoded, prepared, solved
+from eqdict.operators.build import bad_key_share, bucket_loads, build, choose_h1, encoded, prepared, solved
 from eqdict.operators.membership import ALPHABET, build_filter, checked_lookup, contains, contains_within1, edit1_variants
 from eqdict.operators.probe import looked_up, looked_up_distinct, looked_up_packed, packed
 from eqdict.plans.sql import explained, register
@@ -16,11 +16,11 @@ from eqdict.spec import DictSpec
 from eqdict.streaming import Tiers, active_sessions, events_stream, first_seen, probe_stream, rebuild_by_batch, run_available, windowed_filters, with_late_keys
 
 METHODS = {
-    "two_level": {}, "extra": {"c": 3, "cell_cap": 61}, "side": {"bucket_mean": 100, "bucket_cap": 104}, "logsparse": {"kind": "logsparse", "seed_tries": 256}, "local": {"kind": "local", "seed_tries": 256},
+    "two_level": {}, "extra": {"c": 3, "cell_cap": 61}, "side": {"bucket_mean": 100, "bucket_cap": 104, "bad_share": 1.0}, "logsparse": {"kind": "logsparse", "seed_tries": 256}, "local": {"kind": "local", "seed_tries": 256},
     "sparse_rows": {"kind": "sparse", "t": 5, "seed_tries": 256}, "table": {"hashing": "table", "bucket_mean": 200, "bucket_cap": 400}, "listed": {"solver": "listed", "cell_mean": 1.5, "cell_cap": 4, "bucket_mean": 64},
     "shared": {"method": "shared_inverse", "cell_mean": 2.5, "cell_cap": 6, "bucket_mean": 64}, "full_cells": {"field": "full", "cell_mean": 8, "cell_cap": 20}, "one_level": {"method": "one_level", "bucket_mean": 50, "bucket_cap": 100},
     "dense": {"method": "dense"}, "dense_full": {"method": "dense", "field": "full", "c": 1, "n": 60}, "sparse": {"method": "sparse", "slack": 1.3}, "replace": {"method": "sparse", "slack": 1.4, "replace": True},
-    "global": {"method": "global_sparse", "n": 300}, "krylov": {"method": "global_sparse", "solver": "krylov", "n": 200}, "dedupe": {"pre_dedupe": True},
+    "local_planes": {"kind": "local", "window": 40, "seed_tries": 256}, "global": {"method": "global_sparse", "n": 300}, "krylov": {"method": "global_sparse", "solver": "krylov", "n": 200}, "dedupe": {"pre_dedupe": True},
 }
 
 
@@ -51,6 +51,13 @@ def test_every_stored_key_has_its_value(spark, name, k):
     assert again.spec == store.spec and wrong(again, df) == 0
 
 
+@pytest.mark.parametrize("k", [1, 3, 4])
+def test_cells_by_listed_matrices_over_the_field(spark, k):
+    df = table(spark, 900, k)
+    store = build(df, "key", "v", DictSpec(k=k, field="full", solver="listed", cell_mean=0.7, cell_cap=2, bucket_mean=8))
+    assert wrong(store, df) == 0 and store.facts["n_side"] < 90
+
+
 @pytest.mark.parametrize("k", [2, 8, 12, 32])
 def test_wide_values(spark, k):
     df = table(spark, 700, min(k, 31))
@@ -69,7 +76,7 @@ def test_small_numbers_of_keys(spark, n):
 
 def test_packed_layout(spark):
     df = table(spark, 3000, 6)
-    for how in ({}, {"hashing": "table", "bucket_mean": 200, "bucket_cap": 400}, {"bucket_mean": 300, "bucket_cap": 301}):
+    for how in ({}, {"hashing": "table", "bucket_mean": 200, "bucket_cap": 400}, {"bucket_mean": 300, "bucket_cap": 301, "bad_share": 1.0}, {"kind": "local", "window": 10, "seed_tries": 256}):
         store = build(df, "key", "v", DictSpec(k=6, **how))
         p = packed(store)
         got = looked_up_packed(store, p, df, "key")
@@ -160,7 +167,7 @@ def test_refusals(spark):
 
 def test_one_exchange_to_build_and_none_to_probe(spark):
     df = spark.range(3000).select(F.col("id").alias("key"), (F.col("id") % 8).alias("v"))
-    spec = DictSpec(k=3, bucket_mean=512)
+    spec = DictSpec(k=3, bucket_mean=512, pre_dedupe=False)
     plan = solved(prepared(df, "key", "v", spec), spec, 4, 0, 3000)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 1
     store = build(df, "key", "v", spec)
@@ -168,6 +175,28 @@ def test_one_exchange_to_build_and_none_to_probe(spark):
     assert "Exchange hashpartitioning" not in plan and "BroadcastHashJoin" in plan and "Python" not in plan and "Arrow" not in plan
 
 
+def test_bucket_hash_is_redrawn_before_a_store_is_committed(spark, tmp_path):
+    """Buckets at the cap: the first hash that leaves few enough keys counts, for a named path too; if none does, nothing is there."""
+    df, path = table(spark, 3000, 3), str(tmp_path / "s")
+    spec = DictSpec(k=3, bucket_mean=100, bucket_cap=118)
+    data = prepared(df, "key", "v", spec)
+    shares = [bad_key_share(bucket_loads(data, spec, 30, s), spec.cap)[0] for s in range(8)]
+    limit = (sorted(shares)[1] + 0.5) / 3000
+    want = next(s for s, bad in enumerate(shares) if bad <= limit * 3000)
+    store = build(df, "key", "v", DictSpec(k=3, bucket_mean=100, bucket_cap=118, bad_share=limit), path=path)
+    assert store.h1_seed == want and store.facts["bad_keys"] == shares[want] and load(spark, path).h1_seed == want and wrong(load(spark, path), df) == 0
+    with pytest.raises(RuntimeError, match="overfull"):
+        build(df, "key", "v", DictSpec(k=3, bucket_mean=100, bucket_cap=60), path=str(tmp_path / "none"))
+    assert not (tmp_path / "none" / "manifest").exists()
+    assert choose_h1(data, spec, 30, limit * 3000) == want
+
+
+def test_frequent_keys_meet_before_they_move(spark):
+    often = spark.range(3000).select(F.when(F.col("id") % 3 == 0, 7).otherwise(F.col("id")).alias("key"), F.lit(1).alias("v"))
+    assert build(often, "key", "v", DictSpec(k=1)).spec.pre_dedupe and not build(spark.range(3000).select(F.col("id").alias("key"), F.lit(1).alias("v")), "key", "v", DictSpec(k=1)).spec.pre_dedupe
+    assert build(often, "key", "v", DictSpec(k=1), n_rows=3000).n_keys == 2000
+
+
 def test_bucket_hash_leaves_few_keys_in_overfull_buckets(spark):
     for digest in ("xxhash", "identity"):
         spec = DictSpec(k=1, digest=digest, bucket_cap=80)

@@ -45,6 +45,35 @@ def test_listed_matrices_agree_with_elimination():
         solve.inverses(5)
 
 
+@pytest.mark.parametrize(("r", "k"), [(1, 8), (2, 2), (2, 3), (2, 4), (3, 1)])
+def test_listed_matrices_over_the_field(r, k):
+    g = np.random.default_rng(r * 10 + k)
+    a, v = g.integers(0, 1 << k, (200, r, r)), g.integers(0, 1 << k, (200, r))
+    ok, b = solve.solve_listed_field(a, v, r, k)
+    for i in range(200):
+        want = solve.eliminate_field(a[i], v[i], k)
+        assert ok[i] == (want is not None) and (not ok[i] or (b[i] == want).all())
+    with pytest.raises(ValueError):
+        solve.field_inverses(2, 5)
+
+
+def test_many_inverses_at_once():
+    row_of = lambda s, p, m: rows.masks_np(s, p.astype(np.int64), np.zeros(len(p), np.int64), m)
+    g = np.random.default_rng(1)
+    sets = np.unique(np.array([np.sort(g.choice(16, 4, replace=False)) for _ in range(80)]), axis=0)
+    one, all_ = solve.InverseCache(row_of), solve.InverseCache(row_of, most=10)
+    seeds, inverse = all_.many(sets)
+    for s, seed, inv in zip(sets, seeds, inverse):
+        a = one(s)
+        assert a[0] == seed and (a[1] == inv).all()
+    v = g.integers(0, 16, (len(sets), 4)).astype(np.uint64)
+    b = solve.multiply_each(inverse, v)
+    for s, seed, x, y in zip(sets, seeds, v, b):
+        got = [np.bitwise_xor.reduce(y[(row >> np.arange(4).astype(np.uint64)) & np.uint64(1) == 1], initial=0) for row in row_of(int(seed), s, 4)]
+        assert (np.array(got, np.uint64) == x).all()
+    assert len(all_.known) == 10 and (all_.many(sets)[0] == seeds).all()
+
+
 def test_inverse_cache_shares_and_agrees():
     cache = solve.InverseCache(lambda s, p, m: rows.masks_np(s, p.astype(np.int64), np.zeros(len(p), np.int64), m))
     p, v = np.array([1, 5, 7, 20, 24]), np.random.default_rng(0).integers(0, 16, (30, 5)).astype(np.uint64)
