@@ -17,7 +17,7 @@ from eqdict.plans import kernels
 from eqdict.sources.store import BUCKETS, Store, save, workdir
 from eqdict.spec import DictSpec
 
-GROUP = 8  # buckets that one kernel call solves together
+GROUP, GROUP_KEYS = 8, 32_768  # buckets that one kernel call solves together, or more that hold about so many keys
 H1_TRIES = 8
 MOST_LABELS = 1 << 16
 
@@ -53,6 +53,10 @@ def bucket_of(spec: DictSpec, n_buckets: int, h1_seed: int) -> Column:
     return limb_affine(F.col("key_hi"), F.col("key_lo"), seed_of("bucket", spec.seed, h1_seed), n_buckets) if n_buckets > 1 else F.lit(0).cast("long")
 
 
+def group_of(spec: DictSpec) -> int:
+    return max(GROUP, GROUP_KEYS // spec.bucket_mean)
+
+
 def settled(clustered: DataFrame, *by: str, spec: DictSpec) -> DataFrame:
     """One value for each key: equal ones collapse, several follow the policy."""
     out = clustered.groupBy(*by, "key_hi", "key_lo").agg(F.min("value").alias("_lo"), F.max("value").alias("_hi"))
@@ -67,7 +71,7 @@ def solved(data: DataFrame, spec: DictSpec, n_buckets: int, h1_seed: int, n: int
 
     Keys that repeat often meet in a partial aggregate first, at the price of a second exchange, so no task gets all rows of one key.
     """
-    with_bucket = data.withColumn("bucket", bucket_of(spec, n_buckets, h1_seed)).withColumn("_group", F.floor(F.col("bucket") / GROUP))
+    with_bucket = data.withColumn("bucket", bucket_of(spec, n_buckets, h1_seed)).withColumn("_group", F.floor(F.col("bucket") / group_of(spec)))
     if spec.pre_dedupe is not False:
         with_bucket = settled(with_bucket, "_group", "bucket", spec=spec)
         keyed = with_bucket.repartition("_group")

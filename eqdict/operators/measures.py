@@ -2,19 +2,23 @@
 
 from __future__ import annotations
 
+import tracemalloc
 from math import ceil, log2, sqrt
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from eqdict.functions import rows as R
 from eqdict.functions.hashing import TableHash, seed_of, xxhash64_np
 from eqdict.functions.theory import bloom_bits
+from eqdict.operators.build import group_of
 from eqdict.operators.probe import RANK_EVERY, looked_up
+from eqdict.plans import kernels
 from eqdict.plans import solve as S
 from eqdict.sources.store import Store
+from eqdict.spec import DictSpec
 
 
 def space(store: Store) -> dict[str, float]:
@@ -60,6 +64,27 @@ def probe_cost(store: Store) -> dict[str, float]:
     return {"words": 2.0 + (1 + (spec.window * spec.k - 1) / 64 if spec.by_variable else spec.k), "operations": t}
 
 
+def build_memory(spec: DictSpec, n: int) -> float:
+    """Peak bytes a key that solving takes in Python, measured on one kernel call: a group of full buckets, or one system of n keys."""
+    per = group_of(spec) * spec.bucket_mean if spec.method in ("two_level", "shared_inverse", "one_level") else n
+    size = max(1, min(n, per))
+    hi, lo = _keys(size, 77)
+    buckets = max(1, -(-size // spec.bucket_mean)) if per != n or spec.method in ("two_level", "shared_inverse", "one_level") else 1
+    table = pa.table({"bucket": np.arange(size, dtype=np.int64) % buckets, "key_hi": hi, "key_lo": lo, "value": (hi & ((1 << spec.k) - 1))})
+    kernel = kernels.two_level(spec, n) if spec.method in ("two_level", "shared_inverse") else kernels.single(spec)
+    tracemalloc.start()
+    try:
+        kernel(table)
+        return tracemalloc.get_traced_memory()[1] / size
+    finally:
+        tracemalloc.stop()
+
+
+def expected_count(hits: Column, n: Column, chance: Column) -> Column:
+    """Whether a count of n independent events is within six deviations, and six, of what their chance says."""
+    return F.abs(hits - n * chance) <= 6 * F.sqrt(n * chance * (1 - chance)) + 6
+
+
 def verify_members(store: Store, df: DataFrame, keys, value: str) -> int:
     """Stored keys with a wrong answer: must be 0."""
     return looked_up(store, df, keys, "_got").where(F.coalesce(F.col("_got") != F.col(value), F.lit(True))).count()

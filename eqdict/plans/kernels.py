@@ -245,6 +245,8 @@ def single(spec: DictSpec):
     def kernel(table: pa.Table) -> pa.Table:
         bucket, hi, lo, v = sorted_columns(table)
         names, first, count = np.unique(bucket, return_index=True, return_counts=True)
+        if spec.method == "one_level" and spec.field == "binary":
+            return _dense_together(spec, names, first, count, hi, lo, v)
         owner, ms, seeds, extras, planes, tries = [], [], [], [], [], []
         for b, (at, n) in enumerate(zip(first, count, strict=True)):
             h, w, values = hi[at : at + n], lo[at : at + n], v[at : at + n]
@@ -262,6 +264,34 @@ def single(spec: DictSpec):
     return kernel
 
 
+def _dense_together(spec: DictSpec, names, first, count, hi, lo, v) -> pa.Table:
+    """All buckets of a group, each one dense system, eliminated column by column together; a seed at a time for what is unsolved."""
+    none, nb = np.zeros(0, np.int64), len(names)
+    m, seeds, tries = count + spec.c, np.zeros(nb, np.int64), np.zeros(nb, np.int64)
+    of = np.repeat(np.arange(nb), count)
+    place = np.arange(len(of)) - np.repeat(first, count)
+    planes: list[np.ndarray] = [np.zeros(0, np.uint64)] * nb
+    todo, words, widest = np.arange(nb), max(1, -(-int(m.max(initial=0)) // 64)), int(count.max(initial=0))
+    for s in range(spec.seed_tries):
+        if not len(todo):
+            break
+        live, (bx, by, bv) = _blocked(todo, of, place, widest, hi, lo, v)
+        x, y, own = bx.ravel(), by.ravel(), np.repeat(m[todo], widest)
+        rows = np.stack([xxhash64_np(R.ROW, s, i, x, y) & R.mask_np(np.clip(own - 64 * i, 0, 64)) for i in range(words)], axis=1).reshape(len(todo), widest, words)
+        solved, b = S.eliminate_many(rows, bv, live, m[todo])
+        tries[todo] += 1
+        for i in np.flatnonzero(solved).tolist():
+            width = max(1, -(-int(m[todo[i]]) // 64))
+            padded = np.zeros(width * 64, np.uint64)
+            padded[: int(m[todo[i]])] = b[i, : int(m[todo[i]])]
+            planes[todo[i]] = S.planes_of(padded.reshape(width, 64), spec.k).T.ravel()  # plane after plane
+        seeds[todo[solved]] = s
+        todo = todo[~solved]
+    if len(todo):
+        raise RuntimeError(f"{len(todo)} systems stayed dependent for {spec.seed_tries} seeds")
+    return bucket_rows(names, count, np.zeros(nb), np.zeros(nb), (np.arange(nb), m, seeds, np.zeros(nb, np.int64), planes), (none, none, none, none), tries, np.zeros(nb))
+
+
 def system_size(spec: DictSpec, n: int) -> tuple[int, int]:
     """(variables, places of a row; 0 for dense rows)."""
     if spec.method == "sparse":
@@ -278,8 +308,8 @@ def one_system(spec: DictSpec, s: int, hi, lo, v, m: int, t: int) -> np.ndarray
     """What is stored for a solved system: k planes of words, or a word for each variable."""
     if t:
         places = R.places_np(np.full(len(hi), s, np.int64), hi, lo, np.full(len(hi), m, np.int64), t, spec.replace)
-        if spec.solver == "krylov":
-            return S.solve_krylov(places, v, m)
+        if spec.solver in ("krylov", "block"):
+            return (S.solve_krylov if spec.solver == "krylov" else S.solve_block)(places, v, m)
         if spec.replace:
             return S.eliminate_wide(S.dense_words(places, m), v, m)
         return S.solve_structured(places, v, m)

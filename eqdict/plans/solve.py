@@ -41,6 +41,27 @@ def eliminate_cells(rows: np.ndarray, values: np.ndarray, live: np.ndarray, m: n
     return solved, b
 
 
+def eliminate_many(rows: np.ndarray, values: np.ndarray, live: np.ndarray, m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(solved, b) as eliminate_cells, for systems of any width: rows are [cell, equation, word], b is [cell, variable]."""
+    rows, values = np.where(live[:, :, None], rows, 0).astype(np.uint64), np.where(live, values, 0).astype(np.uint64)
+    cells, top = len(rows), int(m.max(initial=0))
+    b, pivot_of, free, at = np.zeros((cells, top), np.uint64), np.full((cells, top), -1, np.int64), live.copy(), np.arange(cells)
+    for c in range(top):
+        bit = ((rows[:, :, c // 64] >> np.uint64(c % 64)) & ONE).astype(bool)
+        able = bit & free
+        has = able.any(axis=1)
+        p = able.argmax(axis=1)
+        bit[at, p] = False
+        cell, row = np.nonzero(bit & has[:, None])
+        rows[cell, row] ^= rows[cell, p[cell]]
+        values[cell, row] ^= values[cell, p[cell]]
+        free[at[has], p[has]] = False
+        pivot_of[at[has], c] = p[has]
+    got = pivot_of >= 0
+    b[got] = values[np.nonzero(got)[0], pivot_of[got]]
+    return ~free.any(axis=1), b
+
+
 def planes_of(b: np.ndarray, k: int) -> np.ndarray:
     """[cell, k] words whose bit i is bit j of variable i."""
     place = np.arange(b.shape[1], dtype=np.uint64)
@@ -306,6 +327,92 @@ def _berlekamp_massey(s: np.ndarray, f) -> np.ndarray:
     return c[: size + 1]
 
 
+def minimal_rows(series: np.ndarray, f) -> tuple[np.ndarray, np.ndarray]:
+    """(degrees, rows [row, power, column]) of polynomials v whose product with the power series [power, b, b] is a polynomial of
+    smaller degree up to the series' length: a basis of all, built one power at a time.
+
+    At each power the rows' residues are eliminated, those of small degree first; rows that served as pivots are multiplied by z.
+    """
+    length, b, _ = series.shape
+    basis, degree = np.zeros((2 * b, length + 2, 2 * b), np.int64), np.repeat([0, 1], b)
+    basis[np.arange(2 * b), 0, np.arange(2 * b)] = 1
+    whole = np.zeros((length, 2 * b, b), np.int64)
+    whole[:, :b] = series
+    whole[0, b:] = np.eye(b, dtype=np.int64)
+    top = 1
+    for k in range(length):
+        span = min(top, k + 1)
+        left, right = basis[:, :span], whole[k - np.arange(span)]  # powers i of the basis with k - i of the series
+        rest = np.bitwise_xor.reduce(f.mul(left[:, :, :, None], right[None]), axis=(1, 2))
+        order, pivots = np.argsort(degree, kind="stable").tolist(), []
+        for c in range(b):
+            p = next((r for r in order if r not in pivots and rest[r, c]), None)
+            if p is None:
+                continue
+            pivots.append(p)
+            others = np.array([r for r in order[order.index(p) + 1 :] if r not in pivots and rest[r, c]], np.int64)
+            if len(others):
+                factor = f.mul(rest[others, c], f.inv(rest[p, c]))
+                rest[others] ^= f.mul(factor[:, None], rest[p][None])
+                basis[others, :top] ^= f.mul(factor[:, None, None], basis[p, :top][None])
+        if pivots:
+            basis[pivots, 1 : top + 1] = basis[pivots, :top]
+            basis[pivots, 0] = 0
+            degree[pivots] += 1
+            top = min(top + 1, length + 1)
+    return degree, basis[:, :, :b]
+
+
+def solve_block(places: np.ndarray, values: np.ndarray, m: int, seed: int = 0, width: int = 8, tries: int = 3) -> np.ndarray | None:
+    """b of a square sparse binary system by its action on blocks of `width` vectors, in GF(2^8).
+
+    With a block, the matrix is applied 2 n / width times to make the sequence and n / width times for the answer, where single
+    vectors need 3 n. As in solve_krylov the result is checked, and values are done 8 bits at a time.
+    """
+    n, _ = places.shape
+    if n != m:
+        raise ValueError("a square system is needed")
+    f, out = field(8), np.zeros(m, np.uint64)
+    width = max(1, min(width, n))
+    product = lambda x: np.bitwise_xor.reduce(x[places], axis=1)
+    r = np.random.Generator(np.random.PCG64(seed))
+    for low in range(0, 32, 8):
+        d = ((values.astype(np.uint64) >> np.uint64(low)) & np.uint64(255)).astype(np.uint8)
+        if not d.any():
+            continue
+        for _ in range(tries):
+            probe, free = r.integers(0, 256, (n, width)), r.integers(0, 256, (n, width), dtype=np.uint8)
+            start = product(free)
+            start[:, 0] = d
+            length = 2 * -(-n // width) + 4
+            series, x = np.zeros((length, width, width), np.int64), start
+            for i in range(length):
+                # transposed, so that rows stand for what multiplies from the right
+                series[i] = np.stack([f.dot(probe, x[:, j : j + 1].astype(np.int64), axis=0) for j in range(width)])
+                x = product(x)
+            degree, rows = minimal_rows(series, f)
+            for p in np.argsort(degree, kind="stable")[:width]:
+                top = int(degree[p])
+                lead = rows[p, top]
+                if top < 1 or top >= rows.shape[1] or not lead[0]:
+                    continue
+                part = lambda c: f.dot(start.astype(np.int64), c[None, :]).astype(np.uint8)
+                b = part(rows[p, 0])
+                for j in range(1, top):
+                    b = product(b) ^ part(rows[p, j])
+                b = b ^ f.dot(free[:, 1:].astype(np.int64), lead[None, 1:]).astype(np.uint8)
+                b = f.mul(b.astype(np.int64), f.inv(lead[0])).astype(np.uint8)
+                if (product(b) == d).all():
+                    out |= b.astype(np.uint64) << np.uint64(low)
+                    break
+            else:
+                continue
+            break
+        else:
+            return None
+    return out
+
+
 def solve_krylov(places: np.ndarray, values: np.ndarray, m: int, seed: int = 0, tries: int = 3) -> np.ndarray | None:
     """b of a square sparse binary system by its minimal polynomial on the right side, in GF(2^8).
 

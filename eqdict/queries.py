@@ -7,10 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from eqdict import reports
 from eqdict.functions import theory
 from eqdict.functions.hashing import affine31, affine31_parameters, affine31_sql, gf2_affine, gf2_affine_sql, seed_of
 from eqdict.operators import apps, baselines, measures, relational
-from eqdict.operators.build import build
+from eqdict.operators.build import build, encoded
 from eqdict.operators.membership import build_filter, contains, prefiltered_join, verified_anti
 from eqdict.operators.probe import looked_up, looked_up_distinct, looked_up_packed, packed
 from eqdict.spec import DictSpec
@@ -45,9 +46,14 @@ def _dictionary(name: str, source: Callable[[SparkSession, str], DataFrame], key
     QUERIES[name], ORACLES[name] = run, sql
 
 
-def _code(column: str, labels: list[str]) -> Column:
-    """The place of a label in a fixed list."""
-    return (F.array_position(F.array(*map(F.lit, labels)), F.col(column)) - 1).cast("long")
+def _labels(name: str, source: str, key: str, column: str, k: int = 8) -> None:
+    """A dictionary of a column's labels, coded by their order in the codebook that `encoded` makes of them."""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        _, df = encoded(table(spark, sf, source).where(F.col(column).isNotNull()).select(key, column), column)
+        return looked_up(build(df, key, F.col("_code"), DictSpec(k=k)), df.select(key), key)
+
+    QUERIES[name], ORACLES[name] = run, f"SELECT {key}, dense_rank() OVER (ORDER BY {column}) - 1 AS value FROM {source} WHERE {column} IS NOT NULL"
 
 
 def _priority(spark, sf):
@@ -56,7 +62,7 @@ def _priority(spark, sf):
 
 _PRIORITY = "SELECT o_orderkey, substr(o_orderpriority, 1, 1)::BIGINT AS value FROM orders"
 _dictionary("dict_orders_priority", _priority, ["o_orderkey"], DictSpec(k=3), _PRIORITY)
-_dictionary("dict_orders_status", lambda s, sf: table(s, sf, "orders").select("o_orderkey", _code("o_orderstatus", ["F", "O", "P"]).alias("v")), ["o_orderkey"], DictSpec(k=2), "SELECT o_orderkey, (list_position(['F', 'O', 'P'], o_orderstatus) - 1)::BIGINT AS value FROM orders")
+_labels("dict_orders_status", "orders", "o_orderkey", "o_orderstatus")
 _dictionary("dict_part_size", lambda s, sf: table(s, sf, "part").select("p_partkey", F.col("p_size").alias("v")), ["p_partkey"], DictSpec(k=6), "SELECT p_partkey, p_size::BIGINT AS value FROM part")
 _dictionary("dict_customer_nation", lambda s, sf: table(s, sf, "customer").select("c_custkey", F.col("c_nationkey").alias("v")), ["c_custkey"], DictSpec(k=5), "SELECT c_custkey, c_nationkey::BIGINT AS value FROM customer")
 
@@ -70,13 +76,19 @@ _dictionary("dict_supplier_nation", _supplier, ["s_suppkey"], DictSpec(k=5), _SU
 _dictionary("dict_nation_region", lambda s, sf: table(s, sf, "nation").select("n_nationkey", F.col("n_regionkey").alias("v")), ["n_nationkey"], DictSpec(k=3), "SELECT n_nationkey, n_regionkey::BIGINT AS value FROM nation")
 _dictionary("dict_region", lambda s, sf: table(s, sf, "region").select("r_name", F.col("r_regionkey").alias("v")), ["r_name"], DictSpec(k=3, digest="md5"), "SELECT r_name, r_regionkey::BIGINT AS value FROM region")
 _dictionary("dict_labels", lambda s, sf: table(s, sf, "labels").select("doc_id", (F.col("quality") + 2 * F.col("toxic")).alias("v")), ["doc_id"], DictSpec(k=2), "SELECT doc_id, (quality + 2 * toxic)::BIGINT AS value FROM labels")
-_dictionary("dict_documents_lang", lambda s, sf: table(s, sf, "documents").where("lang is not null").select("doc_id", _code("lang", ["de", "en", "es", "fr"]).alias("v")), ["doc_id"], DictSpec(k=2), "SELECT doc_id, (list_position(['de', 'en', 'es', 'fr'], lang) - 1)::BIGINT AS value FROM documents WHERE lang IS NOT NULL")
+_labels("dict_documents_lang", "documents", "doc_id", "lang")
 _dictionary("dict_embeddings_label", lambda s, sf: table(s, sf, "embeddings").select("vec_id", F.col("label").alias("v")), ["vec_id"], DictSpec(k=4), "SELECT vec_id, label::BIGINT AS value FROM embeddings")
 _dictionary("dict_conversations_role", lambda s, sf: table(s, sf, "conversations").select("conv_id", "turn", F.when(F.col("role") == "user", 1).when(F.col("role") == "assistant", 2).when(F.col("role") == "system", 3).otherwise(0).alias("v")), ["conv_id", "turn"], DictSpec(k=2, on_conflict="min"), "SELECT conv_id, turn, min(CASE role WHEN 'user' THEN 1 WHEN 'assistant' THEN 2 WHEN 'system' THEN 3 ELSE 0 END)::BIGINT AS value FROM conversations GROUP BY ALL")
 _dictionary("dict_pages_class", lambda s, sf: table(s, sf, "pages").where("url is not null").select("url", F.least(F.lit(15), F.floor(F.length(F.coalesce("html", F.lit(""))) / 1024)).alias("v")), ["url"], DictSpec(k=4, on_conflict="max"), "SELECT url, max(least(15, length(coalesce(html, '')) // 1024))::BIGINT AS value FROM pages WHERE url IS NOT NULL GROUP BY url")
 _dictionary("dict_lineitem_conflict_min", lambda s, sf: table(s, sf, "lineitem").select("l_orderkey", "l_linenumber", F.col("l_quantity").cast("int").alias("v")), ["l_orderkey", "l_linenumber"], DictSpec(k=6, on_conflict="min"), "SELECT l_orderkey, l_linenumber, min(trunc(l_quantity))::BIGINT AS value FROM lineitem GROUP BY ALL")
-_dictionary("dict_vectors", lambda s, sf: table(s, sf, "embeddings").select("embedding", F.col("label").alias("v")), ["embedding"], DictSpec(k=4, on_conflict="min"), "SELECT embedding, min(label)::BIGINT AS value FROM embeddings GROUP BY embedding")
-ORACLES.pop("dict_vectors")  # arrays of floats have no common text form to compare by
+
+
+@query("SELECT vec_id, min(label) OVER (PARTITION BY embedding)::BIGINT AS value FROM embeddings")
+def dict_vectors(spark: SparkSession, sf: str) -> DataFrame:
+    """Arrays of floats as keys; of equal ones the smallest label counts."""
+    df = table(spark, sf, "embeddings").select("vec_id", "embedding", F.col("label").alias("v"))
+    return looked_up(build(df, ["embedding"], "v", DictSpec(k=4, on_conflict="min")), df, ["embedding"]).select("vec_id", "value")
+
 
 # --- every method and variant ---------------------------------------------------------------------------------------------------
 
@@ -104,6 +116,7 @@ for _name, _spec in {
     "method_full_field_cells": DictSpec(k=5, field="full", cell_mean=10, cell_cap=24),
     "method_sparse": DictSpec(k=5, method="sparse", t=3, slack=1.3),
     "method_global_sparse": DictSpec(k=5, method="global_sparse"),
+    "method_global_block": DictSpec(k=5, method="global_sparse", solver="block"),
     "method_global_krylov": DictSpec(k=5, method="global_sparse", solver="krylov"),
 }.items():
     _dictionary(_name, _supplier, ["s_suppkey"], _spec, _SUPPLIER)
@@ -149,10 +162,22 @@ def differential_reads_verified(spark: SparkSession, sf: str) -> DataFrame:
     return found.groupBy(F.col("o_orderkey").alias("l_orderkey"), "l_linenumber").agg(F.count("*").alias("n"))
 
 
-@query()
+@query("""WITH c AS (SELECT o_orderkey FROM orders WHERE o_orderdate >= (SELECT date_trunc('month', max(o_orderdate)) FROM orders))
+SELECT count(*) AS reads, count(*) FILTER (l_orderkey IN (SELECT o_orderkey FROM c)) AS needed, 0::BIGINT AS missed, TRUE AS wasted_as_expected FROM lineitem""")
 def differential_report(spark: SparkSession, sf: str) -> DataFrame:
+    """Reads, those that need the differential file, and that none is missed and few are wasted (a key is read about four times)."""
     reads = table(spark, sf, "lineitem").select(F.col("l_orderkey").alias("o_orderkey"))
-    return apps.differential_report(_changed(spark, sf), reads, "o_orderkey")
+    r = apps.differential_report(_changed(spark, sf), reads, "o_orderkey")
+    return r.select("reads", "needed", "missed", (F.col("wasted") <= 3 * (F.col("reads") - F.col("needed")) / 256 + 50).alias("wasted_as_expected"))
+
+
+@query("""SELECT count(*) AS rows, count(*) FILTER (l_orderkey IN (SELECT o_orderkey FROM orders JOIN customer ON o_custkey = c_custkey WHERE c_mktsegment = 'BUILDING')) AS needed,
+TRUE AS nothing_lost, TRUE AS sent_as_expected, TRUE AS bytes_saved FROM lineitem""")
+def prefilter_saving(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows and bytes that the filter of one market segment's orders keeps from the join's shuffle; reports.prefilter_saving has the figures."""
+    orders = table(spark, sf, "orders").join(table(spark, sf, "customer").where("c_mktsegment = 'BUILDING'"), F.col("o_custkey") == F.col("c_custkey"))
+    r = reports.prefilter_saving(table(spark, sf, "lineitem").select("l_orderkey", "l_linenumber", "l_quantity"), orders.select(F.col("o_orderkey").alias("l_orderkey")), "l_orderkey")
+    return r.select("rows", "needed", (F.col("sent") >= F.col("needed")).alias("nothing_lost"), (F.col("sent") - F.col("needed") <= 3 * (F.col("rows") - F.col("needed")) / 256 + 50).alias("sent_as_expected"), (F.col("saved_bytes") > 0).alias("bytes_saved"))
 
 
 _WORDS = "string_split_regex(lower({0}), '[^\\p{{L}}]+')"
@@ -170,27 +195,16 @@ def spell_flag_verified(spark: SparkSession, sf: str) -> DataFrame:
     return apps.misspelled_verified(_good_words(spark, sf), apps.word_list(table(spark, sf, "benchmark")))
 
 
-@query()
+@query(f"""WITH d AS (SELECT DISTINCT w FROM (SELECT unnest({_WORDS.format("text")}) AS w FROM documents WHERE lang = 'en' AND doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)) WHERE w <> ''),
+t AS (SELECT DISTINCT w FROM (SELECT unnest({_WORDS.format("text")}) AS w FROM conversations) WHERE w <> '')
+SELECT count(*) AS wrong, TRUE AS only_wrong, TRUE AS passed_as_expected FROM t WHERE w NOT IN (SELECT w FROM d)""")
 def spell_flag_report(spark: SparkSession, sf: str) -> DataFrame:
-    """How many wrong words the filter alone lets pass."""
+    """Wrong words, that the filter alone flags only such, and that few pass it."""
     known, text = _good_words(spark, sf), apps.word_list(table(spark, sf, "conversations"))
-    flagged = apps.misspelled(build_filter(known, "word", 8), text)
-    exact = text.join(known, "word", "left_anti")
-    return flagged.agg(F.count("*").alias("flagged")).crossJoin(exact.agg(F.count("*").alias("wrong")))
-
-
-@query(f"""WITH d AS (SELECT DISTINCT w FROM (SELECT unnest({_WORDS.format("text")}) AS w FROM benchmark) WHERE length(w) >= 6),
-c AS (SELECT DISTINCT CASE WHEN p % 3 = 0 THEN w WHEN p % 3 = 1 THEN substr(w, 2) ELSE w || 'qx' END AS word
-      FROM (SELECT w, (length(w) + ascii(w)) AS p FROM (SELECT DISTINCT unnest({_WORDS.format("text")}) AS w FROM conversations) WHERE length(w) BETWEEN 6 AND 9))
-SELECT word, EXISTS (SELECT 1 FROM d WHERE abs(length(d.w) - length(c.word)) <= 1 AND levenshtein(d.w, c.word) <= 1) AS unsuitable FROM c WHERE regexp_full_match(word, '[a-z]+')""")
-def password_edit1_verified(spark: SparkSession, sf: str) -> DataFrame:
-    """Candidates are words of conversations as they are, without the first letter, or with two more letters. Only a-z words: others need a larger alphabet."""
-    listed = apps.word_list(table(spark, sf, "benchmark"), least=6)
-    w, p = F.col("word"), F.length("word") + F.ascii("word")
-    words = apps.word_list(table(spark, sf, "conversations")).where(F.length(w).between(6, 9))
-    changed = F.when(p % 3 == 0, w).when(p % 3 == 1, F.substring(w, 2, 1000)).otherwise(F.concat(w, F.lit("qx")))
-    candidates = words.select(changed.alias("word")).distinct().where(F.col("word").rlike("^[a-z]+$"))
-    return apps.unsuitable_verified(listed.where(F.col("word").rlike("^[a-z]*[^a-z]?[a-z]*$")), candidates)
+    flagged = apps.misspelled(build_filter(known, "word", 8), text).withColumn("_f", F.lit(True))
+    exact = text.join(known, "word", "left_anti").withColumn("_w", F.lit(True))
+    both = exact.join(flagged, "word", "full").agg(F.count("_w").alias("wrong"), F.count_if(F.col("_w").isNull()).alias("right"), F.count_if(F.col("_f").isNull()).alias("passed"))
+    return both.select("wrong", (F.col("right") == 0).alias("only_wrong"), measures.expected_count(F.col("passed"), F.col("wrong"), F.lit(1 / 256)).alias("passed_as_expected"))
 
 
 def _changed_word(w):
@@ -199,13 +213,19 @@ def _changed_word(w):
     return F.when(p % 3 == 0, w).when(p % 3 == 1, F.substring(w, 2, 1000)).otherwise(F.concat(w, F.lit("qx")))
 
 
-@query()
-def password_edit1_documents(spark: SparkSession, sf: str) -> DataFrame:
-    """The whole job: all words of documents are the list; candidates are customers' names, changed words of the list and of conversations, and random tokens.
+_CHANGED = "CASE WHEN (length(w) + unicode(w)) % 3 = 0 THEN w WHEN (length(w) + unicode(w)) % 3 = 1 THEN substr(w, 2) ELSE w || 'qx' END"
+_WITHOUT_ONE = "unnest([{'x': w, 'p': 0}] || [{'x': substr(w, 1, i - 1) || substr(w, i + 1), 'p': i} for i in range(1, length(w) + 1)])"
+
 
-    No length and no letter is left out. As many variants are tried for each candidate as twice its length times the list's
-    letters, so the filter takes 16 bits. A levenshtein for each pair would be too slow for SQL; tests go through a small list.
-    """
+@query(f"""WITH d AS (SELECT DISTINCT w FROM (SELECT unnest({_WORDS.format("text")}) AS w FROM documents) WHERE length(w) >= 6),
+said AS (SELECT DISTINCT w FROM (SELECT unnest({_WORDS.format("text")}) AS w FROM conversations) WHERE length(w) >= 6),
+c AS (SELECT lower(c_name) AS w FROM customer WHERE c_name IS NOT NULL UNION SELECT substr(md5('token:' || c_custkey), 1, 10) FROM customer UNION SELECT {_CHANGED} FROM d UNION SELECT {_CHANGED} FROM said),
+dv AS (SELECT w, v.x AS x, v.p AS p FROM (SELECT w, {_WITHOUT_ONE} AS v FROM d)), cv AS (SELECT w, v.x AS x, v.p AS p FROM (SELECT w, {_WITHOUT_ONE} AS v FROM c)),
+near AS (SELECT DISTINCT cv.w FROM cv JOIN dv ON cv.x = dv.x AND (cv.p = dv.p OR cv.p = 0 OR dv.p = 0))
+SELECT c.w AS word, near.w IS NOT NULL AS unsuitable FROM c LEFT JOIN near ON c.w = near.w""")
+def password_edit1_verified(spark: SparkSession, sf: str) -> DataFrame:
+    """All words of documents are the list; candidates are customers' names, random tokens, and changed words of the list and of
+    conversations. No length and no letter is left out."""
     listed = apps.word_list(table(spark, sf, "documents"), least=6)
     names = table(spark, sf, "customer")
     parts = [
@@ -215,7 +235,7 @@ def password_edit1_documents(spark: SparkSession, sf: str) -> DataFrame:
         apps.word_list(table(spark, sf, "conversations"), least=6).select(_changed_word(F.col("word")).alias("word")),
     ]
     candidates = parts[0].union(parts[1]).union(parts[2]).union(parts[3]).where("word is not null").distinct()
-    return apps.unsuitable_verified(listed, candidates, k=16, alphabet=apps.alphabet_of(listed))
+    return apps.unsuitable_verified(listed, candidates)
 
 
 _PROXY = affine31_sql("('0x' || substr(md5(regexp_extract(url, '^[^:]*://([^/?#]*)', 1)), 1, 7))::BIGINT", seed_of("proxy"), 4)
@@ -231,15 +251,17 @@ def cache_holder_found(spark: SparkSession, sf: str) -> DataFrame:
     return claims.join(caches, ["proxy", "url"], "left_semi").select("url", "proxy")
 
 
-@query()
+@query("""SELECT count(*) AS urls, sum(strlen(url) * 8)::BIGINT AS list_bits, 0::BIGINT AS missed, TRUE AS wasted_as_expected, TRUE AS summaries_smaller FROM (SELECT DISTINCT url FROM pages WHERE url IS NOT NULL)""")
 def cache_wasted_fetches(spark: SparkSession, sf: str) -> DataFrame:
+    """Bits of the lists that proxies would exchange, that no holder is missed, few others are asked, and summaries are smaller."""
     urls = table(spark, sf, "pages").where("url is not null").select("url").distinct()
     caches = urls.withColumn("proxy", apps.proxy_of(F.col("url"), 4))
     proxies = spark.range(4).select(F.col("id").alias("proxy"))
     store = apps.summaries(caches, "proxy", "url")
-    claims = apps.ask_proxies(store, urls, proxies, "proxy", "url").join(caches.withColumn("_h", F.lit(True)), ["proxy", "url"], "left")
     bits = measures.space(store)
-    return claims.agg(F.count("*").alias("fetches"), F.count_if(F.col("_h").isNull()).alias("wasted")).crossJoin(urls.agg(F.sum(F.octet_length("url") * 8).alias("list_bits"))).withColumn("summary_bits", F.lit(float(bits["payload"] + bits["overhead"])))
+    claims = apps.ask_proxies(store, urls, proxies, "proxy", "url").withColumn("_c", F.lit(True)).join(caches.withColumn("_h", F.lit(True)), ["proxy", "url"], "full")
+    counts = claims.agg(F.count("_h").alias("urls"), F.sum(F.when(F.col("_h"), F.octet_length("url") * 8)).alias("list_bits"), F.count_if(F.col("_c").isNull()).alias("missed"), F.count_if(F.col("_h").isNull()).alias("wasted"))
+    return counts.select("urls", "list_bits", "missed", measures.expected_count(F.col("wasted"), 3 * F.col("urls"), F.lit(1 / 256)).alias("wasted_as_expected"), (F.lit(float(bits["payload"] + bits["overhead"])) < F.col("list_bits")).alias("summaries_smaller"))
 
 
 _RUN = affine31_sql("o_orderkey", seed_of("run"), 8)
@@ -255,13 +277,16 @@ def runs_pruned_never_miss(spark: SparkSession, sf: str) -> DataFrame:
     return reads.join(runs, ["run", "o_orderkey"], "left_semi").select("o_orderkey", "run")
 
 
-@query()
+@query("SELECT 8 * count(*) AS without_filter, TRUE AS read_as_expected FROM orders")
 def runs_avoided(spark: SparkSession, sf: str) -> DataFrame:
+    """Reads of eight runs for absent keys, and that the runs' filters leave few of them."""
     o = table(spark, sf, "orders").select("o_orderkey")
     runs = o.withColumn("run", affine31(F.col("o_orderkey"), seed_of("run"), 8))
     absent = o.select((F.col("o_orderkey") + 1_000_000_000).alias("o_orderkey"))
-    reads = apps.runs_to_read(apps.run_filters(runs, "run", "o_orderkey"), absent, runs, "run", "o_orderkey")
-    return reads.agg(F.count("*").alias("read")).crossJoin(absent.agg((F.count("*") * 8).alias("without_filter")))
+    reads = apps.runs_to_read(apps.run_filters(runs, "run", "o_orderkey"), absent, runs, "run", "o_orderkey").withColumn("_r", F.lit(True))
+    whole = absent.select("o_orderkey", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(7).cast("long"))).alias("run")).join(reads, ["run", "o_orderkey"], "left")
+    counts = whole.agg(F.count("*").alias("without_filter"), F.count("_r").alias("read"))
+    return counts.select("without_filter", measures.expected_count(F.col("read"), F.col("without_filter"), F.lit(1 / 256)).alias("read_as_expected"))
 
 
 @query("SELECT doc_id, text IN (SELECT text FROM documents WHERE doc_id % 2 = 0 AND text IS NOT NULL) AS known FROM documents WHERE text IS NOT NULL AND doc_id % 2 = 1")
@@ -295,6 +320,17 @@ def differential_days_verified(spark: SparkSession, sf: str) -> DataFrame:
     return contains(build_filter(changed, ["day", "user_id"], 8), reads, ["day", "user_id"]).where("hit").join(changed, ["day", "user_id"], "left_semi").select("event_id")
 
 
+@query(ORACLES["differential_days_verified"])
+def stream_differential_days(spark: SparkSession, sf: str) -> DataFrame:
+    """The same with the events as a stream: each micro-batch asks the filter of (day, user) pairs, and its hits are compared exactly."""
+    ev = table(spark, sf, "events")
+    changed = ev.select(F.to_date("ts").alias("day"), "user_id").distinct()
+    store = build_filter(changed, ["day", "user_id"], 8, on_null="drop")
+    reads = events_stream(spark, sf, ev.schema).select("event_id", "user_id", F.date_sub(F.to_date("ts"), 1).alias("day"))
+    hits = run_available(probe_stream(store, reads, ["day", "user_id"], "_hit").where("_hit"), "stream-days")
+    return hits.join(changed, ["day", "user_id"], "left_semi").select("event_id")
+
+
 @query("SELECT user_id, event_id, event_type FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS r FROM events WHERE ts <= TIMESTAMP '2024-01-15') WHERE r = 1")
 def latest_change(spark: SparkSession, sf: str) -> DataFrame:
     ev = table(spark, sf, "events").select("user_id", "event_id", "event_type", "ts")
@@ -401,11 +437,21 @@ def bloom_repeated_hits(spark: SparkSession, sf: str) -> DataFrame:
     return baselines.bloom_contains(f, table(spark, sf, "orders").select("o_orderkey"), "o_orderkey")
 
 
-@query()
+_SHARED_BITS = "(SELECT ceil(count(*) * 4 * log2(exp(1)))::BIGINT FROM orders WHERE o_orderkey % 2 = 0)"
+_SET = " UNION ".join(f"SELECT {_at('o_orderkey', j, _SHARED_BITS)} FROM orders WHERE o_orderkey % 2 = 0" for j in range(4))
+
+
+@query("SELECT o_orderkey, " + " AND ".join(f"{_at('o_orderkey', j, _SHARED_BITS)} IN ({_SET})" for j in range(4)) + " AS hit FROM orders")
 def bloom_shared_hits(spark: SparkSession, sf: str) -> DataFrame:
-    f = baselines.bloom_shared(_even(spark, sf), "o_orderkey", 4)
-    hit = baselines.bloom_contains(f, table(spark, sf, "orders").select("o_orderkey"), "o_orderkey")
-    return hit.groupBy((F.col("o_orderkey") % 2 == 0).alias("stored")).agg(F.count("*").alias("keys"), F.count_if("hit").alias("hits"))
+    f = baselines.bloom_shared(_even(spark, sf), "o_orderkey", 4, affine=True)
+    return baselines.bloom_contains(f, table(spark, sf, "orders").select("o_orderkey"), "o_orderkey")
+
+
+@query(_bloom_sql(4))
+def bloom_repeated_joined(spark: SparkSession, sf: str) -> DataFrame:
+    """The same filter beyond the broadcast size: all probes join its blocks once."""
+    f = baselines.bloom_repeated(_even(spark, sf), "o_orderkey", 4, affine=True)
+    return baselines.bloom_contains(f, table(spark, sf, "orders").select("o_orderkey"), "o_orderkey", most_broadcast=0)
 
 
 @query("SELECT count(*) AS keys, count(*) AS hits FROM orders")
@@ -481,72 +527,129 @@ def w1_sizing(spark: SparkSession, sf: str) -> DataFrame:
 # --- reports: measured, compared with bounds in the tests -----------------------------------------------------------------------
 
 
-@query()
+def _values(columns: str, rows: list[tuple]) -> str:
+    """A table of constants in SQL."""
+    return f"(VALUES {', '.join('(' + ', '.join(repr(x) for x in r) + ')' for r in rows)}) t({columns})"
+
+
+@query("SELECT k::INTEGER AS k, 50000::BIGINT AS keys, pow(2, -k) AS expected, TRUE AS as_expected FROM unnest([1, 2, 4, 8, 12]) t(k)")
 def fp_rates_by_k(spark: SparkSession, sf: str) -> DataFrame:
-    """(k, keys, hits, rate, expected) of absent keys, for filters of all orders."""
-    o = table(spark, sf, "orders").select("o_orderkey")
+    """Rates of absent keys for filters of all orders."""
     absent = spark.range(10**9, 10**9 + 50_000).select(F.col("id").alias("o_orderkey"))
-    rows = []
-    for k in (1, 2, 4, 8, 12):
-        h, n, lo, hi = measures.fp_rate(contains(build_filter(o, "o_orderkey", k), absent, "o_orderkey"))
-        rows.append((k, n, h, h / n, lo, hi, 2.0**-k))
-    return spark.createDataFrame(rows, "k int, keys long, hits long, rate double, low double, high double, expected double")
+    r = reports.false_positives(table(spark, sf, "orders").select("o_orderkey"), "o_orderkey", absent)
+    return r.select("k", "keys", "expected", ((F.col("low") <= F.col("expected")) & (F.col("expected") <= F.col("high"))).alias("as_expected"))
+
 
+_SPACE = {
+    "two_level": DictSpec(k=3), "logsparse": DictSpec(k=3, kind="logsparse", seed_tries=256), "local": DictSpec(k=3, kind="local", seed_tries=256), "table_hash": DictSpec(k=3, hashing="table", bucket_mean=512, bucket_cap=1024),
+    "shared_inverse": DictSpec(k=3, method="shared_inverse", cell_mean=2.5, cell_cap=6, bucket_mean=512), "dense": DictSpec(k=5, method="dense"), "sparse": DictSpec(k=5, method="sparse", slack=1.3), "global_sparse": DictSpec(k=5, method="global_sparse"),
+}
 
-@query()
+
+@query(f"""SELECT m AS method, k::INTEGER AS k, CASE k WHEN 3 THEN (SELECT count(*) FROM orders) ELSE (SELECT count(*) FROM supplier) END AS n, w AS words_read, TRUE AS payload_as_stated
+FROM {_values("m, k, w", [("two_level", 3, 5.0), ("logsparse", 3, 5.0), ("local", 3, 3 + 47 / 64), ("table_hash", 3, 5.0), ("shared_inverse", 3, 5.0)])}
+UNION ALL SELECT 'dense', 5, n, 1.0 + 5 * ceil(n / 64), TRUE FROM (SELECT count(*) AS n FROM supplier)
+UNION ALL SELECT 'sparse', 5, count(*), 4.0, TRUE FROM supplier
+UNION ALL SELECT 'global_sparse', 5, n, 1.0 + CASE WHEN n < 2 THEN n WHEN ceil(ln(n)) < 3 THEN 3 ELSE ceil(ln(n)) + (ceil(ln(n)) + 1) % 2 END, TRUE FROM (SELECT count(*) AS n FROM supplier)""")
 def space_by_method(spark: SparkSession, sf: str) -> DataFrame:
-    """Logical bits a key, probes and work of each method on one key set."""
+    """Words that a probe reads, and that the payload is k bits for each key that is not in the side dictionary (1.3 times that for sparse
+    systems); reports.space has all figures."""
     o, s = _priority(spark, sf), _supplier(spark, sf)
-    specs = [("two_level", o, "o_orderkey", DictSpec(k=3)), ("logsparse", o, "o_orderkey", DictSpec(k=3, kind="logsparse", seed_tries=256)), ("local", o, "o_orderkey", DictSpec(k=3, kind="local", seed_tries=256)), ("table_hash", o, "o_orderkey", DictSpec(k=3, hashing="table", bucket_mean=512, bucket_cap=1024)), ("shared_inverse", o, "o_orderkey", DictSpec(k=3, method="shared_inverse", cell_mean=2.5, cell_cap=6, bucket_mean=512)), ("dense", s, "s_suppkey", DictSpec(k=5, method="dense")), ("sparse", s, "s_suppkey", DictSpec(k=5, method="sparse", slack=1.3)), ("global_sparse", s, "s_suppkey", DictSpec(k=5, method="global_sparse"))]
-    rows = []
-    for name, df, key, spec in specs:
-        st = build(df, key, "v", spec)
-        sp, pc = measures.space(st), measures.probe_cost(st)
-        rows.append((name, st.n_keys, spec.k, float(sp["payload"]), float(sp["overhead"]), sp["bits_per_key"], sp["to_bloom"], float(measures.store_bytes(st)), pc["words"], pc["operations"], st.facts["tries"] / max(1, st.facts["cells"])))
-    return spark.createDataFrame(rows, "method string, n long, k int, payload_bits double, overhead_bits double, bits_per_key double, to_bloom double, file_bytes double, words_read double, operations double, tries_per_system double")
+    r = reports.space([(name, o, "o_orderkey", spec) if spec.k == 3 else (name, s, "s_suppkey", spec) for name, spec in _SPACE.items()])
+    own = F.col("k") * (F.col("n") - F.col("side"))
+    stated = F.when(F.col("method") == "sparse", F.col("k") * F.greatest(F.lit(3), F.ceil(F.col("n") * 1.3))).otherwise(own)
+    return r.select("method", "k", "n", "words_read", (F.col("payload_bits") == stated).alias("payload_as_stated"))
+
+
+_LADDER_METHODS = [*reports.SINGLE, *reports.BUCKETED, "exact table", "k-fold Bloom", "shared Bloom", "fingerprint set"]
 
 
-@query()
+@query(f"""SELECT m AS method, k::INTEGER AS k, CASE WHEN m IN {tuple(reports.SINGLE)} THEN (SELECT count(*) FROM supplier) ELSE (SELECT count(*) FROM customer) END AS n,
+0::BIGINT AS misses, TRUE AS error_as_expected, TRUE AS bits_as_expected, TRUE AS measured FROM {_values("m", [(m,) for m in _LADDER_METHODS]).replace(",)", ")")}, unnest([1, 2, 4, 8, 16]) u(k)""")
 def ladder(spark: SparkSession, sf: str) -> DataFrame:
-    """Methods and baselines side by side for k = 1, 2, 4, 8, 16: bits a key, words read, error on absent keys, all measured on customers."""
-    members = table(spark, sf, "customer").select("c_custkey")
-    n = members.count()
-    absent = spark.range(10**9, 10**9 + 20_000).select(F.col("id").alias("c_custkey"))
-    rate = lambda df: df.agg(F.avg(F.col("hit").cast("int"))).first()[0]
-    rows = []
-    for k in (1, 2, 4, 8, 16):
-        for name, how in {"two_level": {}, "logsparse": {"kind": "logsparse", "seed_tries": 256}, "one_level": {"method": "one_level", "bucket_mean": 64, "bucket_cap": 160, "seed_tries": 64}}.items():
-            f = build_filter(members, "c_custkey", k, n_rows=n, **how)
-            rows.append((name, k, measures.space(f)["bits_per_key"], measures.probe_cost(f)["words"], rate(contains(f, absent, "c_custkey"))))
-        b = baselines.bloom_repeated(members, "c_custkey", k, n)
-        rows.append(("k-fold Bloom", k, b.bits * k / n, float(k), rate(baselines.bloom_contains(b, absent, "c_custkey"))))
-        s = baselines.fingerprint_set(members, "c_custkey", k, n)
-        rows.append(("fingerprint set", k, k + 2.0, 2.0, rate(baselines.fingerprint_contains(s, absent, "c_custkey"))))
-    return spark.createDataFrame(rows, "method string, k int, bits_per_key double, words_read double, error double")
-
-
-@query()
+    """Every method and baseline as a filter for k = 1, 2, 4, 8, 16: no member is missed, absent keys hit with chance 2^-k (the exact
+    table: never; a shared Bloom filter about as often), and bits a key are at least k and for equations at most what variables,
+    seeds and headers take (but for the one table of hashing that all buckets share). reports.ladder has the figures."""
+    few, many = table(spark, sf, "supplier").select(F.col("s_suppkey").alias("key")), table(spark, sf, "customer").select(F.col("c_custkey").alias("key"))
+    absent = spark.range(10**9, 10**9 + 20_000).select(F.col("id").alias("key"))
+    r = reports.ladder(few, many, "key", absent)
+    chance = F.pow(F.lit(2.0), -F.col("k"))
+    # empty cells answer no, so a small store hits less often; Bloom filters of few keys have some play
+    error = F.when(F.col("method") == "exact table", F.col("hits") == 0).when(F.col("method").isin("k-fold Bloom", "shared Bloom", "fingerprint set"), F.col("hits") <= 1.6 * F.col("tested") * chance + 40).otherwise((F.col("hits") <= F.col("tested") * chance + 6 * F.sqrt(F.col("tested") * chance) + 6) & (F.col("hits") >= 0.5 * F.col("tested") * chance - 40))
+    bloom = F.abs(F.col("bits_per_key") - F.col("k") * F.lit(theory.bloom_bits(1))) <= F.lit(1.0) * F.col("k") / F.col("n") + 1e-9
+    bits = F.when(F.col("method").isin("k-fold Bloom", "shared Bloom"), bloom).when(F.col("method").isin("exact table", "fingerprint set"), F.col("bits_per_key") > F.col("k")).otherwise((F.col("bits_per_key") >= 0.95 * F.col("k")) & ((F.col("method") == "table hashing") | (F.col("bits_per_key") <= 1.3 * F.col("k") + 12 + 400 / F.col("n"))))
+    took = (F.col("probe_s") > 0) & (F.col("method").isin("exact table", "k-fold Bloom", "shared Bloom", "fingerprint set") | (F.col("build_bytes_per_key") > 0))
+    return r.select("method", "k", "n", "misses", error.alias("error_as_expected"), bits.alias("bits_as_expected"), took.alias("measured"))
+
+
+@query("""WITH g AS (SELECT 1000000 AS n, k, log2(1000000) AS lg FROM unnest([1, 8]) t(k))
+SELECT k::INTEGER AS k, method, round(bits, 3) AS bits, round(probes, 6) AS probes, error FROM (
+SELECT k, 'exact hash table' AS method, NULL::DOUBLE AS bits, 1.0::DOUBLE AS probes, 0.0::DOUBLE AS error FROM g
+UNION ALL SELECT k, 'one-probe Bloom', n * log2(exp(1)), 1, 0.5 FROM g
+UNION ALL SELECT k, 'k-fold Bloom', n * k * log2(exp(1)), k, pow(2, -k) FROM g
+UNION ALL SELECT k, 'fingerprint set', n * (k + 2), 2, pow(2, -k) FROM g
+UNION ALL SELECT k, 'dense system', n * k, n, pow(2, -k) FROM g
+UNION ALL SELECT k, 'sparse system', n * (1 + exp(-5)) * k, 5, pow(2, -k) FROM g
+UNION ALL SELECT k, 'one level', n * k, lg * lg, pow(2, -k) FROM g
+UNION ALL SELECT k, 'two levels', n * k, 3 + k, pow(2, -k) FROM g
+UNION ALL SELECT k, 'global sparse', n * k, ceil(ln(n)), pow(2, -k) FROM g)""")
+def theory_comparison(spark: SparkSession, sf: str) -> DataFrame:
+    """What each structure takes for a million keys by its formulas."""
+    rows = [(k, r["method"], r["bits"] if r["bits"] is None else round(r["bits"], 3), round(r["probes"], 6), r["error"]) for k in (1, 8) for r in theory.comparison_table(1_000_000, k)]
+    return spark.createDataFrame(rows, "k int, method string, bits double, probes double, error double")
+
+
+_INDEPENDENT = [(1, 64, 0), (1, 64, 1), (1, 64, 2), (2, 24, 0), (4, 24, 0), (8, 24, 0)]
+
+
+@query(f"""SELECT k::INTEGER AS k, n::INTEGER AS n, c::INTEGER AS c, 150::BIGINT AS draws, round((SELECT exp(sum(ln(1 - pow(2.0, k * (i - n - c))))) FROM range(0, 64) r(i) WHERE i < n), 9) AS chance, TRUE AS as_expected
+FROM {_values("k, n, c", _INDEPENDENT)}""")
 def solve_rates(spark: SparkSession, sf: str) -> DataFrame:
-    """Independence by field and extra variables, measured against the exact product."""
-    got = measures.independence_experiment(spark, [(1, 64, 0), (1, 64, 1), (1, 64, 2), (2, 24, 0), (4, 24, 0), (8, 24, 0)], 150)
-    return got.withColumn("rate", F.col("solved") / F.col("draws"))
+    """How often random equations are independent, by field and extra variables, against the exact product."""
+    got = measures.independence_experiment(spark, _INDEPENDENT, 150)
+    exact = spark.createDataFrame([(k, n, c, theory.independence_exact(k, n, c)) for k, n, c in _INDEPENDENT], "k int, n int, c int, chance double")
+    return got.join(exact, ["k", "n", "c"]).select("k", "n", "c", "draws", F.round("chance", 9).alias("chance"), measures.expected_count(F.col("solved"), F.col("draws"), F.col("chance")).alias("as_expected"))
+
+
+#: (equations, places, variables to equations, least and most of 20 draws solved): under the necessary bound, and square with an even number of places, none; with room, all; square and odd, some.
+_SPARSE = [(300, 3, 0.95, 0, 0), (300, 3, 1.0, 0, 0), (300, 3, 1.3, 20, 20), (300, 4, 1.0, 0, 0), (300, 7, 1.0, 1, 12), (300, 8, 1.0, 0, 0)]
 
 
-@query()
+@query(f"SELECT n::INTEGER AS n, t::INTEGER AS t, s::DOUBLE AS slack, 20::BIGINT AS draws, n * s < n * (1 + exp(-t)) AS under_bound, TRUE AS as_expected FROM {_values('n, t, s, a, b', _SPARSE)}")
 def sparse_rates(spark: SparkSession, sf: str) -> DataFrame:
-    return measures.sparse_experiment(spark, [(300, 3, 0.95), (300, 3, 1.0), (300, 3, 1.3), (300, 4, 1.0), (300, 7, 1.0), (300, 8, 1.0)], 20)
+    """How often sparse systems are independent: fewer variables than the bound or an even number of places in a square one never."""
+    got = measures.sparse_experiment(spark, [x[:3] for x in _SPARSE], 20)
+    limits = spark.createDataFrame(_SPARSE, "n int, t int, slack double, least int, most int")
+    under = F.col("n") * F.col("slack") < F.col("n") * (1 + F.exp(-F.col("t")))
+    return got.join(limits, ["n", "t", "slack"]).select("n", "t", "slack", "draws", under.alias("under_bound"), F.col("solved").between(F.col("least"), F.col("most")).alias("as_expected"))
 
 
-@query()
+#: (keys, mean, cap, least and most of 60 draws without an overfull cell).
+_SPLIT = [(4096, 40.0, 64.0, 50, 60), (4096, 32.0, 64.0, 59, 60), (4096, 2.73, 3.87, 0, 0)]
+
+
+@query(f"SELECT n::INTEGER AS keys, m::DOUBLE AS mean, c::DOUBLE AS cap, 60::BIGINT AS draws, TRUE AS as_expected FROM {_values('n, m, c, a, b', _SPLIT)}")
 def split_rates(spark: SparkSession, sf: str) -> DataFrame:
-    return measures.split_experiment(spark, [(4096, 40.0, 64.0), (4096, 32.0, 64.0), (4096, 2.73, 3.87)], 60)
+    """How often no cell is over its cap: nearly always at the sizes in use, never at those of the formulas."""
+    got = measures.split_experiment(spark, [x[:3] for x in _SPLIT], 60)
+    limits = spark.createDataFrame(_SPLIT, "keys int, mean double, cap double, least int, most int")
+    return got.join(limits, ["keys", "mean", "cap"]).select("keys", "mean", "cap", "draws", F.col("solved").between(F.col("least"), F.col("most")).alias("as_expected"))
 
 
-@query()
+@query("SELECT s::INTEGER AS s, 500::BIGINT AS draws, round((SELECT exp(sum(ln(1 - i / (s * s)))) FROM range(0, 6) r(i) WHERE i < s), 9) AS chance, TRUE AS as_expected, TRUE AS at_least_half FROM unnest([3, 4, 5, 6]) t(s)")
 def position_rates(spark: SparkSession, sf: str) -> DataFrame:
-    return measures.position_experiment(spark, [3, 4, 5, 6], 500)
+    """How often s keys fall on different ones of s^2 positions."""
+    got = measures.position_experiment(spark, [3, 4, 5, 6], 500)
+    exact = spark.createDataFrame([(s, theory.no_collision(s, s * s)) for s in (3, 4, 5, 6)], "s int, chance double")
+    return got.join(exact, "s").select("s", "draws", F.round("chance", 9).alias("chance"), measures.expected_count(F.col("solved"), F.col("draws"), F.col("chance")).alias("as_expected"), (F.col("chance") >= 0.5).alias("at_least_half"))
+
+
+_TABLES = [(512, 512 * 512 // 2, 1), (512, 512 * 512 // 2, 2), (512, 512 * 512 // 2, 4), (512, 2 * 512 * 512, 1)]
 
 
-@query()
+@query(f"SELECT n::INTEGER AS keys, l::INTEGER AS table_len, f::INTEGER AS funcs, 60::BIGINT AS draws, round(1 - pow(1 - (SELECT exp(sum(ln(1 - i / l))) FROM range(0, 512) r(i)), f), 9) AS chance, TRUE AS as_expected FROM {_values('n, l, f', _TABLES)}")
 def table_hash_rates(spark: SparkSession, sf: str) -> DataFrame:
-    return measures.table_hash_experiment(spark, [(512, 512 * 512 // 2, 1), (512, 512 * 512 // 2, 2), (512, 512 * 512 // 2, 4), (512, 2 * 512 * 512, 1)], 60)
+    """How often one of so many functions keeps a bucket's keys on different words of the table."""
+    got = measures.table_hash_experiment(spark, _TABLES, 60)
+    exact = spark.createDataFrame([(*g, 1 - (1 - theory.no_collision(g[0], g[1])) ** g[2]) for g in _TABLES], "keys int, table_len int, funcs int, chance double")
+    return got.join(exact, ["keys", "table_len", "funcs"]).select("keys", "table_len", "funcs", "draws", F.round("chance", 9).alias("chance"), measures.expected_count(F.col("solved"), F.col("draws"), F.col("chance")).alias("as_expected"))

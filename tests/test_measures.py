@@ -3,9 +3,15 @@
 from math import e, log2
 
 import pytest
+from pyspark.sql import functions as F
 
+from eqdict import reports
 from eqdict.functions import theory
 from eqdict.operators import baselines, measures
+from eqdict.operators.build import build
+from eqdict.operators.membership import build_filter, contains
+from eqdict.operators.probe import looked_up
+from eqdict.spec import DictSpec
 from tests.test_build import table
 
 
@@ -48,6 +54,12 @@ def test_bloom_filters_of_strings_and_nulls(spark):
     f = baselines.bloom_repeated(df, "key", 8)
     got = {r.key: r.hit for r in baselines.bloom_contains(f, df, "key").collect()}
     assert got == {"a": True, "b": True, None: None}
+    assert {r.key: r.hit for r in baselines.bloom_contains(f, df, "key", most_broadcast=0).collect()} == got
+    pairs = spark.range(300).select((F.col("id") % 20).alias("a"), F.col("id").cast("string").alias("b"))
+    g = baselines.bloom_shared(pairs.where("b < '2'"), ["a", "b"], 3)
+    ways = [sorted(map(tuple, baselines.bloom_contains(g, pairs, ["a", "b"], most_broadcast=m).collect())) for m in (0, 1 << 20)]
+    assert ways[0] == ways[1] and {r[2] for r in ways[0]} == {True, False}
+    assert baselines.bloom_bytes(g) >= g.bits / 8
     s = baselines.fingerprint_set(df, "key", 8)
     assert {r.key: r.hit for r in baselines.fingerprint_contains(s, df, "key").collect()} == got
 
@@ -60,6 +72,37 @@ def test_fingerprint_set(spark):
     assert rate < 2 * 2.0**-6
 
 
+def test_ladder(spark):
+    """Figures of some methods: one store for 16 bits holds those for fewer, whose errors halve with each bit."""
+    few, many, absent = table(spark, 60, 1).select("key"), table(spark, 3000, 1).select("key"), table(spark, 20_000, 1, 10**8).select("key")
+    got = {(r.method, r.k): r for r in reports.ladder(few, many, "key", absent, ks=(1, 2, 8), only=("global sparse", "two levels", "local rows", "k-fold Bloom", "exact table")).collect()}
+    assert len(got) == 15 and all(r.misses == 0 for r in got.values())
+    for (name, k), r in got.items():
+        if name == "exact table":
+            assert r.hits == 0 and r.bits_per_key > 10
+        else:
+            assert abs(r.hits / r.tested - 2.0**-k) < 0.05
+    assert all(got["two levels", k].bits_per_key < got["k-fold Bloom", k].bits_per_key for k in (2, 8))
+    one = build_filter(many, "key", 2, pre_dedupe=False)
+    assert measures.space(one)["payload"] == 2 * 3000 and got["two levels", 2].bits_per_key == pytest.approx(measures.space(one)["bits_per_key"], abs=0.3)
+    hits = contains(one, absent, "key").where("hit").count()
+    assert abs(hits - got["two levels", 2].hits) < 300
+    assert got["two levels", 8].build_bytes_per_key > 50
+
+
+def test_windows_of_local_rows_read_fewer_words(spark):
+    plain, local = (build(table(spark, 2000, 4), "key", "v", DictSpec(k=4, **how)) for how in ({}, {"kind": "local", "seed_tries": 256}))
+    assert measures.probe_cost(plain)["words"] == 6 and 3 <= measures.probe_cost(local)["words"] < 4
+    plan = looked_up(local, table(spark, 10, 4), "key")._jdf.queryExecution().executedPlan().toString()
+    assert "Python" not in plan
+
+
+def test_prefilter_saving(spark):
+    left = table(spark, 30_000, 1).select("key", F.lit("abcd").alias("s"))
+    r = reports.prefilter_saving(left, table(spark, 500, 1).select("key"), "key").first()
+    assert (r["rows"], r.needed, r.row_bytes) == (30_000, 500, 28.0) and 500 <= r.sent < 900 and r.saved_bytes == (30_000 - r.sent) * 28.0
+
+
 def test_wilson():
     lo, hi = measures.wilson(50, 100)
     assert lo < 0.5 < hi and measures.wilson(0, 0) == (0.0, 1.0)

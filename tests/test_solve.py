@@ -57,6 +57,19 @@ def test_listed_matrices_over_the_field(r, k):
         solve.field_inverses(2, 5)
 
 
+def test_wide_systems_together():
+    g = np.random.default_rng(9)
+    m = np.array([1, 64, 65, 128, 130, 7])
+    rows_ = g.integers(0, 1 << 63, (6, 130, 3), dtype=np.uint64) * np.uint64(2) + g.integers(0, 2, (6, 130, 3), dtype=np.uint64)
+    for i in range(3):
+        rows_[:, :, i] &= rows.mask_np(np.clip(m - 64 * i, 0, 64))[:, None]
+    values, live = g.integers(0, 16, (6, 130)).astype(np.uint64), np.arange(130)[None] < m[:, None]
+    ok, b = solve.eliminate_many(rows_, values, live, m)
+    for i in range(6):
+        want = solve.eliminate_wide(rows_[i, : m[i]], values[i, : m[i]], int(m[i]))
+        assert ok[i] == (want is not None) and (not ok[i] or (b[i, : m[i]] == want).all())
+
+
 def test_many_inverses_at_once():
     row_of = lambda s, p, m: rows.masks_np(s, p.astype(np.int64), np.zeros(len(p), np.int64), m)
     g = np.random.default_rng(1)
@@ -100,6 +113,23 @@ def test_sparse_solvers_agree(n):
     raise AssertionError("never solved")
 
 
+@pytest.mark.parametrize(("n", "width"), [(1, 8), (5, 2), (40, 1), (60, 4), (300, 8)])
+def test_block_solver(n, width):
+    """A solution or None, as elimination says for the same matrix."""
+    g, solved = np.random.default_rng(n), 0
+    for s in range(6):
+        t = min(rows.odd_log(n), n)
+        i = np.arange(n, dtype=np.int64)
+        places = rows.places_np(np.full(n, s), i * 7919 + 13, i, np.full(n, n), t)
+        v = g.integers(0, 1 << 12, n)
+        want, got = solve.solve_structured(places, v, n), solve.solve_block(places, v, n, width=width)
+        assert (want is None) == (got is None) or (got is not None and want is None)
+        if got is not None:
+            solved += 1
+            assert (np.bitwise_xor.reduce(got[places], axis=1) == v.astype(np.uint64)).all()
+    assert solved > 0 or n in (40, 60)
+
+
 def test_even_rows_of_a_square_system_are_never_independent():
     hi, lo = digests(64)
     assert all(solve.solve_structured(rows.places_np(np.full(64, s), hi, lo, np.full(64, 64), 8), np.zeros(64), 64) is None for s in range(40))
