@@ -109,6 +109,13 @@ def limb_affine(high: Column, low: Column, seed: int, size: int | Column) -> Col
     return F.pmod(F.pmod(reduce(lambda x, y: x + y, terms) + long(b), long(P31)), size if isinstance(size, Column) else long(size))
 
 
+def limb_affine_sql(high: str, seed: int, size: int) -> str:
+    """The same in DuckDB for an identity digest of a whole number from 0 on (the low half is 0)."""
+    a, b = limb_coefficients(seed)
+    terms = " + ".join(f"({k} * ((({high})::BIGINT >> {at}) & {(1 << bits) - 1})) % {P31}" for k, (at, bits) in zip(a, ((0, 30), (30, 30), (60, 4)), strict=False))
+    return f"((({terms} + {b}) % {P31}) % {size})"
+
+
 def limb_affine_np(high: np.ndarray, low: np.ndarray, seed: int, size: int) -> np.ndarray:
     a, b = limb_coefficients(seed)
     limbs = _limbs(high.astype(np.uint64), low.astype(np.uint64), _piece_np)
@@ -134,10 +141,19 @@ def affine31_sql(x: str, seed: int, size: int) -> str:
 P61 = (1 << 61) - 1
 
 
+def affine61_parameters(seed: int) -> tuple[int, int]:
+    r = np.random.Generator(np.random.PCG64(seed & _MASK))
+    return int(r.integers(1, P61)), int(r.integers(0, P61))
+
+
+def affine61_sql(x: str, seed: int, size: int) -> str:
+    a, b = affine61_parameters(seed)
+    return f"((({a}::HUGEINT * (({x})::HUGEINT % {P61}) + {b}) % {P61}) % {size})::BIGINT"
+
+
 def affine61(x: Column, seed: int, size: int) -> Column:
     """(a x + b) mod (2^61 - 1) mod size through decimals, for whole numbers of any long: wider, and many times slower than affine31."""
-    r = np.random.Generator(np.random.PCG64(seed & _MASK))
-    a, b = int(r.integers(1, P61)), int(r.integers(0, P61))
+    a, b = affine61_parameters(seed)
     wide = lambda v: F.lit(v).cast("decimal(20,0)")
     reduced = F.pmod(x.cast("decimal(20,0)"), wide(P61)).cast("decimal(19,0)")
     product = (reduced * F.lit(a).cast("decimal(19,0)")).cast("decimal(38,0)") + wide(b)

@@ -9,13 +9,13 @@ from pyspark.sql import functions as F
 
 from eqdict import reports
 from eqdict.functions import theory
-from eqdict.functions.hashing import affine31, affine31_parameters, affine31_sql, gf2_affine, gf2_affine_sql, seed_of
+from eqdict.functions.hashing import affine31, affine31_parameters, affine31_sql, affine61, affine61_sql, gf2_affine, gf2_affine_sql, limb_affine_sql, seed_of
 from eqdict.operators import apps, baselines, measures, relational
-from eqdict.operators.build import build, encoded
+from eqdict.operators.build import bucket_loads, build, encoded, prepared
 from eqdict.operators.membership import build_filter, contains, prefiltered_join, verified_anti
 from eqdict.operators.probe import looked_up, looked_up_distinct, looked_up_packed, packed
 from eqdict.spec import DictSpec
-from eqdict.streaming import events_stream, probe_stream, run_available
+from eqdict.streaming import Tiers, events_stream, probe_stream, run_available
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -390,6 +390,36 @@ def load_max(spark: SparkSession, sf: str) -> DataFrame:
     return table(spark, sf, "orders").groupBy(affine31(F.col("o_orderkey"), _H1, 997)).agg(F.count("*").alias("keys")).agg(F.max("keys").alias("load_max"))
 
 
+@query(f"SELECT bucket, count(*) AS keys FROM (SELECT DISTINCT o_orderkey, {limb_affine_sql('o_orderkey', seed_of('bucket', 1, 3), 89)} AS bucket FROM orders) GROUP BY bucket")
+def bucket_loads_limb(spark: SparkSession, sf: str) -> DataFrame:
+    """Loads of the bucket hash that builds use, by distinct keys, for its candidate number 3."""
+    spec = DictSpec(k=3, digest="identity")
+    return bucket_loads(prepared(_priority(spark, sf), "o_orderkey", "v", spec), spec, 89, 3)
+
+
+@query(f"SELECT l_orderkey, l_partkey, {affine61_sql('l_orderkey * 4000000007 + l_partkey', seed_of('wide'), 1009)} AS place FROM lineitem")
+def wide_affine_places(spark: SparkSession, sf: str) -> DataFrame:
+    """The affine family modulo 2^61 - 1, for keys beyond 31 bits."""
+    return table(spark, sf, "lineitem").select("l_orderkey", "l_partkey", affine61(F.col("l_orderkey") * 4_000_000_007 + F.col("l_partkey"), seed_of("wide"), 1009).alias("place"))
+
+
+@query("SELECT count(*) AS keys, count(*) AS hits, count(*) AS hits_compacted, 1 AS tiers FROM orders")
+def tiers_all_hit(spark: SparkSession, sf: str) -> DataFrame:
+    """Keys that come in three batches make three static filters; all hit before and after these become one."""
+    o, tiers = table(spark, sf, "orders").select("o_orderkey"), Tiers("o_orderkey", 8)
+    for i in range(3):
+        tiers.add_batch(o.where(F.col("o_orderkey") % 3 == i))
+    counts = tiers.contains(o).agg(F.count("*").alias("keys"), F.count_if("hit").alias("hits"))
+    tiers.compact()
+    return counts.crossJoin(tiers.contains(o).agg(F.count_if("hit").alias("hits_compacted"))).withColumn("tiers", F.lit(len(tiers.tiers)))
+
+
+@query("SELECT error, greatest(1, ceil(-log2(error) - 1e-12))::INTEGER AS bits FROM (SELECT unnest([0.6, 0.5, 0.25, 0.1, 0.01, 0.001, 0.00001])::DOUBLE AS error)")
+def theory_error_bits(spark: SparkSession, sf: str) -> DataFrame:
+    """Fingerprint bits for an error."""
+    return spark.createDataFrame([(x, theory.bits_for_error(x)) for x in (0.6, 0.5, 0.25, 0.1, 0.01, 0.001, 0.00001)], "error double, bits int")
+
+
 @query(f"SELECT o_orderkey, {gf2_affine_sql('o_orderkey', seed_of('fingerprint', 1), 8)}::BIGINT AS fingerprint FROM orders")
 def fingerprint_values(spark: SparkSession, sf: str) -> DataFrame:
     return table(spark, sf, "orders").select("o_orderkey", gf2_affine(F.col("o_orderkey"), F.lit(0).cast("long"), seed_of("fingerprint", 1), 8).alias("fingerprint"))
