@@ -24,7 +24,7 @@ BUCKETED = {
     "one level": {"method": "one_level", "bucket_mean": 64, "bucket_cap": 160, "seed_tries": 64},
     "two levels": {},
     "log-sparse rows": {"kind": "logsparse", "seed_tries": 256},
-    "local rows": {"kind": "local", "seed_tries": 256},
+    "local rows": {"kind": "local", "seed_tries": 1024, "cell_mean": 24, "cell_cap": 40},
     "shared inverses": {"method": "shared_inverse", "cell_mean": 2.5, "cell_cap": 6, "bucket_mean": 64},
     "table hashing": {"hashing": "table", "bucket_mean": 512, "bucket_cap": 1024},
 }
