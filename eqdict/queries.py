@@ -96,7 +96,7 @@ for _name, _spec in {
     "method_two_level_side": DictSpec(k=3, bucket_mean=512, bucket_cap=520, bad_share=1.0),
     "method_two_level_extra": DictSpec(k=3, c=2, cell_cap=62),
     "method_listed_matrices": DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=32),
-    "method_listed_full_field": DictSpec(k=3, field="full", solver="listed", cell_mean=0.7, cell_cap=2, bucket_mean=8),
+    "method_listed_full_field": DictSpec(k=3, field="full", solver="listed", cell_mean=0.7, cell_cap=2, bucket_mean=8, bucket_cap=24),
     "method_sparse_cells": DictSpec(k=3, kind="sparse", t=5, seed_tries=256),
     "method_logsparse_rows": DictSpec(k=3, kind="logsparse", seed_tries=256),
     "method_local_rows": DictSpec(k=3, kind="local", seed_tries=256),
