@@ -372,3 +372,15 @@ def test_sessions_and_first_seen(spark, sf):
     assert 0 < sessions.agg(F.sum("n")).first()[0] <= events.count()
     seen = run_available(first_seen(stream.select("ts", "user_id"), "ts", "user_id"), "seen")
     assert seen.select("user_id").distinct().count() == events.select("user_id").distinct().count() <= seen.count() <= events.count()
+
+
+@pytest.mark.parametrize(
+    ("n", "how"),
+    [(9000, {"method": "dense"}), (9000, {"method": "dense", "c": 2}), (4200, {"method": "dense", "field": "full"}), (20_100, {"method": "sparse", "slack": 1.3}), (20_100, {"method": "global_sparse"}), (20_100, {"method": "global_sparse", "solver": "krylov"})],
+)
+def test_more_keys_than_one_system_may_have(spark, n, how):
+    """They make several systems, each of the method asked for, and every key returns its value."""
+    df = spark.range(n).select(F.col("id").alias("key"), (F.col("id") % 8).alias("v"))
+    store = build(df, "key", "v", DictSpec(k=3, **how))
+    assert store.n_keys == n and store.facts["n_side"] == 0 and store.facts["cells"] == store.n_buckets > 1
+    assert looked_up(store, df, "key").where("value = v").count() == n
