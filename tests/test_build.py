@@ -384,3 +384,25 @@ def test_more_keys_than_one_system_may_have(spark, n, how):
     store = build(df, "key", "v", DictSpec(k=3, **how))
     assert store.n_keys == n and store.facts["n_side"] == 0 and store.facts["cells"] == store.n_buckets > 1
     assert looked_up(store, df, "key").where("value = v").count() == n
+
+
+def test_store_of_few_bytes_on_disk_is_not_broadcast_beyond_its_size(spark, monkeypatch):
+    """Spark would broadcast what its files say is small; what rows hold in memory decides."""
+    from eqdict.operators import probe
+
+    df = spark.range(3000).select(F.col("id").alias("key"), (F.col("id") % 2).alias("v"))
+    store = build(df, "key", "v", DictSpec(k=3, bucket_mean=512, bucket_cap=520, bad_share=1.0))
+    assert store.facts["n_side"]
+    plan = lambda: looked_up(store, df, "key")._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan()
+    monkeypatch.setattr(probe, "BROADCAST_BYTES", 0)
+    assert "Broadcast" not in plan()
+    assert looked_up(store, df, "key").where("value = v").count() == 3000
+
+
+def test_answer_table_is_one_constant(spark):
+    df = spark.range(500).select(F.col("id").alias("key"), (F.col("id") % 8).alias("v"))
+    store = build(df, "key", "v", DictSpec(k=3, solver="listed", cell_mean=1.5, cell_cap=4, bucket_mean=32))
+    got = looked_up(store, df, "key", evaluator="table")
+    assert len(got._jdf.queryExecution().analyzed().toString()) < 1_000_000
+    assert got.where("value = v").count() == 500
