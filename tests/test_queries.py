@@ -69,3 +69,10 @@ def test_passwords_of_all_lengths_and_letters(spark, tmp_path):
     assert len(got) == len(want) and {r.word: r.unsuitable for r in got} == {w: any(within1(w, d) for d in listed) for w in want}
     bad = {r.word for r in got if r.unsuitable}
     assert any(len(w) > 9 for w in bad) and any(not w.isascii() for w in bad) and len(bad) < len(got)
+
+
+@pytest.mark.parametrize("name", ["theory_error_bits", "theory_independence", "theory_space_table", "theory_paper_params", "theory_comparison"])
+def test_closed_forms_are_of_given_tables(spark, tmp_path, name):
+    """Their sizes come from the tables, without which they fail."""
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
