@@ -376,7 +376,7 @@ def test_sessions_and_first_seen(spark, sf):
 
 @pytest.mark.parametrize(
     ("n", "how"),
-    [(9000, {"method": "dense"}), (9000, {"method": "dense", "c": 2}), (4200, {"method": "dense", "field": "full"}), (20_100, {"method": "sparse", "slack": 1.3}), (20_100, {"method": "global_sparse"}), (20_100, {"method": "global_sparse", "solver": "krylov"})],
+    [(9000, {"method": "dense"}), (9000, {"method": "dense", "c": 2}), (4200, {"method": "dense", "field": "full"}), (20_100, {"method": "sparse", "slack": 1.3}), (20_100, {"method": "global_sparse"}), (8200, {"method": "global_sparse", "solver": "krylov"}), (4100, {"method": "global_sparse", "solver": "block"})],
 )
 def test_more_keys_than_one_system_may_have(spark, n, how):
     """They make several systems, each of the method asked for, and every key returns its value."""
