@@ -150,7 +150,7 @@ def test_full_field():
 
 
 def test_block_solver_of_thousands_of_keys_in_seconds():
-    """A matrix of 2,000 rows took 20 seconds and more when its products were made one by one."""
+    """With products made one by one, three tries at 1,000 rows took about 5 seconds; that code was not timed at 2,000."""
     import time
 
     n = 2000
