@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from eqdict.operators import measures
-from eqdict.operators.build import bad_key_share, bucket_loads, build, choose_h1, encoded, prepared, solved
+from eqdict.operators.build import bad_key_share, bucket_loads, build, choose_h1, encoded, prepared, solved, systems_of
 from eqdict.operators.membership import ALPHABET, build_filter, checked_lookup, contains, contains_within1, edit1_variants
 from eqdict.operators.probe import looked_up, looked_up_distinct, looked_up_packed, packed
 from eqdict.plans.sql import explained, register
@@ -386,6 +386,12 @@ def test_more_keys_than_one_system_may_have(spark, n, how):
     assert looked_up(store, df, "key").where("value = v").count() == n
 
 
+def test_field_systems_are_small_beyond_a_thousand_keys():
+    """A probe over the field computes a product for each variable."""
+    spec = DictSpec(k=5, method="dense", field="full")
+    assert [systems_of(spec, n) for n in (1000, 1024, 1025, 6000)] == [1, 1, 5, 24]
+
+
 def test_store_of_few_bytes_on_disk_is_not_broadcast_beyond_its_size(spark, monkeypatch):
     """Spark would broadcast what its files say is small; what rows hold in memory decides."""
     from eqdict.operators import probe
