@@ -16,27 +16,36 @@ from tests.test_build import table
 
 
 def test_independence(spark):
-    got = {(r.k, r.c): r.solved / r.draws for r in measures.independence_experiment(spark, [(1, 48, 0), (1, 48, 1), (1, 48, 2), (2, 16, 0), (8, 12, 0)], 400).collect()}
+    got = {(r.k, r.c): r.solved / r.draws for r in measures.independence_experiment(table(spark, 48 * 400, 1).select("key"), [(1, 48, 0), (1, 48, 1), (1, 48, 2), (2, 16, 0), (8, 12, 0)]).collect()}
     for (k, c), rate in got.items():
         assert abs(rate - theory.independence_exact(k, 48, c)) < 0.09
         assert rate >= theory.independence_bound(k, c) - 0.09
 
 
 def test_sparse_systems(spark):
-    got = {(r.t, r.slack): r.solved / r.draws for r in measures.sparse_experiment(spark, [(1000, 3, 0.9), (1000, 3, 1.0), (1000, 3, 1.125), (400, 4, 1.0), (400, 6, 1.0), (400, 7, 1.0)], 20).collect()}
+    got = {(r.t, r.slack): r.solved / r.draws for r in measures.sparse_experiment(table(spark, 20_000, 1).select("key"), [(1000, 3, 0.9), (1000, 3, 1.0), (1000, 3, 1.125), (400, 4, 1.0), (400, 6, 1.0), (400, 7, 1.0)]).collect()}
     assert got[(3, 0.9)] == 0 and got[(3, 1.0)] < 0.2 and got[(3, 1.125)] > 0.8
     assert got[(4, 1.0)] == got[(6, 1.0)] == 0 and got[(7, 1.0)] > 0
 
 
 def test_splits_positions_and_tables(spark):
-    split = {r.mean: r.solved / r.draws for r in measures.split_experiment(spark, [(4096, 40.0, 64.0), (4096, 2.73, 3.87)], 40).collect()}
+    split = {r.mean: r.solved / r.draws for r in measures.split_experiment(table(spark, 4096 * 40, 1).select("key"), [(4096, 40.0, 64.0), (4096, 2.73, 3.87)]).collect()}
     assert split[40.0] > 0.9 and split[2.73] == 0
-    for r in measures.position_experiment(spark, [3, 4, 5, 6], 1500).collect():
+    for r in measures.position_experiment(table(spark, 9000, 1).select("key"), [3, 4, 5, 6]).collect():
         assert abs(r.solved / r.draws - theory.no_collision(r.s, r.s**2)) < 0.05 and r.solved / r.draws > 0.5
-    got = {r.funcs: r.solved / r.draws for r in measures.table_hash_experiment(spark, [(200, 200 * 200, f) for f in (1, 2, 4)], 150).collect()}
+    got = {r.funcs: r.solved / r.draws for r in measures.table_hash_experiment(table(spark, 200 * 150, 1).select("key"), [(200, 200 * 200, f) for f in (1, 2, 4)]).collect()}
     assert got[1] < got[2] < got[4] and 1 - got[4] < 2**-3
 
 
+def test_draws_take_every_distinct_key_of_a_table(spark):
+    """Keys are numbered without a gap, nulls and copies apart; a draw of so many is all that may be left over."""
+    keys = table(spark, 10_000, 1).select("key")
+    got = measures.numbered(keys.union(keys.limit(700)).union(spark.createDataFrame([(None,)], "key long"))).collect()
+    assert sorted(r.no for r in got) == list(range(10_000)) and len({(r.key_hi, r.key_lo) for r in got}) == 10_000
+    assert {r.s: r.draws for r in measures.position_experiment(keys, [3, 6]).collect()} == {3: 3333, 6: 1666}
+    assert [r.draws for r in measures.position_experiment(keys.limit(2), [3]).collect()] == [0]
+
+
 @pytest.mark.parametrize("k", [1, 3])
 def test_bloom_filters(spark, k):
     members, absent = table(spark, 4000, 1).select("key"), table(spark, 20_000, 1, 10**8).select("key")

@@ -76,3 +76,16 @@ def test_closed_forms_are_of_given_tables(spark, tmp_path, name):
     """Their sizes come from the tables, without which they fail."""
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         QUERIES[name](spark, str(tmp_path)).collect()
+
+
+@pytest.mark.parametrize("name", ["position_rates", "solve_rates", "sparse_rates", "split_rates", "table_hash_rates"])
+def test_rates_are_of_given_tables(spark, tmp_path, name):
+    """Draws are the keys of a table, all of them; more than the smallest tables give."""
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
+    key, n, other = {"solve_rates": ("p_partkey", 1300, ""), "sparse_rates": ("p_partkey", 7300, ""), "split_rates": ("l_orderkey", 41_000, ", (id % 3)::INTEGER AS l_linenumber")}.get(name, ("o_orderkey", 30_000, ""))
+    file = {"p": "part", "l": "lineitem", "o": "orders"}[key[0]]
+    duckdb.sql(f"COPY (SELECT 7 * id AS {key}{other} FROM range({n}) t(id)) TO '{tmp_path}/{file}.parquet'")
+    got = QUERIES[name](spark, str(tmp_path)).collect()
+    sizes = [n // next(r[c] for c in ("n", "s", "keys") if c in r) for r in got]
+    assert [r.draws for r in got] == sizes and all(sizes) and all(r.as_expected for r in got)

@@ -163,3 +163,11 @@ def test_block_solver_of_thousands_of_keys_in_seconds():
             break
     assert (np.bitwise_xor.reduce(b[p], axis=1) == (hi & 31).astype(np.uint64)).all()
     assert time.time() - start < 8 * (seed + 1)
+
+
+@pytest.mark.parametrize(("k", "c"), [(1, 0), (2, 0), (4, 1), (8, 0)])
+def test_many_field_systems_together(k, c):
+    rows = np.random.default_rng(k).integers(0, 1 << k, (60, 5, 5 + c))
+    rows[0, 1] = rows[0, 0]
+    want = [solve.eliminate_field(r, np.zeros(5, np.int64), k) is not None for r in rows]
+    assert solve.independent_field(rows, k).tolist() == want and not want[0] and any(want)
