@@ -171,3 +171,12 @@ def test_many_field_systems_together(k, c):
     rows[0, 1] = rows[0, 0]
     want = [solve.eliminate_field(r, np.zeros(5, np.int64), k) is not None for r in rows]
     assert solve.independent_field(rows, k).tolist() == want and not want[0] and any(want)
+
+
+def test_rank_of_sparse_systems_is_as_the_sparse_solver_finds_it():
+    n, m, t = 60, 72, 3
+    hi, lo = digests(40 * n)
+    places = rows.places_np(np.zeros(40 * n, np.int64), hi, lo, np.full(40 * n, m), t)
+    want = [solve.solve_structured(p, np.zeros(n, np.int64), m) is not None for p in places.reshape(40, n, t)]
+    got, _ = solve.eliminate_many(solve.dense_words(places, m).reshape(40, n, -1), np.zeros((40, n), np.uint64), np.ones((40, n), bool), np.full(40, m))
+    assert got.tolist() == want and any(want) and not all(want)
