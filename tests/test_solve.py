@@ -180,3 +180,21 @@ def test_rank_of_sparse_systems_is_as_the_sparse_solver_finds_it():
     want = [solve.solve_structured(p, np.zeros(n, np.int64), m) is not None for p in places.reshape(40, n, t)]
     got, _ = solve.eliminate_many(solve.dense_words(places, m).reshape(40, n, -1), np.zeros((40, n), np.uint64), np.ones((40, n), bool), np.full(40, m))
     assert got.tolist() == want and any(want) and not all(want)
+
+
+def test_square_cells_with_an_unused_variable_are_not_eliminated(monkeypatch):
+    import pyarrow as pa
+
+    from eqdict.plans import kernels
+    from eqdict.spec import DictSpec
+
+    hi, lo = digests(400)
+    table, seen, plain = pa.table({"bucket": np.zeros(400, np.int64), "key_hi": hi, "key_lo": lo, "value": hi & 7}), [], solve.eliminate_cells
+
+    def spied(r, values, live, m):
+        seen.extend(zip(np.bitwise_or.reduce(np.where(live, r, 0), axis=1).tolist(), m.tolist(), strict=True))
+        return plain(r, values, live, m)
+
+    monkeypatch.setattr(solve, "eliminate_cells", spied)
+    got = kernels.two_level(DictSpec(k=3, kind="local", seed_tries=256), 400)(table)
+    assert seen and all(x == (1 << m) - 1 for x, m in seen) and len(seen) < sum(got.column("tries").to_pylist())
