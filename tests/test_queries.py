@@ -89,3 +89,9 @@ def test_rates_are_of_given_tables(spark, tmp_path, name):
     got = QUERIES[name](spark, str(tmp_path)).collect()
     sizes = [n // next(r[c] for c in ("n", "s", "keys") if c in r) for r in got]
     assert [r.draws for r in got] == sizes and all(sizes) and all(r.as_expected for r in got)
+
+
+@pytest.mark.parametrize("name, file", [("solve_rates", "part")])
+def test_rates_have_spark_read_their_table(spark, name, file):
+    """The file is scanned by the result's own plan, not by the driver."""
+    assert QUERIES[name](spark, SF).inputFiles() == [f"file://{SF}/{file}.parquet"]
