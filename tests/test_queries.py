@@ -91,7 +91,7 @@ def test_rates_are_of_given_tables(spark, tmp_path, name):
     assert [r.draws for r in got] == sizes and all(sizes) and all(r.as_expected for r in got)
 
 
-@pytest.mark.parametrize("name, file", [("solve_rates", "part")])
+@pytest.mark.parametrize("name, file", [("solve_rates", "part"), ("split_rates", "lineitem")])
 def test_rates_have_spark_read_their_table(spark, name, file):
     """The file is scanned by the result's own plan, not by the driver."""
     assert QUERIES[name](spark, SF).inputFiles() == [f"file://{SF}/{file}.parquet"]
